@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from boundpath.llm import neardup
+from boundpath.llm import mixing, neardup, quality, sharding
 
-_MODULES = [neardup]
+_MODULES = [sharding, quality, neardup, mixing]
 
 
 def queries() -> dict:
