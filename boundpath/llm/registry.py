@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from boundpath.llm import mixing, neardup, quality, sharding
+from boundpath.llm import mixing, neardup, quality, sharding, urlgraph, warc
 
-_MODULES = [sharding, quality, neardup, mixing]
+_MODULES = [sharding, quality, neardup, urlgraph, mixing, warc]
 
 
 def queries() -> dict:
