@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from boundpath.llm import mixing, neardup, quality, sharding, urlgraph, warc
+from boundpath.llm import decontaminate, mixing, neardup, quality, sharding, tokencount, urlgraph, warc
 
-_MODULES = [sharding, quality, neardup, urlgraph, mixing, warc]
+_MODULES = [decontaminate, tokencount, sharding, quality, neardup, urlgraph, mixing, warc]
 
 
 def queries() -> dict:

@@ -43,7 +43,7 @@ def lower_table() -> np.ndarray:
 _POWERS: dict[str, np.ndarray] = {}
 
 
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
+def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     if "p" not in _POWERS or len(_POWERS["p"]) < n:
         size = max(n, CHUNK_BYTES + 1)
         for name, base in (("p", _BASE), ("i", pow(_BASE, -1, 1 << 64))):
@@ -115,23 +115,28 @@ def chunks(column: pa.Array | pa.ChunkedArray, limit: int = CHUNK_BYTES) -> Iter
         at = to
 
 
+def split_spans(off: np.ndarray, raw: np.ndarray, table: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Byte spans of words: runs of bytes of ``table``, cut where documents end."""
+    n = len(raw)
+    inside = np.zeros(n + 2, bool)
+    inside[1:-1] = table[raw]
+    change = np.flatnonzero(inside[1:] != inside[:-1])
+    borders = off[1:-1]
+    borders = np.unique(borders[(borders > 0) & (borders < n)])
+    crossed = borders[inside[borders] & inside[borders + 1]] if len(borders) else borders
+    if len(crossed):
+        change = np.sort(np.concatenate([change, crossed, crossed]), kind="stable")
+    return change[0::2], change[1::2]
+
+
 def words(column, kind: str = "space", limit: int = CHUNK_BYTES) -> Iterator[Words]:
     """Word streams with A-Z lower-cased."""
     table, low = word_bytes(kind), lower_table()
     for first, off, raw in chunks(column, limit):
         data = low[raw]
         n_docs, n = len(off) - 1, len(raw)
-        inside = np.zeros(n + 2, bool)
-        inside[1:-1] = table[raw]
-        change = np.flatnonzero(inside[1:] != inside[:-1])
-        # a word also ends where its document ends: cut runs that cross a border
-        borders = off[1:-1]
-        borders = np.unique(borders[(borders > 0) & (borders < n)])
-        crossed = borders[inside[borders] & inside[borders + 1]] if len(borders) else borders
-        if len(crossed):
-            change = np.sort(np.concatenate([change, crossed, crossed]), kind="stable")
-        start, end = change[0::2], change[1::2]
-        power, inverse = _powers(n + 1)
+        start, end = split_spans(off, raw, table)
+        power, inverse = powers(n + 1)
         total = np.zeros(n + 1, np.uint64)
         np.cumsum((data.astype(np.uint64) + np.uint64(1)) * power[:n], out=total[1:])
         hashed = mix((total[end] - total[start]) * inverse[start], 1)
