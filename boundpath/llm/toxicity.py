@@ -22,12 +22,13 @@ from boundpath.llm.shared import read_table
 from boundpath.llm.textkernel import Words, mix, powers, segment_sum, words
 
 FEATURE_BITS = 18
-MAX_DOCS = 5000
+MAX_DOCS = 4000
 MAX_CHARS = 100_000
 THRESHOLD = 0.3
 #: Bytes of the word prefixes that are features too: offensive stems take many endings.
 PREFIXES = (4, 5, 6, 7)
 ROUNDS = 300
+MIN_DOCS = 3
 DECAY = 1.5e-4
 
 
@@ -83,32 +84,39 @@ class NoisyOr:
         return np.clip(score, 0.0, 1.0), 1.0 / (1.0 + np.exp(-np.clip(z, -700, 700))), doc
 
 
-def train(texts: list[str], labels: list[int], totals: tuple[int, int] | None = None, rounds: int = ROUNDS, rate: float = 0.15, decay: float = DECAY, bits: int = FEATURE_BITS) -> NoisyOr:
+def train(texts, labels: list[int], totals: tuple[int, int] | None = None, rounds: int = ROUNDS, rate: float = 0.15, decay: float = DECAY, bits: int = FEATURE_BITS) -> NoisyOr:
     """Maximum likelihood of the document labels with Adam; decay is the squared-weight penalty per document, totals
     how many documents each label (0, 1) has of which these are a sample.
 
-    Words of fewer than three training documents get no weight: they can't be told from chance."""
+    texts: a list or an Arrow column.  Words of fewer than MIN_DOCS documents get no weight: they can't be told from chance."""
     y_all = np.array(labels, np.int64)
+    column = pa.array(texts, pa.string()) if isinstance(texts, list) else texts
     if len(y_all) == 0 or y_all.min() == y_all.max():
         return NoisyOr(np.zeros(1 << bits), 0.0, float(y_all.mean()) if len(y_all) else 0.0)
-    parts, at = [], 0
-    for w in words(pa.array(texts, pa.string()), "alnum"):
+    # two passes over chunks keep memory low: which features enough documents have, then the kept places alone
+    held = np.zeros(1 << bits, np.int64)
+    for w in words(column, "alnum"):
         if len(w.hash):
-            s, f, d = features(w, bits)
-            parts.append((s + at, f, d + w.first))
-            at += len(d)
-    sentence, feature, doc = (np.concatenate(x) for x in zip(*parts, strict=True))
-    row, feature = np.repeat(sentence, feature.shape[1]), feature.reshape(-1).astype(np.int64)
-    used = np.unique((doc[row] << bits) | feature) & ((1 << bits) - 1)
-    enough = np.bincount(used, minlength=1 << bits) >= 3
-    enough[-1] = False
-    keep = enough[feature]
-    names, column = np.unique(feature[keep], return_inverse=True)
-    row = row[keep]
+            sentence, feature, doc = features(w, bits)
+            pairs = np.unique(((doc[sentence] << bits)[:, None] | feature).reshape(-1))
+            held += np.bincount(pairs & ((1 << bits) - 1), minlength=1 << bits)
+    held[-1] = 0
+    names = np.flatnonzero(held >= MIN_DOCS)
+    number = np.full(1 << bits, -1, np.int32)
+    number[names] = np.arange(len(names), dtype=np.int32)
+    blocks, docs, at = [], [], 0
+    for w in words(column, "alnum"):
+        if len(w.hash):
+            sentence, feature, doc = features(w, bits)
+            place = number[feature]
+            row = np.broadcast_to(sentence[:, None], place.shape)[place >= 0].astype(np.int32)
+            blocks.append((at, len(doc), row, place[place >= 0]))
+            docs.append(doc + w.first)
+            at += len(doc)
+    doc = np.concatenate(docs) if docs else np.zeros(0, np.int64)
     n_docs, n_sent = len(y_all), len(doc)
     per_doc = np.bincount(doc, minlength=n_docs)
-    y = y_all.astype(float)
-    share = y.mean()
+    share = y_all.mean()
     bias = np.log(max(share, 1e-3) / max(per_doc.mean(), 1.0)) - 1.0
     theta = np.zeros(len(names) + 1)
     theta[-1] = bias
@@ -117,14 +125,18 @@ def train(texts: list[str], labels: list[int], totals: tuple[int, int] | None =
     weigh = stands[y_all]
     weigh = weigh / weigh.mean()
     for step in range(1, rounds + 1):
-        z = np.bincount(row, theta[:-1][column], minlength=n_sent) + theta[-1]
+        z = np.full(n_sent, theta[-1])
+        for lo, n, row, place in blocks:
+            z[lo : lo + n] += np.bincount(row, theta[place], minlength=n)
         p = 1.0 / (1.0 + np.exp(-np.clip(z, -60, 60)))
         log_clean = np.bincount(doc, -np.logaddexp(0.0, z), minlength=n_docs)
         clean = np.exp(np.minimum(log_clean, -1e-9))
         pull = np.where(y_all == 1, -clean / np.maximum(1 - clean, 1e-9), 1.0) * weigh
         g_sent = p * pull[doc] / n_docs
-        g = np.concatenate([np.bincount(column, g_sent[row], minlength=len(names)), [g_sent.sum()]])
-        g[:-1] += decay * theta[:-1]
+        g = decay * theta
+        g[-1] = g_sent.sum()
+        for lo, n, row, place in blocks:
+            g[:-1] += np.bincount(place, g_sent[lo : lo + n][row], minlength=len(names))
         m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
         theta -= rate * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.999**step)) + 1e-8)
     weights = np.zeros(1 << bits)
@@ -168,8 +180,9 @@ def _scorer(model):
 
 
 def fit(docs: DataFrame, labels: DataFrame, max_docs: int = MAX_DOCS) -> NoisyOr:
-    rows = training_rows(docs, labels, max_docs).collect()
-    return train([r[0] for r in rows], [int(r[1]) for r in rows])
+    totals = dict(labels.filter("toxic in (0, 1)").groupBy("toxic").count().collect())
+    rows = training_rows(docs, labels, max_docs).toArrow()
+    return train(rows["text"], rows["toxic"].to_pylist(), (totals.get(0, 0), totals.get(1, 0)))
 
 
 def score_toxicity(docs: DataFrame, model: NoisyOr) -> DataFrame:
