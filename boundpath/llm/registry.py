@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from boundpath.llm import decontaminate, mixing, neardup, quality, sharding, tokencount, toxicity, urlgraph, warc
+from boundpath.llm import ctw, decontaminate, mixing, neardup, quality, sharding, tokencount, toxicity, urlgraph, warc
 
-_MODULES = [decontaminate, tokencount, sharding, quality, toxicity, neardup, urlgraph, mixing, warc]
+_MODULES = [decontaminate, ctw, tokencount, sharding, quality, toxicity, neardup, urlgraph, mixing, warc]
 
 
 def queries() -> dict:
