@@ -143,8 +143,10 @@ def judge(docs: DataFrame, text: str = "text", rules=RULES, sample_rows: int = S
 
 def filter_quality(docs: DataFrame, text: str = "text") -> DataFrame:
     """The rows of ``docs`` that no rule rejects, all columns kept."""
-    mark = "__bp_verdict"
-    return judge(docs, text, out=mark).filter(F.col(mark).isNull()).drop(mark)
+    mark, fence = "__bp_verdict", "__bp_fence"
+    # a filter pushed below would repeat whole array computations per element: a row number in the projection holds it
+    judged = judge(docs, text, out=mark).withColumn(fence, F.monotonically_increasing_id())
+    return judged.filter((F.col(fence) >= 0) & F.col(mark).isNull()).drop(mark, fence)
 
 
 def op5_quality(spark, sf_dir: str) -> DataFrame:
