@@ -8,7 +8,7 @@ decisions and bytes is the text's probability.  A text ends with byte 0xFF, whic
 bytes, so probabilities sum to one over texts.
 
 Counts are taken over all training bytes: tasks count byte strings of depth + 1, Spark sums them and derives the
-shallower ones.  The tree keeps, at each depth, the most frequent contexts with at most 2^20 strings in all, which bounds what
+shallower ones.  The tree keeps, at each depth, the most frequent contexts with at most 2^19 strings in all, which bounds what
 is broadcast; rarer contexts are left to their shorter ones.  Word counts for the base score are exact for all words: those
 above one in 2^21 tokens (at most 2^21 of them) are broadcast, all others are joined.
 
@@ -27,7 +27,7 @@ from boundpath.llm.shared import materialise, read_table
 from boundpath.llm.textkernel import Words, segment_sum, words
 
 DEPTH = 5
-ENTRIES = 1 << 20
+ENTRIES = 1 << 19
 RARE_SHARE = 2.0**-21
 END_TOKEN = np.uint64(0x0DDC0FFEE0DDF00D)
 _COUNT_SCHEMA = "kind int, item bigint, n bigint"
@@ -160,40 +160,45 @@ class ContextTree:
 
     def __init__(self, levels: list[tuple[np.ndarray, np.ndarray]]):
         self.depth = len(levels) - 1
-        nodes = [self._bit_nodes(np.asarray(k, np.uint64), np.asarray(n, float)) for k, n in levels]
-        stop, kt = [None] * len(nodes), [None] * len(nodes)
-        below = None  # ln of weighted probabilities one level deeper
-        parent = [None] * len(nodes)
-        for d in range(self.depth, -1, -1):
-            keys, zeros, ones = nodes[d]
-            kt[d] = (ones + 0.5) / (zeros + ones + 1.0)
+        stop, kt, self.nodes = [], [], []
+        deeper = None  # of the level below: nodes, their counts, ln of their weighted probabilities
+        for d in range(self.depth, -1, -1):  # from the leaves up
+            keys, zeros, ones = self._bit_nodes(np.asarray(levels[d][0], np.uint64), np.asarray(levels[d][1], float))
             own = log_kt(zeros, ones)
-            if d == self.depth or not len(nodes[d + 1][0]):
-                stop[d], below = np.ones(len(keys)), own
-                if d < self.depth:
-                    parent[d + 1] = np.zeros(0, np.int64)
-                continue
-            deep, deep0, deep1 = nodes[d + 1]
-            up = deep & np.uint64((1 << (8 * (d + 1))) - 1)
-            parent[d + 1] = np.searchsorted(keys, up)
-            children = np.bincount(parent[d + 1], below, minlength=len(keys))
-            rest0 = np.maximum(zeros - np.bincount(parent[d + 1], deep0, minlength=len(keys)), 0)
-            rest1 = np.maximum(ones - np.bincount(parent[d + 1], deep1, minlength=len(keys)), 0)
-            children += log_kt(rest0, rest1)
-            weighted = np.logaddexp(own, children) - np.log(2)
-            stop[d], below = np.exp(own - np.log(2) - weighted), weighted
+            if deeper is None or not len(deeper[0]):
+                weighted, halt = own, np.ones(len(keys), np.float32)
+            else:
+                up = self._parents(keys, deeper[0], d + 1)
+                children = np.bincount(up, deeper[3], minlength=len(keys))
+                # what rarer contexts hold is one child more
+                rest = [np.maximum(n - np.bincount(up, m, minlength=len(keys)), 0) for n, m in ((zeros, deeper[1]), (ones, deeper[2]))]
+                children += log_kt(*rest)
+                weighted = np.logaddexp(own, children) - np.log(2)
+                halt = np.exp(own - np.log(2) - weighted).astype(np.float32)
+                del up, children, rest
+            stop.insert(0, halt)
+            kt.insert(0, (ones + 0.5) / (zeros + ones + 1.0))
+            self.nodes.insert(0, keys)
+            deeper = (keys, zeros, ones, weighted)
+        del deeper, zeros, ones, own, weighted, halt
         # from the root down: what is settled before a node, and the weight that reaches it
-        settled, reach = np.zeros(len(nodes[0][0])), np.ones(len(nodes[0][0]))
-        self.nodes, self.ones = [], []
-        for d, (keys, _, _) in enumerate(nodes):
+        settled, reach = np.zeros(len(self.nodes[0])), np.ones(len(self.nodes[0]))
+        self.ones = []
+        for d, keys in enumerate(self.nodes):
             if d:
-                before = parent[d]
-                settled = settled[before] + reach[before] * stop[d - 1][before] * kt[d - 1][before]
-                reach = reach[before] * (1.0 - stop[d - 1][before])
-            self.nodes.append(keys)
+                up = self._parents(self.nodes[d - 1], keys, d)
+                settled = (settled + reach * stop[d - 1] * kt[d - 1])[up]
+                reach = (reach * (1.0 - stop[d - 1]))[up]
+                stop[d - 1] = kt[d - 1] = None
             self.ones.append(settled + reach * kt[d])
+        del settled, reach, stop, kt
         self._settle(np.asarray(levels[-1][0], np.uint64))
 
+    @staticmethod
+    def _parents(keys: np.ndarray, deep: np.ndarray, d: int) -> np.ndarray:
+        """Where the nodes ``deep`` of level d have their parents in ``keys``: the oldest byte falls away."""
+        return np.searchsorted(keys, deep & np.uint64((1 << (8 * d)) - 1)).astype(np.int32)
+
     @staticmethod
     def _bit_nodes(keys: np.ndarray, n: np.ndarray):
         """Sorted nodes (context, bit prefix) with their counts of zeros and ones; one bit after the other."""
@@ -332,6 +337,7 @@ def score_texts(docs: DataFrame, held_out, depth: int = DEPTH, entries: int = EN
     model = spark.sparkContext.broadcast((fit_tree(counts, depth, entries), frequent))
     rows = docs.select(F.monotonically_increasing_id().alias("rid"), F.col("doc_id").cast("bigint").alias("doc_id"), text.alias("text"))
     scored = materialise(rows.mapInArrow(_score(model, depth), _SCORE_SCHEMA), "scored")
+    model.destroy()  # the scores lie in the shared folder: nothing needs the model again
     rare = scored.select("rid", F.explode(F.arrays_zip("rare", "rare_n")).alias("r")).select("rid", F.col("r.rare").alias("item"), F.col("r.rare_n").alias("times"))
     joined = rare.join(tokens.filter(F.col("c") < least), "item")
     added = joined.groupBy("rid").agg(F.sum("times").alias("more"), F.sum(F.col("times") * F.log10(F.col("c") + 1.0)).alias("more_logs"))
