@@ -27,6 +27,7 @@ from boundpath.llm.shared import materialise, read_table
 from boundpath.llm.textkernel import Words, segment_sum, words
 
 DEPTH = 5
+CHUNK = 1_000_000  # bytes of text at a time: a worker holds some ten numbers for each
 ENTRIES = 1 << 19
 RARE_SHARE = 2.0**-21
 END_TOKEN = np.uint64(0x0DDC0FFEE0DDF00D)
@@ -54,7 +55,7 @@ def strings(w: Words, depth: int) -> tuple[np.ndarray, np.ndarray]:
 class _Tally:
     """Running counts of 64-bit items with bounded memory."""
 
-    def __init__(self, limit: int = 3_000_000):
+    def __init__(self, limit: int = 1_500_000):
         self.parts, self.size, self.limit = [], 0, limit
 
     def add(self, items: np.ndarray) -> None:
@@ -85,7 +86,7 @@ def _count(depth: int):
     def run(batches):
         grams, tokens = _Tally(), _Tally()
         for batch in batches:
-            for w in words(batch.column(0)):
+            for w in words(batch.column(0), "space", CHUNK):
                 grams.add(strings(w, depth)[0])
                 tokens.add(np.concatenate([w.hash, np.full(w.n_docs, END_TOKEN)]))
                 for kind, tally in ((0, grams), (1, tokens)):
@@ -254,7 +255,7 @@ def _score(model, depth: int):
         tree, frequent = model.value
         for batch in batches:
             rid, ids = batch.column(0), batch.column(1)
-            for w in words(batch.column(2), "space", 4_000_000):
+            for w in words(batch.column(2), "space", CHUNK):
                 keys, places = strings(w, depth)
                 score = segment_sum(tree.log10(keys), places)
                 item = np.concatenate([w.hash, np.full(w.n_docs, END_TOKEN)])
