@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from boundpath.workloads import paths
+from boundpath.workloads import paths, services
 
-_MODULES = [paths]
+_MODULES = [paths, services]
 
 
 def entry(spark, sf_dir):
