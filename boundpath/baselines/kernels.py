@@ -171,7 +171,8 @@ def arc_ip(g: Graph, r, objective: str, max_hops: int):
     vertices = sorted({a[0] for a in arcs} | {a[1] for a in arcs} | {r.src, r.dst})
     eq = [([1.0 * (a[0] == v) - 1.0 * (a[1] == v) for a in arcs], 1.0 if v == r.src else -1.0 if v == r.dst else 0.0) for v in vertices if v != r.dst]
     le = [([float(a[2]) for a in arcs], float(r.delay)), ([float(a[3]) for a in arcs], float(r.cost))]
-    x, nodes = solve_binary([a[3] if objective == "cost" else 1.0 for a in arcs], eq, le)
+    # a hair per arc keeps free cycles out of the relaxation; costs are whole numbers, so the optimum stays one
+    x, nodes = solve_binary([a[3] + 1e-4 if objective == "cost" else 1.0 for a in arcs], eq, le)
     if x is None:
         return None, nodes
     step = {a[0]: a for a, used in zip(arcs, x, strict=True) if used}
@@ -183,7 +184,26 @@ def arc_ip(g: Graph, r, objective: str, max_hops: int):
     return _rank(objective, len(path) - 1, delay, cost, tuple(path)), nodes
 
 
+def least_delay(g: Graph, r, objective: str, max_hops: int):
+    """Dijkstra on links with enough bandwidth, least delay; the bounds are checked afterwards."""
+    best, heap, made = {}, [(0, 0, 0, (r.src,))], 0
+    while heap:
+        delay, hops, cost, path = heapq.heappop(heap)
+        v = path[-1]
+        if v in best:
+            continue
+        best[v] = delay
+        if v == r.dst:
+            return (_rank(objective, hops, delay, cost, path) if delay <= r.delay and cost <= r.cost else None), made
+        for to, bw, d, c in g.out.get(v, ()):
+            if bw >= r.bw and to not in best:
+                made += 1
+                heapq.heappush(heap, (delay + d, hops + 1, cost + c, (*path, to)))
+    return None, made
+
+
 SEARCHES = {
+    "least_delay": least_delay,
     "edfs": edfs,
     "kshort_exact": kshort_exact,
     "dfs": lambda g, r, o, h: layered(g, r, o, h, "dfs"),

@@ -75,7 +75,7 @@ def solve_binary(c, eq, le):
         nodes += 1
         fix = [([1.0 if j == i else 0.0 for j in range(n)], float(v)) for i, v in fixed.items()]
         got = simplex(c, [*eq, *fix], le) if n else None
-        if got is None or got[1] > value + 1e-7:
+        if got is None or got[1] > value - 1e-6:
             continue
         x = got[0]
         part = [i for i in range(n) if min(abs(x[i]), abs(x[i] - 1)) > 1e-6]

@@ -6,12 +6,20 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from boundpath.baselines.exact import ext_dijkstra_bounded, path_links
-from boundpath.baselines.kernels import k_shortest
+from boundpath.baselines.kernels import k_shortest, search
 from boundpath.loop import empty, keep
 from boundpath.search.single import ldp_single
 from boundpath.services.lp import max_min
 
-FINDERS = {"ldp": ldp_single, "ext_dijkstra": ext_dijkstra_bounded}
+def _kernel(method: str):
+    def find(links, requests):
+        return search(links, requests.withColumn("cost", F.lit(1 << 40)), method, "hops", 16)
+
+    return find
+
+
+#: Path finders: kernels over a broadcast graph of checked size, and the DataFrame loops for larger ones.
+FINDERS = {"ldp": _kernel("dfs"), "ext_dijkstra": _kernel("least_delay"), "ldp_loop": ldp_single, "ext_dijkstra_loop": ext_dijkstra_bounded}
 
 
 def flow_requests(flows: DataFrame) -> DataFrame:
