@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from boundpath.workloads import paths, services
+from boundpath.workloads import experiments, paths, services, streams, surrounding
 
-_MODULES = [paths, services]
+_MODULES = [paths, services, surrounding, streams, experiments]
 
 
 def entry(spark, sf_dir):
