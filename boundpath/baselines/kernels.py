@@ -140,7 +140,7 @@ def layered(g: Graph, r, objective: str, max_hops: int, policy: str):
         if r.dst not in grown:
             continue
         work = [(0, 0, n, (r.dst,))]
-        while work:
+        while work:  # an answer of fewer links always comes first, so best has n links or bounds by cost
             cost, delay, k, path = heapq.heappop(work) if policy == "kshort" else work.pop()
             if k == 0:
                 key = _rank(objective, n, delay, cost, path)
@@ -154,7 +154,8 @@ def layered(g: Graph, r, objective: str, max_hops: int, policy: str):
                 made += 1
                 if delay + d + label[0] > r.delay or cost + c + label[1] > r.cost:
                     continue
-                if best is not None and objective == "cost" and cost + c + label[1] > best[0]:
+                # the best total this suffix can still reach, against the answer so far (ties are kept)
+                if best is not None and (cost + c + label[1] > best[0] if objective == "cost" else delay + d + label[0] > best[1]):
                     continue
                 item = (cost + c, delay + d, k - 1, (u, *path))
                 heapq.heappush(work, item) if policy == "kshort" else work.append(item)

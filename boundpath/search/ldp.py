@@ -112,7 +112,7 @@ def skyline(df: DataFrame, keys: list[str], dims: list[str], k: int = 1) -> Data
     if k == 1 and len(dims) == 2:
         a, b = dims
         before = Window.partitionBy(*keys).orderBy(a).rangeBetween(Window.unboundedPreceding, -1)
-        level = Window.partitionBy(*keys, a)
+        level = Window.partitionBy(*keys).orderBy(a).rangeBetween(Window.currentRow, Window.currentRow)
         marked = df.withColumns({"__m": F.min(b).over(before), "__s": F.min(b).over(level)})
         return marked.filter(((F.col("__m").isNull()) | (F.col("__m") > F.col(b))) & (F.col("__s") == F.col(b))).drop("__m", "__s")
     other = df.select(*[F.col(c).alias(f"o_{c}") for c in (*keys, *dims)])
@@ -200,7 +200,9 @@ def ldp_general(links: DataFrame, requests: DataFrame, q: PathQuery = PathQuery(
             todo = open_.join(found.select("req_id"), "req_id", "left_anti")
         else:
             todo = open_
-        arrived = todo.join(layer.select("class_id", F.col("v").alias("dst")), ["class_id", "dst"], "left_semi")
+        arrived = keep(todo.join(layer.select("class_id", F.col("v").alias("dst")), ["class_id", "dst"], "left_semi"))
+        if empty(arrived):
+            continue
         paths = feasible(walk_back(links, layers, arrived, n, q, _incumbent(found, q), log), m)
         new = keep(paths.select("req_id", F.lit(n).alias("hops"), *m, "path"))
         if log is not None:

@@ -151,7 +151,7 @@ def w5_degree(spark, d):
     for degree in (8, 6, 4, 2, 1):
         one = N.n1_links(spark, d, degree).select(F.lit(degree).alias("degree"), "src", "dst", "bw", "delay", "cost")
         parts = one if parts is None else parts.unionByName(one)
-    fl = [r for r in flows(spark, d, 40, 2.5).withColumn("bw", F.lit(1)).withColumn("cost", F.lit(1 << 40)).collect()]
+    fl = [r for r in flows(spark, d, 16, 2.5).withColumn("bw", F.lit(1)).withColumn("cost", F.lit(1 << 40)).collect()]
 
     def run(f: pd.DataFrame) -> pd.DataFrame:
         arcs = [tuple(map(int, r)) for r in f[["src", "dst", "bw", "delay", "cost"]].itertuples(index=False)]
