@@ -79,7 +79,7 @@ def link_utilisation(spark, d):
     return M.utilisation(N.n1_links(spark, d), fixed_loads(spark, d)).withColumn("u", F.round("u", 6))
 
 
-@register("energy", _PATHS + "SELECT count(*) AS links, round(sum(0.3 * load / cap + 1.7), 6) AS watts, round(count(*) * 1.7, 6) AS idle, round(100 * (sum(0.3 * load / cap + 1.7) / (count(*) * 1.7) - 1), 6) AS increase FROM util")
+@register("energy", _PATHS + "SELECT count(*) AS links, round(sum(0.3 * load / cap + 1.7), 6) AS watts, CAST(round(count(*) * 1.7, 6) AS DOUBLE) AS idle, round(100 * (sum(0.3 * load / cap + 1.7) / (count(*) * 1.7) - 1), 6) AS increase FROM util")
 def energy(spark, d):
     return M.energy(M.utilisation(N.n1_links(spark, d), fixed_loads(spark, d)))
 
