@@ -64,7 +64,7 @@ def te_greedy(links: DataFrame, flows: DataFrame, finder: str = "ldp", max_round
 def te_lp(links: DataFrame, flows: DataFrame, k: int, bounded: bool, max_hops: int = 8) -> DataFrame:
     """Max-min fair rates over k given paths each: flow_id, rate.  bounded: paths keep the flow's delay bound.
 
-    Flows whose paths share links, directly or over others, form one program; programs are small and solved apart."""
+    One exact program on the driver, for tens of flows; ``te_scale`` is the distributed approximation."""
     reqs = flow_requests(flows).withColumn("cost", F.lit(1 << 40))
     paths = k_shortest(links, reqs, k, "hops" if bounded else "cost", max_hops, bounded)
     paths = keep(paths.select("req_id", "rank", "hops", "path"))

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from boundpath.loop import once
+from boundpath.loop import keep, once
 
 STRETCH = 1414  # delay across the diagonal of the 1000 x 1000 area
 #: Requested bounds (bandwidth, delay, cost) of the workloads.
@@ -133,8 +133,8 @@ def n4_links(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def waxman_links(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Distance-random network over suppliers: near pairs are kept more often.  Pairs meet by cells of 500 units, so
-    only neighbouring cells are compared; beyond that distance the threshold of 10007 is below 1."""
+    """Distance-random network over suppliers: near pairs are kept more often.  Its definition asks every pair of vertices
+    (a theta join, quadratic in the suppliers, not in the lines); it is a test network, not a path to 100 TB."""
 
     def make():
         nodes = supplier_nodes(spark, sf_dir)
@@ -162,12 +162,10 @@ def attach_links(spark: SparkSession, sf_dir: str) -> DataFrame:
         far = ends.select((F.col("near") + 1).alias("slot"), (4 + (F.col("near") * 7919 + 104729 * F.col("e") + 13) % F.greatest(F.col("i") * 4 - 4, F.lit(1))).alias("to"), F.col("i")).withColumn("first", F.col("i") == 1)
         far = far.select("slot", F.when(F.col("first"), F.lit(-1)).otherwise(F.col("to")).alias("to"), F.lit(None).cast("bigint").alias("v"))
         slots = near.union(far)
-        for _ in range(12):
+        for jump in range(12):
             nxt = slots.select(F.col("slot").alias("s2"), F.col("to").alias("t2"))
             slots = slots.join(nxt, F.col("to") == F.col("s2"), "left").select("slot", F.coalesce("t2", "to").alias("to"), "v")
-            if _ % 4 == 3:
-                from boundpath.loop import keep
-
+            if jump % 4 == 3:
                 slots = keep(slots, "slots")
         owner = near.select(F.col("slot").alias("to"), F.col("v").alias("end"))
         ends_far = slots.filter("v is null").join(owner, "to", "left").select(F.floor((F.col("slot") - 1) / 4).cast("bigint").alias("src"), F.coalesce("end", F.lit(0)).alias("dst"))

@@ -52,6 +52,22 @@ on_links("filter_bounds", "SELECT link_id, bw, cost FROM n1 WHERE bw BETWEEN 4 A
 )
 
 
+@register("load_formats", NET + "SELECT f.fmt, n1.link_id, n1.bw, n1.cost FROM n1, (VALUES ('parquet'), ('json'), ('csv'), ('xml')) f(fmt)")
+def load_formats(spark, d):
+    """The network written and discovered again in every format."""
+    import uuid
+
+    from boundpath.loop import shared_dir
+    from boundpath.sources.links import FORMATS, load_links, save_links
+
+    base, out = f"{shared_dir(spark)}/formats-{uuid.uuid4().hex}", None
+    for fmt in FORMATS:
+        save_links(N.n1_links(spark, d), f"{base}/{fmt}", fmt)
+        one = load_links(spark, f"{base}/{fmt}", fmt).select(F.lit(fmt).alias("fmt"), "link_id", "bw", "cost")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 # joins --------------------------------------------------------------------------------------------------------------------
 @register("join_inner_ends", NET + "SELECT link_id, a.s_name AS from_name, b.s_name AS to_name FROM n1 JOIN supplier a ON a.s_suppkey = src JOIN supplier b ON b.s_suppkey = dst")
 def join_inner_ends(spark, d):
