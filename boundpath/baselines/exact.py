@@ -5,8 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from boundpath.loop import empty, keep
-from boundpath.search.ldp import PathQuery, _answers, best_of, skyline
+from boundpath.loop import empty, keep, small
+from boundpath.operators.skyline import skyline
+from boundpath.search.ldp import PathQuery, _answers, best_of
 from boundpath.search.single import ldp_links_cost, relax, suffix_labels, trace, _finish
 
 
@@ -134,11 +135,12 @@ def two_bound_dp(links: DataFrame, requests: DataFrame, first: str = "cost", sec
 
     Answer: the least total of ``first`` that keeps both bounds: req_id, status, first, second."""
     reqs = keep(requests.select("req_id", "src", "dst", F.col("bw").alias("bw_min"), F.col(first).alias("m1"), F.col(second).alias("m2")))
+    few = small(reqs)
     state = keep(reqs.select("req_id", F.col("src").alias("v"), F.lit(0).cast("bigint").alias("a"), F.lit(0).cast("bigint").alias("b")))
     front = state
     arcs = links.select(F.col("src").alias("v"), F.col("dst").alias("to"), "bw", F.col(first).alias("wa"), F.col(second).alias("wb"))
     for _ in range(max_hops):
-        step = front.join(F.broadcast(reqs), "req_id").join(arcs, "v").filter("bw >= bw_min and a + wa <= m1 and b + wb <= m2")
+        step = front.join(few, "req_id").join(arcs, "v").filter("bw >= bw_min and a + wa <= m1 and b + wb <= m2")
         new = step.groupBy("req_id", F.col("to").alias("v"), (F.col("a") + F.col("wa")).alias("a")).agg(F.min(F.col("b") + F.col("wb")).alias("nb"))
         better = new.join(state, ["req_id", "v", "a"], "left").filter("b is null or nb < b").select("req_id", "v", "a", F.col("nb").alias("b"))
         # a state that a cheaper one of its vertex already beats leads nowhere new

@@ -21,3 +21,16 @@ def path_pairs(paths: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(owner[inner])), pa.array(pos[inner].astype(np.int32)), pa.array(values[inner]), pa.array(values[inner + 1])], names=["req_id", "pos", "a", "b"])
 
     return paths.mapInArrow(run, "req_id bigint, pos int, a bigint, b bigint")
+
+
+def path_udtf():
+    """A table function for SQL: the links of one path as (pos, a, b)."""
+    from pyspark.sql.functions import udtf
+
+    class Steps:
+        def eval(self, path):
+            known = path or []
+            for pos in range(len(known) - 1):
+                yield pos, known[pos], known[pos + 1]
+
+    return udtf(Steps, returnType="pos int, a bigint, b bigint")

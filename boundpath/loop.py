@@ -7,6 +7,10 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+#: Tables of at most this many rows may be broadcast.
+SMALL_ROWS = 1_000_000
 
 _written: list[str] = []
 _fallback: list[str] = []
@@ -45,6 +49,11 @@ def once(spark: SparkSession, key: tuple, make) -> DataFrame:
     return _tables[full]
 
 
+def small(df: DataFrame) -> DataFrame:
+    """``df`` with a broadcast hint if it has at most ``SMALL_ROWS`` rows; beyond, Spark chooses the join."""
+    return F.broadcast(df) if df.limit(SMALL_ROWS + 1).count() <= SMALL_ROWS else df
+
+
 def empty(df: DataFrame) -> bool:
     return not df.take(1)
 

@@ -59,3 +59,9 @@ def confidence95(samples: DataFrame, column: str) -> DataFrame:
     """Mean and half-width of the 95 % interval."""
     half = 1.96 * F.stddev(column) / F.sqrt(F.count("*"))
     return samples.agg(F.count("*").alias("n"), F.round(F.avg(column), 6).alias("mean"), F.round(half, 6).alias("half_width"))
+
+
+def optimality_gap(found: DataFrame, optimum: DataFrame) -> DataFrame:
+    """vn_id, gap: by how much of the optimum the balanced cost (load) exceeds it, for requests that both accepted."""
+    best = optimum.filter("accepted = 1").select("vn_id", F.col("load").alias("best"))
+    return found.filter("accepted = 1").join(best, "vn_id").select("vn_id", F.round((F.col("load") - F.col("best")) / F.col("best"), 6).alias("gap"))

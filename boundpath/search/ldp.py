@@ -17,7 +17,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from boundpath.loop import empty, keep
+from boundpath.loop import empty, keep, small
+from boundpath.operators.skyline import skyline
 
 PRUNINGS = frozenset({"dom", "prefix", "bound", "incumbents"})
 
@@ -38,7 +39,7 @@ class PathQuery:
     def __post_init__(self):
         if unknown := set(self.prune) - PRUNINGS:
             raise ValueError(f"unknown pruning {sorted(unknown)}")
-        if (self.k > 1 or self.keep_all) and "dom" in self.prune:
+        if (self.k > 1 or self.keep_all) and self.prune & {"dom", "incumbents"}:
             raise ValueError("dominance keeps one path per vector: it can't be used when several paths are asked for")
         if self.objective != "hops" and self.objective not in self.metrics:
             raise ValueError(f"objective {self.objective!r} is not a metric")
@@ -52,7 +53,7 @@ class PathQuery:
 def prune_links(links: DataFrame, requests: DataFrame) -> DataFrame:
     """Links that some class of requests may use: its bandwidth bound is met.  Adds class_id and the classes' bounds."""
     classes = requests.select("class_id", "bw").distinct().withColumnRenamed("bw", "bw_min")
-    return links.join(F.broadcast(classes), F.col("bw") >= F.col("bw_min")).drop("bw_min")
+    return links.join(small(classes), F.col("bw") >= F.col("bw_min")).drop("bw_min")
 
 
 def with_classes(requests: DataFrame, metrics) -> DataFrame:
@@ -76,11 +77,11 @@ def grow_one(layer: DataFrame, links: DataFrame, classes: DataFrame, metrics, ex
 
     exclude: vertices whose least value already breaks a bound leave the layer.  The source never comes back."""
     f = layer.select("class_id", "k", F.col("v").alias("u"), *[f"best_{m}" for m in metrics])
-    step = f.join(links, F.col("u") == links["src"]).join(F.broadcast(classes), "class_id").filter((F.col("bw") >= F.col("bw_min")) & (F.col("dst") != F.col("c_src")))
+    step = f.join(links, F.col("u") == links["src"]).join(classes, "class_id").filter((F.col("bw") >= F.col("bw_min")) & (F.col("dst") != F.col("c_src")))
     grown = step.groupBy("class_id", (F.col("k") + 1).alias("k"), F.col("dst").alias("v")).agg(*[F.min(F.col(f"best_{m}") + F.col(m)).alias(f"best_{m}") for m in metrics])
     if exclude:
         limit = classes.select("class_id", *[f"max_{m}" for m in metrics])
-        grown = grown.join(F.broadcast(limit), "class_id").filter(" and ".join(f"(max_{m} is null or best_{m} <= max_{m})" for m in metrics)).drop(*[f"max_{m}" for m in metrics])
+        grown = grown.join(limit, "class_id").filter(" and ".join(f"(max_{m} is null or best_{m} <= max_{m})" for m in metrics)).drop(*[f"max_{m}" for m in metrics])
     return grown
 
 
@@ -91,7 +92,7 @@ def class_table(requests: DataFrame, metrics) -> DataFrame:
 def forward_layers(links: DataFrame, requests: DataFrame, max_hops: int, metrics=("delay", "cost"), labels: bool = True) -> DataFrame:
     """All layers 0 to max_hops of every class: class_id, k, v, best_*."""
     reqs = with_classes(requests, metrics)
-    classes = class_table(reqs, metrics)
+    classes = small(keep(class_table(reqs, metrics)))
     layer = keep(first_layer(reqs, metrics))
     layers = layer
     for _ in range(max_hops):
@@ -102,38 +103,6 @@ def forward_layers(links: DataFrame, requests: DataFrame, max_hops: int, metrics
     return layers
 
 
-def skyline(df: DataFrame, keys: list[str], dims: list[str], k: int = 1) -> DataFrame:
-    """Rows that fewer than k others of their keys dominate (no coordinate larger, one smaller); equal rows stay.
-
-    One or two dimensions: one sort per key with running minima.  More, or k > 1: an anti join within the keys."""
-    if k == 1 and len(dims) == 1:
-        w = Window.partitionBy(*keys)
-        return df.withColumn("__m", F.min(dims[0]).over(w)).filter(F.col(dims[0]) == F.col("__m")).drop("__m")
-    if k == 1 and len(dims) == 2:
-        a, b = dims
-        before = Window.partitionBy(*keys).orderBy(a).rangeBetween(Window.unboundedPreceding, -1)
-        level = Window.partitionBy(*keys).orderBy(a).rangeBetween(Window.currentRow, Window.currentRow)
-        marked = df.withColumns({"__m": F.min(b).over(before), "__s": F.min(b).over(level)})
-        return marked.filter(((F.col("__m").isNull()) | (F.col("__m") > F.col(b))) & (F.col("__s") == F.col(b))).drop("__m", "__s")
-    other = df.select(*[F.col(c).alias(f"o_{c}") for c in (*keys, *dims)])
-    worse = None
-    for c in keys:
-        test = F.col(c) == F.col(f"o_{c}")
-        worse = test if worse is None else worse & test
-    some = None
-    for d in dims:
-        worse = worse & (F.col(f"o_{d}") <= F.col(d))
-        less = F.col(f"o_{d}") < F.col(d)
-        some = less if some is None else some | less
-    if k == 1:
-        return df.join(other.distinct(), worse & some, "left_anti")
-    rows = df.withColumn("__id", F.monotonically_increasing_id())
-    rows = keep(rows)
-    other = rows.select(*[F.col(c).alias(f"o_{c}") for c in (*keys, *dims)])
-    beaten = rows.join(other, worse & some).groupBy("__id").count().filter(F.col("count") >= k).select("__id")
-    return rows.join(beaten, "__id", "left_anti").drop("__id")
-
-
 @dataclass
 class Result:
     """answers: req_id, status, hops, metrics, path (array), rank; stats: length n, step, generated, kept, completed."""
@@ -142,8 +111,10 @@ class Result:
     stats: list[tuple]
 
 
-def walk_back(links: DataFrame, layers: DataFrame, start: DataFrame, n: int, q: PathQuery, incumbent: DataFrame | None, stats: list | None) -> DataFrame:
-    """All surviving paths of exactly n links for the requests in ``start`` (req_id, class_id, src, dst, bw_min, max_*)."""
+def walk_back(links: DataFrame, layers: DataFrame, start: DataFrame, n: int, q: PathQuery, incumbent: DataFrame | None, stats: list | None, complete: DataFrame | None = None) -> DataFrame:
+    """All surviving paths of exactly n links for the requests in ``start`` (req_id, class_id, src, dst, bw_min, max_*).
+
+    incumbent: the cost to meet per request; complete: paths found so far, which drop the suffixes they dominate."""
     m = q.metrics
     zero = [F.lit(0).cast("bigint").alias(x) for x in m]
     head = start.select("req_id", "class_id", "src", "bw_min", *[f"max_{x}" for x in m], F.col("dst").alias("head"), F.array("dst").alias("path"), *zero)
@@ -166,6 +137,15 @@ def walk_back(links: DataFrame, layers: DataFrame, start: DataFrame, n: int, q:
                 rows = rows.filter(f"__inc is null or {q.objective} + best_{q.objective} <= __inc")
         elif q.prune & {"bound", "dom"} and q.objective != "hops":
             rows = rows.filter(f"__inc is null or {q.objective} <= __inc")
+        if complete is not None:
+            # with labels, the least total of any completion is compared
+            least = {x: F.col(x) + F.col(f"best_{x}") if "prefix" in q.prune else F.col(x) for x in m}
+            known = complete.select(F.col("req_id").alias("c_req"), *[F.col(x).alias(f"c_{x}") for x in m])
+            beaten, less = F.col("req_id") == F.col("c_req"), F.lit(False)
+            for x in m:
+                beaten = beaten & (F.col(f"c_{x}") <= least[x])
+                less = less | (F.col(f"c_{x}") < least[x])
+            rows = rows.join(known, beaten & less, "left_anti")
         head = rows.select("req_id", "class_id", "src", "bw_min", *[f"max_{x}" for x in m], F.col("u").alias("head"), F.concat(F.array("u"), "path").alias("path"), *m, "__inc")
         if "dom" in q.prune:
             head = skyline(head, ["req_id", "head"], list(m))
@@ -183,7 +163,7 @@ def ldp_general(links: DataFrame, requests: DataFrame, q: PathQuery = PathQuery(
     """The layered double-pass search for all requests at once."""
     m = q.metrics
     reqs = keep(with_classes(requests, m))
-    classes = class_table(reqs, m)
+    classes = small(keep(class_table(reqs, m)))
     start = reqs.select("req_id", "class_id", "src", "dst", F.col("bw").alias("bw_min"), *[F.col(x).alias(f"max_{x}") for x in m])
     found: DataFrame | None = reqs.filter("src = dst").select("req_id", F.lit(0).alias("hops"), *[F.lit(0).cast("bigint").alias(x) for x in m], F.array("src").alias("path"))
     found = None if empty(found) else found
@@ -203,7 +183,7 @@ def ldp_general(links: DataFrame, requests: DataFrame, q: PathQuery = PathQuery(
         arrived = keep(todo.join(layer.select("class_id", F.col("v").alias("dst")), ["class_id", "dst"], "left_semi"))
         if empty(arrived):
             continue
-        paths = feasible(walk_back(links, layers, arrived, n, q, _incumbent(found, q), log), m)
+        paths = feasible(walk_back(links, layers, arrived, n, q, _incumbent(found, q), log, _complete(found, q)), m)
         new = keep(paths.select("req_id", F.lit(n).alias("hops"), *m, "path"))
         if log is not None:
             log.append((n, 0, 0, new.count()))
@@ -225,6 +205,11 @@ def _incumbent(found: DataFrame | None, q: PathQuery) -> DataFrame | None:
     return ranked.filter(F.size("all") >= q.k).select("req_id", F.get("all", F.lit(q.k - 1)).alias(q.objective))
 
 
+def _complete(found: DataFrame | None, q: PathQuery) -> DataFrame | None:
+    """Complete paths that may drop suffixes: they are shorter than those still made, so they win every tie."""
+    return found if "incumbents" in q.prune and (q.objective != "hops" or q.pareto) else None
+
+
 def best_of(found: DataFrame, q: PathQuery) -> DataFrame:
     if q.pareto:
         return skyline(found, ["req_id"], list(q.metrics))

@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from boundpath.loop import empty, keep
+from boundpath.loop import empty, keep, small
 
 
 def relax(links: DataFrame, requests: DataFrame, metric: str | None, bounded: bool, max_hops: int, stop: str, improve: bool = True) -> tuple[DataFrame, DataFrame, bool]:
@@ -21,6 +21,7 @@ def relax(links: DataFrame, requests: DataFrame, metric: str | None, bounded: bo
     bound = F.col(metric).cast("bigint") if bounded else F.lit(None).cast("bigint")
     reqs = requests.select(F.col("req_id").alias("cls"), "src", "dst", F.col("bw").alias("bw_min"), bound.alias("limit"))
     reqs = keep(reqs)
+    few = small(reqs)
     layer = keep(reqs.select("cls", F.lit(0).alias("k"), F.col("src").alias("v"), F.lit(None).cast("bigint").alias("pred"), F.lit(0).cast("bigint").alias("dist")))
     layers, best = layer, layer.select("cls", "v", F.col("dist").alias("least"))
     arrived = keep(reqs.filter("src = dst").select("cls", F.lit(0).alias("k"), F.lit(0).cast("bigint").alias("dist")))
@@ -31,7 +32,7 @@ def relax(links: DataFrame, requests: DataFrame, metric: str | None, bounded: bo
         f = layer.select("cls", F.col("v").alias("u"), "dist")
         if stop == "first":
             f = f.join(arrived.select("cls"), "cls", "left_anti")
-        f = f.join(F.broadcast(reqs), "cls")
+        f = f.join(few, "cls")
         step = f.join(arcs, "u").filter("bw >= bw_min").withColumn("dist", F.col("dist") + F.col("w")).filter("limit is null or dist <= limit")
         top = F.min(F.struct("dist", F.col("u").alias("pred"))).alias("t")
         cand = step.filter("to != src").groupBy("cls", F.col("to").alias("v")).agg(top) if improve else step.groupBy("cls", F.col("to").alias("v")).agg(top)

@@ -19,11 +19,11 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from boundpath.baselines.kernels import Graph, layered
-from boundpath.loop import empty, keep
+from boundpath.loop import empty, keep, small
 from boundpath.services.lp import simplex
 from boundpath.topology.networks import STRETCH, table
 
-RESULT = "vn_id bigint, accepted int, cost double, paths int, hops bigint, cpu bigint"
+RESULT = "vn_id bigint, accepted int, cost double, load double, paths int, hops bigint, cpu bigint"
 
 
 def vn_nodes(spark: SparkSession, sf_dir: str, count: int = 40, size: int = 6) -> DataFrame:
@@ -237,7 +237,7 @@ def embed_one(sub: Substrate, nodes: dict, vlinks: list[tuple], method: str, fin
 
 
 def embed(substrate_nodes: DataFrame, links: DataFrame, nodes: DataFrame, vlinks: DataFrame, method: str = "joint", finder: str = "ldp") -> DataFrame:
-    """vn_id, accepted, cost, paths, hops, cpu of every virtual network, in order of vn_id within its pool (one pool here)."""
+    """vn_id, accepted, cost, load (the balanced cost), paths, hops, cpu of every virtual network, in order of vn_id within its pool (one pool here)."""
     cpu = {r.v: r.cpu for r in substrate_nodes.select("v", "cpu").collect()}
     arcs = [tuple(r) for r in links.select("src", "dst", "bw", "delay", "cost").collect()]
     packed = nodes.groupBy("vn_id").agg(F.collect_list(F.struct("pos", "cpu")).alias("nodes"))
@@ -250,14 +250,15 @@ def embed(substrate_nodes: DataFrame, links: DataFrame, nodes: DataFrame, vlinks
             wires = [(int(x["a"]), int(x["b"]), int(x["demand"]), int(x["delay_max"])) for x in r.links]
             got = embed_one(sub, own, wires, method, finder)
             if got is None:
-                out.append((r.vn_id, 0, None, 0, 0, 0))
+                out.append((r.vn_id, 0, None, None, 0, 0, 0))
                 continue
             placed, routes = got
             demands = {(a, b): d for a, b, d, _ in wires}
             cost = embedding_cost(sub, placed, own, routes, demands)
+            load = embedding_cost(sub, placed, own, routes, demands, True)
             sub.take(placed, own, routes, demands)
-            out.append((r.vn_id, 1, cost, len(routes), sum(len(p) - 1 for p in routes.values()), sum(own.values())))
-        return pd.DataFrame(out, columns=["vn_id", "accepted", "cost", "paths", "hops", "cpu"])
+            out.append((r.vn_id, 1, cost, load, len(routes), sum(len(p) - 1 for p in routes.values()), sum(own.values())))
+        return pd.DataFrame(out, columns=["vn_id", "accepted", "cost", "load", "paths", "hops", "cpu"])
 
     return packed.groupBy("pool").applyInPandas(run, RESULT)
 
@@ -269,9 +270,10 @@ def auction_winners(substrate_nodes: DataFrame, links: DataFrame, nodes: DataFra
     turn = F.row_number().over(Window.partitionBy("vn_id").orderBy(F.desc("cpu"), "pos"))
     asked = keep(nodes.withColumn("turn", turn).select("vn_id", "turn", F.col("cpu").alias("need")))
     last = asked.agg(F.max("turn")).first()[0] or 0
+    hosts = small(substrate_nodes.select("v", "cpu"))
     won = None
     for t in range(1, last + 1):
-        now = asked.filter(F.col("turn") == t).crossJoin(F.broadcast(substrate_nodes.select("v", "cpu")))
+        now = asked.filter(F.col("turn") == t).crossJoin(hosts)
         if won is not None:
             now = now.join(won.select("vn_id", F.col("winner").alias("v"), F.lit(1).alias("gone")), ["vn_id", "v"], "left")
         else:

@@ -9,7 +9,7 @@ from boundpath.baselines.exact import ext_dijkstra_bounded, path_links
 from boundpath.baselines.kernels import k_shortest, search
 from boundpath.loop import empty, keep
 from boundpath.search.single import ldp_single
-from boundpath.services.lp import max_min
+from boundpath.services.lp import max_min, simplex
 
 def _kernel(method: str):
     def find(links, requests):
@@ -78,6 +78,38 @@ def te_lp(links: DataFrame, flows: DataFrame, k: int, bounded: bool, max_hops: i
     return links.sparkSession.createDataFrame([(i, float(sum(x))) for i, x in zip(ids, got, strict=True)], "flow_id bigint, rate double")
 
 
+#: Columns of the largest arc program that is built.
+ARC_COLUMNS = 1000
+
+
+def te_arc_lp(links: DataFrame, flows: DataFrame) -> DataFrame:
+    """The largest rate that all flows can have at once, split over any links: flow_id, rate, links (how many it uses).
+
+    One variable for each flow and link, so it is for small graphs; flows without a path make the rate 0."""
+    arcs = [tuple(r) for r in links.select("src", "dst", "bw").collect()]
+    asks = sorted(tuple(r) for r in flows.select("flow_id", "src", "dst").collect())
+    n = len(arcs) * len(asks)
+    if n + 1 > ARC_COLUMNS:
+        raise ValueError(f"the arc program has {n + 1} columns, more than {ARC_COLUMNS}: use paths")
+    eq, le = [], []
+    for f, (_, src, dst) in enumerate(asks):
+        for v in sorted({a[0] for a in arcs} | {a[1] for a in arcs} | {src}):
+            if v == dst:
+                continue
+            row = [0.0] * (n + 1)
+            for e, (a, b, _) in enumerate(arcs):
+                row[f * len(arcs) + e] = float(a == v) - float(b == v)
+            row[n] = -1.0 if v == src else 0.0
+            eq.append((row, 0.0))
+    for e, (_, _, cap) in enumerate(arcs):
+        row = [0.0] * (n + 1)
+        row[e:n:len(arcs)] = [1.0] * len(asks)
+        le.append((row, float(cap)))
+    x, _ = simplex([0.0] * n + [-1.0], eq, le)
+    used = [sum(bool(x[f * len(arcs) + e] > 1e-9) for e in range(len(arcs))) for f in range(len(asks))]
+    return links.sparkSession.createDataFrame([(i, float(x[n]), used[f]) for f, (i, _, _) in enumerate(asks)], "flow_id bigint, rate double, links int")
+
+
 def te_scale(paths: DataFrame, caps: DataFrame, rounds: int = 20, eps: float = 0.3) -> DataFrame:
     """Approximate max-min by multiplicative weights: each round every flow sends one share over its lightest path, and the
     weights of its links grow.  paths: flow_id, rank, link_id rows; caps: link_id, cap.  (flow_id, rate)"""

@@ -82,3 +82,12 @@ def best(objective: str = "hops") -> str:
     order = {"hops": "hops, delay, cost, path", "cost": "cost, hops, delay, path"}[objective]
     return f"""SELECT q.req_id, CASE WHEN d.hops IS NULL THEN 'NONE' ELSE 'FOUND' END AS status, CAST(d.hops AS BIGINT) AS hops, d.delay, d.cost,
  array_to_string(d.path, '>') AS path FROM req q LEFT JOIN (SELECT *, row_number() OVER (PARTITION BY req_id ORDER BY {order}) AS r FROM done) d ON d.req_id = q.req_id AND d.r = 1"""
+
+
+#: Copies of earlier slots followed to an owner (even slots own themselves; the first vertex copies vertex 0).
+ATTACH = """far AS (SELECT s_suppkey AS i, e, 4 * s_suppkey + 2 * e + 1 AS cur FROM supplier, (VALUES (0), (1)) t(e) WHERE s_suppkey > 0),
+ chase AS (SELECT i, e, CAST(cur AS BIGINT) AS cur FROM far
+   UNION ALL SELECT i, e, CASE WHEN cur // 4 = 1 THEN -1 ELSE 4 + ((cur - 1) * 7919 + 104729 * ((cur % 4) // 2) + 13) % greatest((cur // 4) * 4 - 4, 1) END FROM chase WHERE cur > 0 AND cur % 2 = 1),
+ ends AS (SELECT DISTINCT greatest(i, g) AS a, least(i, g) AS b FROM (SELECT i, CASE WHEN cur < 0 THEN 0 ELSE cur // 4 END AS g FROM chase WHERE cur < 0 OR cur % 2 = 0) WHERE i <> g),
+ both_ways AS (SELECT a AS src, b AS dst, a + b AS q FROM ends UNION ALL SELECT b, a, a + b FROM ends),
+ attach AS (SELECT src * 1000000 + dst AS link_id, src, dst, 1 + q % 9 AS bw, 1 + (q * 37) % 1000 AS delay, 1 + (7 * q + 3) % 10 AS cost FROM both_ways)"""

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from boundpath.baselines import exact
+from boundpath.plans.plan import solve
 from boundpath.search import ldp, single
 from boundpath.topology import networks as N
 from boundpath.topology import oracle as O
@@ -75,9 +76,9 @@ for _name, _make, _sql in (
     ("n3_links", N.n3_links, O.n3() + " SELECT * FROM n3"),
     ("n4_links", N.n4_links, O.n4() + " SELECT * FROM n4"),
     ("waxman_links", N.waxman_links, O.WAXMAN + " SELECT * FROM waxman"),
-    ("attach_links", N.attach_links, None),
+    ("attach_links", N.attach_links, O.ATTACH + " SELECT * FROM attach"),
 ):
-    register(_name, "WITH " + _sql if _sql else None)(_make)
+    register(_name, ("WITH RECURSIVE " if _name == "attach_links" else "WITH ") + _sql)(_make)
 
 register("n3_nodes", "WITH " + O.N3NODE + " SELECT v, x, y, CAST(cpu AS BIGINT) AS cpu FROM n3node")(N.n3_nodes)
 
@@ -146,6 +147,7 @@ register("ldp_plain", _oracle("med", "hops"))(_ldp("med", "hops", ()))
 register("ldp_dom", _oracle("med", "cost"))(_ldp("med", "cost", ("dom",)))
 register("ldp_prefix", _oracle("med", "cost"))(_ldp("med", "cost", ("prefix",)))
 register("ldp_dom_prefix", _oracle("med", "cost"))(_ldp("med", "cost"))
+register("ldp_incumbents", _oracle("med", "cost"))(_ldp("med", "cost", ("prefix", "incumbents")))
 register("ldp_bound", _oracle("med", "cost"))(_ldp("med", "cost", ("bound",)))
 
 
@@ -217,6 +219,7 @@ def ldp_single_status(spark, d):
 
 
 register("ldp_links", _first_hop(None, "med"))(lambda spark, d: single.ldp_links(N.n1_links(spark, d), _ten(spark, d, "med")).select("req_id", "status", "hops"))
+register("bfs_links", _first_hop(None, "med"))(lambda spark, d: solve(N.n1_links(spark, d), _ten(spark, d, "med"), ()).select("req_id", "status", "hops"))
 register("ldp_links_cost", _least("l.cost", "med", "cost"))(lambda spark, d: single.ldp_links_cost(N.n1_links(spark, d), _ten(spark, d, "med")).select("req_id", "status", "cost"))
 
 

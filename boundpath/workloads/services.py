@@ -38,6 +38,15 @@ def _kernel(method, severity, objective):
 for _name, _method, _obj in (("edfs", "edfs", "cost"), ("edfs_hops", "edfs", "hops"), ("ldp_dfs", "dfs", "hops"), ("ldp_kshort_policy", "kshort", "cost"), ("kshort_exact", "kshort_exact", "cost")):
     register(_name, P._oracle("med", _obj))(_kernel(_method, "med", _obj))
 
+
+
+@register("dfs_links", P._first_hop(None, "med"))
+def dfs_links(spark, d):
+    """Depth first with link bounds alone."""
+    free = N.requests(spark, d, "med", 10).withColumns({"delay": F.lit(1 << 40), "cost": F.lit(1 << 40)})
+    return kernels.search(N.n1_links(spark, d), free, "edfs", "hops", 16).select("req_id", "status", "hops")
+
+
 _FREE = P._ranked_sql("med", "cost, hops, delay, path", "r <= 3", 5).replace("AND w.delay + l.delay <= w.dmax AND w.cost + l.cost <= w.cmax", "")
 
 
@@ -131,7 +140,10 @@ def flows(spark, d, count=50, severity=4.0):
     return f.filter("src != dst")
 
 
-@register("te_greedy_round1")
+_ROUND1 = P._first_hop("delay", "low").replace(O.requests("low", "10"), f"req AS (SELECT * FROM (SELECT r AS req_id, r * 31 % n AS src, (r * 17 + 7) % n AS dst, CAST(0 AS BIGINT) AS bw, CAST({4 * N.STRETCH} AS BIGINT) AS delay FROM (SELECT unnest(range(10)) AS r), (SELECT count(*) AS n FROM supplier)) WHERE src <> dst)")
+
+
+@register("te_greedy_round1", _ROUND1)
 def te_greedy_round1(spark, d):
     """Best paths of the first filling round."""
     return T.FINDERS["ldp"](N.n1_links(spark, d), T.flow_requests(flows(spark, d, 10))).select("req_id", "status", "hops", "delay")
@@ -157,6 +169,12 @@ def te_lp_kshort(spark, d):
     return T.te_lp(N.n1_links(spark, d), flows(spark, d, 12), 3, False).withColumn("rate", F.round("rate", 6))
 
 
+@register("te_arc_lp")
+def te_arc_lp(spark, d):
+    """The testbed's flows by the arc program."""
+    return T.te_arc_lp(N.n4_links(spark, d), testbed_requests(spark).withColumnRenamed("req_id", "flow_id")).withColumn("rate", F.round("rate", 6))
+
+
 def _path_rows(spark, d):
     """Links of the low pool's paths as (flow_id, path_no, rank, link_id)."""
     n1 = N.n1_links(spark, d).select("link_id", F.col("src").alias("a"), F.col("dst").alias("b"))
@@ -207,6 +225,16 @@ for _m in ("joint", "colgen", "auction"):
     for _f in ("dijkstra", "ldp"):
         register(f"embed_{_m}_{_f}")(_embed(_m, _f, 2))
         register(f"chain_{_m}_{_f}")(_embed(_m, _f, chain=0.5))
+@register("embed_gap")
+def embed_gap(spark, d):
+    """Balanced cost over that of the exact placement, on small requests."""
+    best, out = _embed("opt", "ldp", 1, 3, 2)(spark, d), None
+    for m in ("joint", "colgen", "auction"):
+        one = M.optimality_gap(_embed(m, "ldp", 1, 3, 2)(spark, d), best).select(F.lit(m).alias("method"), "vn_id", "gap")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 register("embed_opt")(_embed("opt", "ldp", 1, 3, 2))
 
 

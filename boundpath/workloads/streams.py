@@ -53,6 +53,11 @@ ORACLES = {
     "load_sliding": f"WITH {_C}, w AS (SELECT date_trunc('hour', ts) - INTERVAL (k) HOUR AS start, link_id, amount FROM c, (VALUES (0), (1)) t(k)) SELECT start, link_id, CAST(sum(amount) AS BIGINT) AS load FROM w GROUP BY 1, 2",
     "load_session": _SESS + ' SELECT start, "end", link_id, load, n FROM sess',
     "timeout_idle": _SESS + " SELECT link_id, count(*) AS sessions, max(n) AS longest FROM sess GROUP BY link_id",
+    "timeout_hard": f"""WITH RECURSIVE {_C}, held AS (SELECT link_id, min(ts) AS opened FROM c GROUP BY link_id
+   UNION ALL SELECT h.link_id, min(c.ts) FROM held h JOIN c ON c.link_id = h.link_id AND c.ts >= h.opened + INTERVAL 1 HOUR GROUP BY h.link_id),
+ spans AS (SELECT link_id, opened, lead(opened) OVER (PARTITION BY link_id ORDER BY opened) AS next FROM held)
+SELECT s.link_id, epoch_us(s.opened) AS opened, CAST(sum(c.amount) AS BIGINT) AS load, count(*) AS n FROM spans s JOIN c ON c.link_id = s.link_id AND c.ts >= s.opened AND (s.next IS NULL OR c.ts < s.next)
+WHERE s.next IS NOT NULL OR s.opened + INTERVAL 1 HOUR < {_MARK} GROUP BY s.link_id, s.opened""",
     "stream_distinct": f"WITH {_C} SELECT event_id, link_id, amount FROM c",
     "stream_static_join": f"WITH {_C}, s AS (SELECT s_suppkey AS v, (s_suppkey * 7919 + CAST(s_nationkey AS BIGINT) * 104729) % 1000 AS x FROM supplier) SELECT event_id, link_id, x FROM c JOIN s ON v = link_id",
 }

@@ -7,8 +7,9 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from boundpath.baselines.exact import path_links
-from boundpath.functions.paths import path_pairs
-from boundpath.search.ldp import skyline
+from boundpath.baselines.kernels import search
+from boundpath.functions.paths import path_pairs, path_udtf
+from boundpath.operators.skyline import skyline
 from boundpath.topology import networks as N
 from boundpath.topology import oracle as O
 from boundpath.workloads.services import _PATHS, fixed_answers, fixed_loads
@@ -191,6 +192,25 @@ on_links("intersect_paths", "SELECT src, dst FROM n1 INTERSECT SELECT dst, src F
 on_links("except_paths", "SELECT bw FROM n1 EXCEPT ALL SELECT cost FROM n1")(lambda l: l.select("bw").exceptAll(l.select(F.col("cost").alias("bw"))))
 
 
+_BOTH = f"WITH RECURSIVE {O.n1()}, {O.requests('med', '10')}, {O.all_paths('n1', 7)}, short AS ({O.best('hops')}), cheap AS ({O.best('cost')}) SELECT req_id, path FROM short"
+
+
+def _found(spark, d, method, objective):
+    links, reqs = N.n1_links(spark, d), N.requests(spark, d, "med", 10)
+    return search(links, reqs, method, objective, 7).select("req_id", F.array_join("path", ">").alias("path"))
+
+
+@register("paths_common", _BOTH + " INTERSECT SELECT req_id, path FROM cheap")
+def paths_common(spark, d):
+    """Requests whose shortest path is the cheapest too."""
+    return _found(spark, d, "dfs", "hops").intersect(_found(spark, d, "dfs", "cost"))
+
+
+@register("paths_diff", _BOTH + " EXCEPT ALL SELECT req_id, path FROM cheap")
+def paths_diff(spark, d):
+    return _found(spark, d, "dfs", "hops").exceptAll(_found(spark, d, "edfs", "cost"))
+
+
 # scalar functions ---------------------------------------------------------------------------------------------------------
 @register("path_text", _PATHS + "SELECT req_id, array_to_string(path, '>') AS path FROM ans")
 def path_text(spark, d):
@@ -234,6 +254,14 @@ def path_to_links(spark, d):
 
 @register("path_to_links_udtf", _HOPS)
 def path_to_links_udtf(spark, d):
+    """The same by a table function in SQL."""
+    spark.udtf.register("boundpath_steps", path_udtf())
+    fixed_answers(spark, d).createOrReplaceTempView("boundpath_answers")
+    return spark.sql("SELECT req_id, pos, a, b FROM boundpath_answers, LATERAL boundpath_steps(path)")
+
+
+@register("path_to_links_arrow", _HOPS)
+def path_to_links_arrow(spark, d):
     """The same by an Arrow-batched Python kernel."""
     return path_pairs(fixed_answers(spark, d).select("req_id", "path"))
 

@@ -60,7 +60,7 @@ def as_path(rows):
 
 
 @pytest.mark.parametrize("objective", ["hops", "cost"])
-@pytest.mark.parametrize("prune", [(), ("dom",), ("prefix",), ("dom", "prefix")])
+@pytest.mark.parametrize("prune", [(), ("dom",), ("prefix",), ("dom", "prefix"), ("incumbents",), ("prefix", "incumbents")])
 def test_answers_do_not_depend_on_pruning(spark, objective, prune):
     arcs = random_graph(3)
     want = {r[0]: (p[0][3] if (p := brute(arcs, r, objective, 5)) else None) for r in POOL}
@@ -144,8 +144,42 @@ def test_k_best_all_and_pareto(spark):
     for r in POOL:
         v = {(p[1], p[2]) for p in brute(arcs, r, "hops", 5)}
         assert {x[1:] for x in front if x[0] == r[0]} == {x for x in v if not any(y != x and y[0] <= x[0] and y[1] <= x[1] for y in v)}
-    with pytest.raises(ValueError):
-        ldp.PathQuery(k=2, prune=frozenset({"dom"}))
+    front2 = ldp.ldp_general(links, reqs, ldp.PathQuery(prune=frozenset({"prefix", "incumbents"}), pareto=True, max_hops=5)).answers
+    assert {(r.req_id, r.delay, r.cost) for r in front2.collect() if r.path} == front
+    for pruning in ("dom", "incumbents"):
+        with pytest.raises(ValueError):
+            ldp.PathQuery(k=2, prune=frozenset({pruning}))
+
+
+def test_complete_paths_cut_suffixes(spark):
+    arcs = random_graph(3)
+    made = {}
+    for prune in ((), ("incumbents",)):
+        q = ldp.PathQuery(objective="cost", prune=frozenset(prune), max_hops=5)
+        made[prune] = sum(s[3] for s in ldp.ldp_general(links_of(spark, arcs), spark.createDataFrame(POOL, REQ), q, stats=True).stats if s[1])
+    assert made["incumbents",] < made[()]
+
+
+def test_answers_without_broadcast(spark, monkeypatch):
+    """Above the size limit the joins are Spark's choice; answers stay."""
+    from boundpath import loop
+
+    arcs, reqs = random_graph(4), spark.createDataFrame(POOL, REQ)
+    links = links_of(spark, arcs)
+    run = lambda: (as_path(ldp.ldp_general(links, reqs, ldp.PathQuery(max_hops=4)).answers.collect()), as_path(single.ldp_single(links, reqs).collect()))
+    want = run()
+    monkeypatch.setattr(loop, "SMALL_ROWS", 0)
+    assert run() == want and "ResolvedHint" not in loop.small(reqs)._jdf.queryExecution().analyzed().toString()
+
+
+def test_arc_program_equals_all_paths(spark):
+    """The common rate over arcs is the least max-min rate over all loop-free paths."""
+    arcs = random_graph(6, 5, 10)
+    asks = [(0, 0, 3), (1, 1, 4), (2, 2, 0)]
+    rows = te.te_arc_lp(links_of(spark, arcs), spark.createDataFrame(asks, "flow_id bigint, src bigint, dst bigint")).collect()
+    every = [[list(zip(p[3], p[3][1:])) for p in brute(arcs, (0, s, t, 0, 10**6, 10**6))] for _, s, t in asks]
+    got = lp.max_min(every, {(a, b): bw for a, b, bw, _, _ in arcs})
+    assert all(every) and {round(r.rate, 6) for r in rows} == {round(min(sum(x) for x in got), 6)}
 
 
 def test_skyline(spark):
@@ -161,6 +195,7 @@ def test_method_choice(spark):
     assert solve(links, reqs, max_hops=3).first().path == [0, 2, 1, 3]
     assert solve(links, reqs, ("delay",)).first().path == [0, 2, 1, 3]
     assert solve(links, reqs, policy="ebfs", max_hops=3).first().path == [0, 2, 1, 3]
+    assert solve(links, reqs, max_hops=3, strategy="auto").first().path == [0, 2, 1, 3]
     assert "method general" in explain_path(links, reqs)
 
 
