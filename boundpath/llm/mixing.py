@@ -23,6 +23,8 @@ from boundpath.llm.shared import count_words, materialise, read_table
 WEIGHTS = (5, 2, 1)
 MOST = 3
 BINS = 1024
+#: Most rows of targets or cuts that are broadcast; with more, Spark chooses the join.
+BROADCAST_ROWS = 1_000_000
 
 
 def water_fill(sizes: list[int], weights: list[float], total: float, most: float = MOST) -> list[float]:
@@ -43,6 +45,11 @@ def water_fill(sizes: list[int], weights: list[float], total: float, most: float
     return target
 
 
+def _few(df: DataFrame, rows: int) -> DataFrame:
+    """``df`` with a broadcast hint if it has at most BROADCAST_ROWS; rows: a bound on its size."""
+    return F.broadcast(df) if rows <= BROADCAST_ROWS else df
+
+
 def source_targets(sized: DataFrame, weights=WEIGHTS, most: float = MOST, share: float = 1.0) -> DataFrame:
     """(source, source_size, target): a row per source.  Sources come in code point order, null last, and take the
     weights in turn.  Source sums come to the driver: sources are names of collections, far fewer than documents."""
@@ -70,13 +77,14 @@ def mix(docs: DataFrame, weights=WEIGHTS, most: int = MOST, share: float = 1.0,
     )
     sized = materialise(sized, "sized")
     aims = source_targets(sized, weights, most, share)
+    n_sources = aims.count()
     if weight_col:
         mean = sized.groupBy("source").agg((F.sum(F.col("weight") * F.col("size")) / F.sum("size")).alias("mean"))
         aims = aims.join(mean, aims.source.eqNullSafe(mean.source)).select(aims["*"], F.coalesce("mean", F.lit(1.0)).alias("mean"))
     else:
         aims = aims.withColumn("mean", F.lit(1.0))
     aims = aims.withColumnRenamed("source", "aim")
-    df = sized.join(F.broadcast(aims), F.col("source").eqNullSafe(F.col("aim"))).drop("aim")
+    df = sized.join(_few(aims, n_sources), F.col("source").eqNullSafe(F.col("aim"))).drop("aim")
     expected = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size") * F.col("weight") / F.when(F.col("mean") > 0, F.col("mean")).otherwise(1.0)).otherwise(0.0)
     df = df.withColumn("expected", F.least(expected, F.lit(float(most))))
     df = df.withColumn("whole", F.floor(F.col("expected") + 1e-12).cast("bigint"))
@@ -93,7 +101,7 @@ def mix(docs: DataFrame, weights=WEIGHTS, most: int = MOST, share: float = 1.0,
     edges = edges.withColumnsRenamed({"source": "e_source", "bin": "e_bin"})
     certain = certain.join(aims.select("aim", "target"), F.col("source").eqNullSafe(F.col("aim"))).select(F.col("aim").alias("c_source"), (F.col("target") - F.col("sure")).alias("want"))
     cut = edges.join(certain, F.col("e_source").eqNullSafe(F.col("c_source"))).select("e_source", "e_bin", "want", (F.col("upto") - F.col("words")).alias("from"), "upto")
-    df = df.join(F.broadcast(cut), F.col("source").eqNullSafe(F.col("e_source")) & (F.col("bin") == F.col("e_bin")), "left")
+    df = df.join(_few(cut, n_sources * bins), F.col("source").eqNullSafe(F.col("e_source")) & (F.col("bin") == F.col("e_bin")), "left")
     inside = (F.col("from") < F.col("want")) & (F.col("upto") > F.col("want"))
     plain = df.filter(~F.coalesce(inside, F.lit(False))).withColumn("extra", F.when(F.col("upto") <= F.col("want"), 1).otherwise(0))
     order = Window.partitionBy("source").orderBy("rank", "doc_id", "text_key").rowsBetween(Window.unboundedPreceding, 0)
