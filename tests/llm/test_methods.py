@@ -257,6 +257,25 @@ def test_scores(spark):
     assert abs(sum(r.base_score for r in few) - sum(r.base_score for r in many)) < 1e-3
 
 
+def test_scores_use_every_context(spark):
+    """Few broadcast prices and many small tasks change nothing: all contexts of the training texts count."""
+    from pyspark.sql import functions as F
+
+    rows = [(r.doc_id, r.text) for r in read_table(spark, SF, "documents").select("doc_id", "text").orderBy("doc_id").limit(40).collect()]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string")
+    held = F.col("doc_id") % 3 == 0
+    w = next(textkernel.words(pa.array([t for i, t in rows if i % 3]), limit=1 << 30))
+    keys, n = np.unique(ctw.strings(w, 5)[0], return_counts=True)
+    tree = ctw.ContextTree(ctw.shorter(keys, n, 0, 5))
+    want = {}
+    for i, t in rows:
+        want[i] = tree.log10(ctw.strings(next(textkernel.words(pa.array([t]), limit=1 << 30)), 5)[0]).sum()
+    for more in ({}, {"entries": 300, "part": 2000}, {"entries": 0}):
+        got = {r.doc_id: r.score for r in ctw.score_texts(docs, held, **more).collect()}
+        assert got.keys() == want.keys()
+        assert all(abs(got[i] - want[i]) < 1e-6 * abs(want[i]) + 1e-9 for i in want)
+
+
 def test_best_fit_decreasing():
     rng = random.Random(7)
     for _ in range(30):
