@@ -228,8 +228,10 @@ def _as_row(req_id, key, made, objective):
     return req_id, "FOUND", hops, delay, cost, list(path), made
 
 
-def search(links: DataFrame, requests: DataFrame, method: str, objective: str = "hops", max_hops: int = 8) -> DataFrame:
-    """Answers of a kernel for every request, with the number of partial paths (or program nodes) it made."""
+def search(links: DataFrame, requests: DataFrame, method: str, objective: str = "hops", max_hops: int | None = 8) -> DataFrame:
+    """Answers of a kernel for every request, with the number of partial paths (or program nodes) it made.
+
+    max_hops None: as many as a loop-free path can have."""
     sent = _broadcast(links)
 
     def run(frames):
@@ -240,7 +242,7 @@ def search(links: DataFrame, requests: DataFrame, method: str, objective: str =
                 if r.src == r.dst:
                     rows.append((r.req_id, "FOUND", 0, 0, 0, [r.src], 0))
                 else:
-                    rows.append(_as_row(r.req_id, *SEARCHES[method](g, r, objective, max_hops), objective))
+                    rows.append(_as_row(r.req_id, *SEARCHES[method](g, r, objective, len(g.vertices) if max_hops is None else max_hops), objective))
             yield _frame(rows, ["req_id", "status", "hops", "delay", "cost", "path", "generated"])
 
     parts = max(1, min(64, requests.sparkSession.sparkContext.defaultParallelism))

@@ -7,17 +7,19 @@ layers, one join each.
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from boundpath.loop import empty, keep, small
 
 
-def relax(links: DataFrame, requests: DataFrame, metric: str | None, bounded: bool, max_hops: int, stop: str, improve: bool = True) -> tuple[DataFrame, DataFrame, bool]:
+def relax(links: DataFrame, requests: DataFrame, metric: str | None, bounded: bool, max_hops: int | None, stop: str, improve: bool = True) -> tuple[DataFrame, DataFrame, bool]:
     """(layers, arrivals, still growing).  layers: cls, k, v, pred, dist; a class is a request.
 
     metric None counts hops.  stop ``first``: a request leaves when its destination is in a layer; ``end``: all layers until
-    none improves.  improve False keeps every layer's least distances, also those that don't improve (exact hop counts)."""
+    none improves.  max_hops None: until no layer grows (weights not negative).  improve False keeps every layer's least distances, also those that don't improve (exact hop counts)."""
     bound = F.col(metric).cast("bigint") if bounded else F.lit(None).cast("bigint")
     reqs = requests.select(F.col("req_id").alias("cls"), "src", "dst", F.col("bw").alias("bw_min"), bound.alias("limit"))
     reqs = keep(reqs)
@@ -28,7 +30,7 @@ def relax(links: DataFrame, requests: DataFrame, metric: str | None, bounded: bo
     weight = F.col(metric) if metric else F.lit(1)
     arcs = links.select(F.col("src").alias("u"), F.col("dst").alias("to"), "bw", weight.cast("bigint").alias("w"))
     growing = False
-    for k in range(1, max_hops + 1):
+    for k in count(1) if max_hops is None else range(1, max_hops + 1):
         f = layer.select("cls", F.col("v").alias("u"), "dist")
         if stop == "first":
             f = f.join(arrived.select("cls"), "cls", "left_anti")
@@ -71,7 +73,7 @@ def _finish(requests: DataFrame, paths: DataFrame, name: str) -> DataFrame:
     return out.select("req_id", F.when(F.col("hops").isNull(), "NONE").otherwise("FOUND").alias("status"), "hops", F.col("dist").alias(name), "path")
 
 
-def ldp_single(links: DataFrame, requests: DataFrame, metric: str = "delay", max_hops: int = 16) -> DataFrame:
+def ldp_single(links: DataFrame, requests: DataFrame, metric: str = "delay", max_hops: int | None = 16) -> DataFrame:
     """Fewest hops under link bounds and one path bound; of these, least (distance, predecessor) layer by layer."""
     layers, arrived, _ = relax(links, requests, metric, True, max_hops, "first")
     return _finish(requests, trace(layers, requests, keep(arrived)), metric)

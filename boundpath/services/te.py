@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from functools import partial
+from itertools import count
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -13,13 +16,13 @@ from boundpath.services.lp import max_min, simplex
 
 def _kernel(method: str):
     def find(links, requests):
-        return search(links, requests.withColumn("cost", F.lit(1 << 40)), method, "hops", 16)
+        return search(links, requests.withColumn("cost", F.lit(1 << 40)), method, "hops", None)
 
     return find
 
 
 #: Path finders: kernels over a broadcast graph of checked size, and the DataFrame loops for larger ones.
-FINDERS = {"ldp": _kernel("dfs"), "ext_dijkstra": _kernel("least_delay"), "ldp_loop": ldp_single, "ext_dijkstra_loop": ext_dijkstra_bounded}
+FINDERS = {"ldp": _kernel("dfs"), "ext_dijkstra": _kernel("least_delay"), "ldp_loop": partial(ldp_single, max_hops=None), "ext_dijkstra_loop": ext_dijkstra_bounded}
 
 
 def flow_requests(flows: DataFrame) -> DataFrame:
@@ -27,16 +30,16 @@ def flow_requests(flows: DataFrame) -> DataFrame:
     return flows.select(F.col("flow_id").alias("req_id"), "src", "dst", F.lit(0).cast("bigint").alias("bw"), "delay")
 
 
-def te_greedy(links: DataFrame, flows: DataFrame, finder: str = "ldp", max_rounds: int = 60) -> tuple[DataFrame, DataFrame]:
+def te_greedy(links: DataFrame, flows: DataFrame, finder: str = "ldp", max_rounds: int | None = None) -> tuple[DataFrame, DataFrame]:
     """(rates: flow_id, rate, hops; loads: link_id, load).  All active flows rise together on their best path until a link
     is full; full links go, flows over them look for their next path, flows without one stop.
 
     Rates are in thousandths of a unit, whole numbers, so that filling is exact; a link with less left than one unit for
-    each of its flows counts as full."""
+    each of its flows counts as full.  Every round fills a link, so filling ends; flows left after ``max_rounds`` are an error."""
     rates = keep(flows.select("flow_id", F.lit(0).cast("bigint").alias("rate"), F.lit(0).cast("bigint").alias("weighted")))
     residual = keep(links.select("link_id", "src", "dst", "bw", "delay", "cost", (F.col("bw") * 1000).alias("left")))
     active, paths = flows, None
-    for _ in range(max_rounds):
+    for done in count():
         todo = flow_requests(active)
         if paths is not None:
             todo = todo.join(paths.select("req_id"), "req_id", "left_anti")
@@ -45,6 +48,8 @@ def te_greedy(links: DataFrame, flows: DataFrame, finder: str = "ldp", max_round
         paths = keep(new if paths is None else paths.unionByName(new))
         if empty(paths):
             break
+        if max_rounds is not None and done >= max_rounds:
+            raise RuntimeError(f"flows still have paths after {max_rounds} rounds")
         active = keep(active.join(paths.select(F.col("req_id").alias("flow_id")), "flow_id", "left_semi"))
         over = path_links(paths).join(residual.select("link_id", F.col("src").alias("a"), F.col("dst").alias("b"), "left"), ["a", "b"])
         load = keep(over.groupBy("link_id").agg(F.count("*").alias("n"), F.first("left").alias("left")))

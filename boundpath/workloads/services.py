@@ -151,12 +151,12 @@ def te_greedy_round1(spark, d):
 
 @register("te_greedy")
 def te_greedy(spark, d):
-    return T.te_greedy(N.n1_links(spark, d), flows(spark, d, 10), max_rounds=12)[0]
+    return T.te_greedy(N.n1_links(spark, d), flows(spark, d, 10))[0]
 
 
 @register("te_greedy_dijkstra")
 def te_greedy_dijkstra(spark, d):
-    return T.te_greedy(N.n1_links(spark, d), flows(spark, d, 10), "ext_dijkstra", max_rounds=12)[0]
+    return T.te_greedy(N.n1_links(spark, d), flows(spark, d, 10), "ext_dijkstra")[0]
 
 
 @register("te_lp_small")

@@ -232,6 +232,19 @@ def test_two_flows_share_or_block(spark):
     assert as_path(single.ldp_single(links, tight).collect())[1] == (0, 2, 1)
 
 
+def test_filling_ends_with_the_paths(spark):
+    """A path of 18 links is used, and rounds that run out while flows have paths are an error."""
+    links = links_of(spark, [(i, i + 1, 10, 1, 1) for i in range(18)])
+    flows = spark.createDataFrame([(1, 0, 18, 99)], "flow_id bigint, src bigint, dst bigint, delay bigint")
+    for finder in ("ldp", "ldp_loop"):
+        assert te.te_greedy(links, flows, finder)[0].first().rate == 10000
+    twice = links_of(spark, [(0, 1, 1, 1, 1), (0, 2, 1, 1, 1), (2, 1, 1, 1, 1)])
+    one = spark.createDataFrame([(1, 0, 1, 99)], "flow_id bigint, src bigint, dst bigint, delay bigint")
+    assert te.te_greedy(twice, one)[0].first().rate == 2000
+    with pytest.raises(RuntimeError):
+        te.te_greedy(twice, one, max_rounds=1)
+
+
 def test_simplex_and_fairness():
     x, value = lp.simplex([-3, -5], [], [([1, 0], 4), ([0, 2], 12), ([3, 2], 18)])
     assert abs(value + 36) < 1e-9 and abs(x[0] - 2) < 1e-9
