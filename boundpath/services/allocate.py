@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -11,15 +13,17 @@ from boundpath.baselines.kernels import search
 from boundpath.loop import empty, keep
 
 
-def allocate(links: DataFrame, requests: DataFrame, mode: str = "strict", method: str = "dfs", max_hops: int = 8, max_rounds: int = 40) -> tuple[DataFrame, DataFrame]:
+def allocate(links: DataFrame, requests: DataFrame, mode: str = "strict", method: str = "dfs", max_hops: int = 8) -> tuple[DataFrame, DataFrame]:
     """(decisions: req_id, accepted, hops, path; loads: link_id, load).  A request takes its bw from every link of its path.
 
     strict: as if one request came after the other.  All pending are solved on one snapshot, the longest prefix (by
     req_id) whose paths fit together is committed, and the rest is solved anew; capacity only shrinks, so a snapshot's best
-    path that still fits is still best.  rounds: every request that fits behind its predecessors of the round is committed."""
+    path that still fits is still best.  rounds: every request that fits behind its predecessors of the round is committed.
+
+    Every round decides the first request that is pending, so all requests get a decision."""
     residual = keep(links)
     pending, done = keep(requests), None
-    for _ in range(max_rounds):
+    for turn in count(1):
         found = keep(search(residual, pending, method, max_hops=max_hops))
         answered = found.join(pending.select("req_id", F.col("bw").alias("need")), "req_id")
         hop = path_links(answered.select("req_id", "path")).join(answered.select("req_id", "need"), "req_id")
@@ -35,7 +39,11 @@ def allocate(links: DataFrame, requests: DataFrame, mode: str = "strict", method
         commit = keep(commit.select("req_id", (F.col("status") == "FOUND").cast("int").alias("accepted"), "hops", "path", "need"))
         used = path_links(commit.select("req_id", "path")).join(commit.select("req_id", "need"), "req_id").groupBy("a", "b").agg(F.sum("need").alias("used"))
         residual = keep(residual.join(used, (F.col("src") == F.col("a")) & (F.col("dst") == F.col("b")), "left").withColumn("bw", F.col("bw") - F.coalesce("used", F.lit(0))).drop("a", "b", "used"))
+        if empty(commit) and not empty(pending):
+            raise RuntimeError("a round decided no request: req_id isn't unique")
         done = commit if done is None else done.unionByName(commit)
+        if turn % 16 == 0:
+            done = keep(done)
         pending = keep(pending.join(commit.select("req_id"), "req_id", "left_anti"))
         if empty(pending):
             break

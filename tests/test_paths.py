@@ -245,6 +245,15 @@ def test_filling_ends_with_the_paths(spark):
         te.te_greedy(twice, one, max_rounds=1)
 
 
+@pytest.mark.parametrize("n", (3, 42))
+def test_allocation_decides_every_request(spark, n):
+    """All requests want the same best path in every round, so each round decides one (42: over two minutes)."""
+    links = links_of(spark, [a for k in range(2, n + 2) for a in ((0, k, 1, k, 1), (k, 1, 1, 1, 1))])
+    reqs = spark.createDataFrame([(i, 0, 1, 1, 999, 99) for i in range(n)], REQ)
+    got = {r.req_id: r.path for r in allocate.allocate(links, reqs)[0].collect()}
+    assert got == {i: [0, i + 2, 1] for i in range(n)}
+
+
 def test_simplex_and_fairness():
     x, value = lp.simplex([-3, -5], [], [([1, 0], 4), ([0, 2], 12), ([3, 2], 18)])
     assert abs(value + 36) < 1e-9 and abs(x[0] - 2) < 1e-9
