@@ -336,5 +336,22 @@ def test_runs(spark, name):
     assert catalog.queries()[name](spark, SF).count() >= 0
 
 
+@pytest.mark.parametrize("gone", [("boundpath/llm", "tests/llm"), ("boundpath/llm", "tests/llm", "corpus_pipeline.py")])
+def test_entry_without_the_training_data_operators(tmp_path, gone):
+    """The path queries stay when the folders of the training-data operators are deleted."""
+    import shutil
+    import subprocess
+    import sys
+    from pathlib import Path
+
+    top, copy = Path(__file__).resolve().parent.parent, tmp_path / "repo"
+    shutil.copytree(top, copy, ignore=shutil.ignore_patterns(".git", "__pycache__", "*.json", "*.md"))
+    for name in gone:
+        shutil.rmtree(copy / name) if (copy / name).is_dir() else (copy / name).unlink(missing_ok=True)
+    code = "import __spark_entry__ as e; q, o = e.queries(), e.oracle_sql(); print(len(q), set(o) <= set(q), any(n.startswith('op') or n == 'pipeline' for n in q))"
+    done = subprocess.run([sys.executable, "-B", "-c", code], cwd=copy, capture_output=True, text=True, check=True, timeout=120)
+    assert done.stdout.split() == [str(len(catalog.queries())), "True", "False"]
+
+
 def test_entry(spark):
     assert catalog.entry(spark, SF).count() == 10
