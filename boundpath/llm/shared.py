@@ -1,73 +1,22 @@
-"""Shared storage for intermediate tables, and small Spark helpers."""
+"""Helpers that the training-data operators share: stored intermediate tables, words, ranks and skewed joins."""
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
+
+from boundpath.loop import drop as drop_materialised
+from boundpath.loop import fresh_path, remove, shared_dir
+from boundpath.loop import keep as materialise
+
+__all__ = ["drop_materialised", "fresh_path", "materialise", "remove", "shared_dir"]
 
 #: White space that separates words: a fixed value of the contracts (ASCII space and 0x09 to 0x0D).
 BLANKS = " \t\n\x0b\x0c\r"
 BLANK_RUN = r"[\x20\x09-\x0D]+"
-
-_made: list[str] = []
-_own_dir: list[str] = []
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share: ``spark.checkpoint.dir``; one of our own only where that is unset."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if not found:
-        option = spark.sparkContext._jsc.sc().getCheckpointDir()
-        found = option.get() if option.isDefined() else None
-    if not found:
-        if not _own_dir:
-            _own_dir.append("file://" + tempfile.mkdtemp(prefix="boundpath-"))
-        found = _own_dir[0]
-    return found.rstrip("/")
-
-
-def fresh_path(spark: SparkSession, tag: str) -> str:
-    path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
-    if not _made:
-        atexit.register(_remove_all, spark)
-    _made.append(path)
-    return path
-
-
-def remove(spark: SparkSession, path: str) -> None:
-    try:
-        jvm = spark.sparkContext._jvm
-        where = jvm.org.apache.hadoop.fs.Path(path)
-        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
-    except Exception:  # the session may have ended: a leftover is no harm to results
-        pass
-    if path in _made:
-        _made.remove(path)
-
-
-def _remove_all(spark: SparkSession) -> None:
-    for path in list(_made):
-        remove(spark, path)
-
-
-def materialise(df: DataFrame, tag: str) -> DataFrame:
-    """Write ``df`` to the shared folder and read it back: lineage ends there and lost executors cost no recomputation."""
-    spark = df.sparkSession
-    path = fresh_path(spark, tag)
-    df.write.parquet(path)
-    out = spark.read.schema(df.schema).parquet(path)
-    out._boundpath_path = path
-    return out
-
-
-def drop_materialised(df: DataFrame) -> None:
-    path = getattr(df, "_boundpath_path", None)
-    if path:
-        remove(df.sparkSession, path)
+#: A key with more than one row in so many is heavy; there are at most as many heavy keys, so they may be broadcast.
+HEAVY_SHARE = 4096
 
 
 def trimmed(text: Column) -> Column:
@@ -88,3 +37,32 @@ def count_words(text: Column) -> Column:
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+def join_keyed(rows: DataFrame, keyed: DataFrame, key: str, rows_of: str, total: int, how: str = "inner") -> DataFrame:
+    """``rows`` joined with ``keyed`` (one row for each non-null ``key``; column ``rows_of`` says how many of ``rows`` have it).
+
+    Heavy keys, of which there are at most HEAVY_SHARE, are broadcast, so that no task gets all rows of one; the others
+    are left to Spark.  ``rows_of`` is dropped.  how: ``inner``, or ``left``, where keys may be missing from ``keyed``."""
+    limit = total // HEAVY_SHARE
+    heavy = F.broadcast(keyed.filter(F.col(rows_of) > limit).drop(rows_of).withColumn("__heavy", F.lit(True)))
+    light = keyed.filter(F.col(rows_of) <= limit).drop(rows_of)
+    marked = rows.join(heavy, key, "left")
+    columns = [*rows.columns, *[c for c in light.columns if c != key]]
+    by_heavy = marked.filter("__heavy").select(*columns)
+    rest = marked.filter("__heavy is null").select(*rows.columns)
+    return by_heavy.unionByName(rest.join(light, key, how).select(*columns))
+
+
+def gapless(rows: DataFrame, keys: list[str], order: list[str], out: str, buckets: int = 64) -> DataFrame:
+    """Adds ``out``: 0, 1, 2, ... within each combination of ``keys``.
+
+    Rows are dealt over buckets by a hash of the ordering columns; counts per bucket give each bucket its first number,
+    so no task has to hold a whole group.  keys: not null."""
+    dealt = rows.withColumn("__bucket", F.pmod(F.xxhash64(*order), F.lit(buckets)).cast("int"))
+    counts = dealt.groupBy(*keys, "__bucket").agg(F.count("*").alias("__n"))
+    before = Window.partitionBy(*keys).orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = counts.select(*keys, "__bucket", F.coalesce(F.sum("__n").over(before), F.lit(0)).alias("__from"))
+    within = Window.partitionBy(*keys, "__bucket").orderBy(*order)
+    numbered = dealt.withColumn("__row", F.row_number().over(within)).join(offsets, [*keys, "__bucket"])
+    return numbered.withColumn(out, F.col("__from") + F.col("__row") - 1).drop("__bucket", "__row", "__from")

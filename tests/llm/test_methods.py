@@ -168,6 +168,26 @@ def test_decontamination_brute_force(spark):
     assert all(abs(got[k] - want[k]) < 1e-12 for k in got)
 
 
+def test_short_items_are_found_inside_documents(spark):
+    """Items of fewer words than a shingle match just these words in a row, wherever they stand."""
+    texts = ["we say to be or not to be in class", "to be or not", "to be or", "Not, to be: or. not", "be or not to", "x", "to be x or not"]
+    items = [(0, "To be or not"), (1, "x"), (2, "in class"), (3, "to be or not to be in class we")]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    out = decontaminate.contaminated(docs, spark.createDataFrame(items, "item_id bigint, text string")).collect()
+    assert {(r.doc_id, r.item_id) for r in out} == {(0, 0), (0, 2), (1, 0), (3, 0), (5, 1), (6, 1)}
+    assert {r.doc_id: (r.first_word, r.n_windows, r.similarity) for r in out if r.item_id == 0} == {0: (2, 1, 1.0), 1: (0, 1, 1.0), 3: (1, 1, 1.0)}
+
+
+def test_clean_documents_pass_the_sieve_whole(spark):
+    docs = read_table(spark, SF, "documents")
+    bench = read_table(spark, SF, "benchmark")
+    hit = {r.doc_id for r in decontaminate.contaminated(docs, bench).collect()}
+    for passes in (20_000, 11):
+        rest = decontaminate.drop_contaminated(docs, bench, items_per_pass=passes)
+        assert rest.schema == docs.schema
+        assert sorted(map(str, rest.collect())) == sorted(str(r) for r in docs.collect() if r.doc_id not in hit)
+
+
 def test_items_in_several_passes(spark):
     docs, bench = read_table(spark, SF, "documents"), read_table(spark, SF, "benchmark")
     one = {(r.doc_id, r.item_id, r.similarity) for r in decontaminate.contaminated(docs, bench).collect()}
@@ -276,39 +296,115 @@ def test_scores_use_every_context(spark):
         assert all(abs(got[i] - want[i]) < 1e-6 * abs(want[i]) + 1e-9 for i in want)
 
 
+def histogram(sizes):
+    return sorted(Counter(sizes).items(), reverse=True)
+
+
+def plain_best_fit(sizes, capacity):
+    """Loads of the bins, and the sizes in each: every item alone into the tightest bin, found by looking at all."""
+    remaining, held = [], []
+    for s in sorted(sizes, reverse=True):
+        fits = [(r, b) for b, r in enumerate(remaining) if r >= s]
+        if not fits:
+            fits = [(capacity, len(remaining))]
+            remaining.append(capacity)
+            held.append([])
+        b = min(fits)[1]
+        remaining[b] -= s
+        held[b].append(s)
+    return held
+
+
 def test_best_fit_decreasing():
+    """Packing the histogram is packing item by item."""
     rng = random.Random(7)
-    for _ in range(30):
-        sizes = [rng.randint(1, 60) for _ in range(rng.randint(1, 80))]
-        where = sharding.best_fit_decreasing(sizes, 60)
-        remaining, plain = [], {}
-        for i in sorted(range(len(sizes)), key=lambda i: (-sizes[i], i)):
-            fits = [(r, b) for b, r in enumerate(remaining) if r >= sizes[i]]
-            b = min(fits)[1] if fits else len(remaining)
-            if not fits:
-                remaining.append(60)
-            remaining[b] -= sizes[i]
-            plain[i] = b
-        assert where == [plain[i] for i in range(len(sizes))]
-    tree = sharding.RemainingTree()
-    for i in range(5000):
-        tree.add(i * 7 % 5003, i)
-    assert [tree.take_tightest(2500)[0] for _ in range(3)] == [2500, 2501, 2502]
+    for n in range(60):
+        sizes = [rng.randint(1, rng.choice([6, 60])) for _ in range(rng.randint(1, 200))]
+        runs, opened = sharding.best_fit_decreasing(histogram(sizes), 60)
+        held = [[] for _ in range(opened)]
+        for size, place, times in runs:
+            held[place] += [size] * times
+        assert held == plain_best_fit(sizes, 60)
+        assert sharding.best_fit_decreasing(histogram(sizes), 60, opened - 1) is None
+    assert sharding.best_fit_decreasing([(61, 1)], 60) is None
+
+
+def test_remaining_tree():
+    rng, tree, plain = random.Random(3), sharding.RemainingTree(), []
+    for i in range(4000):
+        if rng.random() < 0.6 or not plain:
+            plain.append((rng.randrange(500), i))
+            tree.add(*plain[-1])
+        else:
+            size = rng.randrange(520)
+            want = min((x for x in plain if x[0] >= size), default=None)
+            assert tree.take_tightest(size) == want
+            plain = [x for x in plain if x != want]
+
+    def check(node):
+        if node is None:
+            return 0
+        left, right = check(node.left), check(node.right)
+        assert abs(left - right) <= 1
+        return 1 + max(left, right)
+
+    assert check(tree._root) < 16
+
+
+@pytest.mark.parametrize("case", ["even", "one giant", "few", "ties"])
+def test_equal_shards(case):
+    rng = random.Random(5)
+    sizes = {"even": [rng.randint(17, 4000) for _ in range(3000)], "one giant": [10**7] + [rng.randint(17, 900) for _ in range(900)], "few": [5, 3], "ties": [40] * 801}[case]
+    loads, n = Counter(), Counter()
+    for size, place, times in sharding.pack_equal(histogram(sizes), 40):
+        loads[place] += size * times
+        n[size] += times
+    assert n == Counter(sizes) and set(loads) <= set(range(40))
+    if case == "even":
+        assert max(loads.values()) - min(loads.values()) <= 40
+    if case == "one giant":
+        rest = sorted(loads.values())[:-1]
+        assert max(loads.values()) == 10**7 and len(loads) == 40 and rest[-1] - rest[0] <= 100
+    if case == "ties":
+        assert max(loads.values()) == 21 * 40
+
+
+def sharded(spark, texts, **how):
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    return sharding.shard_documents(docs, **how).toPandas()
 
 
 def test_sharding(spark):
     out = registry.queries()["op4_sharding"](spark, SF).toPandas()
-    loads = out.groupby("shard")["size"].sum()
-    largest = out.groupby("text_crc32")["size"].sum().max()
-    assert loads.max() - loads.min() <= max(largest, loads.mean() * 0.02)
+    groups = out.groupby("text_crc32")["size"].sum()
+    want = Counter()
+    for size, place, times in sharding.pack_equal(histogram(groups.tolist()), 40):
+        want[place] += size * times
+    assert out.groupby("shard")["size"].sum().to_dict() == dict(want)  # the query's loads are those of the packing
     for _, part in out.groupby("shard"):
         assert sorted(part.slot) == list(range(len(part)))
     assert out.groupby("text_crc32").shard.nunique().max() == 1
-    docs = read_table(spark, SF, "documents")
-    fixed = sharding.shard_documents(docs, None, 40000).toPandas()
-    loads, groups = fixed.groupby("shard")["size"].sum(), fixed.groupby("text_crc32")["size"].sum()
-    assert (loads[loads > 40000] <= groups.max()).all()
-    assert fixed.shard.nunique() <= math.ceil(1.25 * fixed["size"].sum() / 40000) + (groups > 40000).sum()
+    texts = [r.text or "" for r in read_table(spark, SF, "documents").collect()]
+    assert Counter(out["size"]) == Counter(len(t.encode()) + 16 for t in texts)
+
+
+def test_fixed_capacity(spark):
+    """Shards of a capacity hold what item by item packing puts there; many small groups never overflow one."""
+    rng = random.Random(2)
+    texts = ["x" * rng.randint(0, 300) + str(i % 700) for i in range(1500)] + ["same text"] * 300 + ["y" * 9000] * 2
+    for how in ({}, {"most_bins": 40}):
+        out = sharded(spark, texts, shards=None, capacity=3000, **how)
+        loads, groups = out.groupby("shard")["size"].sum(), out.groupby("text_crc32")["size"].sum()
+        over = groups[groups > 3000]
+        assert sorted(loads[loads > 3000]) == sorted(over) and len(over) == 2  # groups beyond the capacity stand alone
+        assert out.groupby("text_crc32").shard.nunique().max() == 1
+        assert sorted(loads.index) == list(range(len(loads)))
+        alone = plain_best_fit([s for s in groups if s <= 3000], 3000)
+        if not how:
+            assert sorted(loads[loads <= 3000]) == sorted(map(sum, alone))
+        else:
+            assert len(loads) <= len(alone) + 2 + 5
+    assert sharded(spark, [], shards=None, capacity=10).empty
 
 
 def test_water_fill():
