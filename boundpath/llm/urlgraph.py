@@ -5,17 +5,21 @@ the host's standing decides: personalised PageRank spreads trust along links fro
 against the links from hosts with blocked pages (who links to blocked hosts is suspect).  A host is blocked where its
 distrust is at least ``floor`` of an average seed and exceeds its trust by ``ratio``.
 
-Ranks are per host and stay in DataFrames: one join and one partial aggregate per step.  Dangling mass goes back to the
+Ranks are per host and stay in DataFrames: one join and one partial aggregate per step, each step stored.  Steps go on until
+what later ones could still move is a tenth of the floor, so no host's verdict hangs on when they stop.  Dangling mass goes back to the
 seeds.  Defined cases: null url or no ``://`` has empty host and path, no rule, and is allowed; null html has no links;
 hosts without links and without seeds are allowed; repeated rows count as further evidence of the same links.
 """
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from boundpath.llm.shared import materialise, read_table
+from boundpath.loop import keep_counted
 
 #: (verdict, host, path prefix): fixed values of the contract.
 RULES = (
@@ -26,7 +30,7 @@ RULES = (
     ("block", "org", "/es/"),
 )
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-DAMPING, STEPS, RATIO, FLOOR = 0.85, 12, 1.0, 0.01
+DAMPING, RATIO, FLOOR = 0.85, 1.0, 0.01
 
 
 def host_of(url: Column) -> Column:
@@ -57,32 +61,38 @@ def host_edges(pages: DataFrame) -> DataFrame:
     return found.filter("src != dst and dst != ''").groupBy("src", "dst").agg(F.count("*").cast("double").alias("n"))
 
 
-def personalised_rank(edges: DataFrame, seeds: DataFrame, damping: float = DAMPING, steps: int = STEPS) -> DataFrame:
-    """(host, rank) after ``steps`` steps of PageRank with restart at the seeds; edges: (src, dst, n), seeds: (host,
-    weight).  Mass at hosts without out-links returns to the seeds, so ranks sum to 1."""
+def personalised_rank(edges: DataFrame, seeds: DataFrame, damping: float = DAMPING, tolerance: float = 1e-6) -> DataFrame:
+    """(host, rank) of PageRank with restart at the seeds, to within ``tolerance`` in the sum of all ranks' errors; edges: (src, dst, n), seeds: (host,
+    weight).  Mass at hosts without out-links returns to the seeds, so ranks sum to 1.
+
+    Ranks are proportional to the sum of what walks of 0, 1, 2, ... links bring from the seeds.  Each term has at most ``damping`` of
+    the mass of the one before, which bounds what is left out."""
     total = seeds.agg(F.sum("weight")).first()[0]
     if not total:
         return seeds.select("host", F.lit(0.0).alias("rank")).limit(0)
-    seeds = materialise(seeds.filter("weight > 0").select("host", (F.col("weight") / total).alias("s")), "seeds")
+    seeds = materialise(seeds.filter("weight > 0").select("host", (F.col("weight") / total).alias("x")), "seeds")
     out = edges.groupBy("src").agg(F.sum("n").alias("all"))
-    share = materialise(edges.join(out, "src").select("src", "dst", (F.col("n") / F.col("all")).alias("share")), "links")
-    if not share.head(1):
-        return seeds.select("host", F.col("s").alias("rank"))
-    rank = seeds.select("host", F.col("s").alias("rank"))
-    for step in range(steps):
-        sent = rank.join(share, rank.host == share.src).groupBy(F.col("dst").alias("host")).agg((F.sum(F.col("rank") * F.col("share")) * damping).alias("got"))
-        if step % 4 == 3:
-            sent = materialise(sent, "rank")
-            back = 1.0 - (sent.agg(F.sum("got")).first()[0] or 0.0)
-        else:
-            back = None
-        if back is None:
-            moved = sent.agg(F.coalesce(F.sum("got"), F.lit(0.0)).alias("moved"))
-            start = seeds.crossJoin(F.broadcast(moved)).select("host", ((1 - F.col("moved")) * F.col("s")).alias("got"))
-        else:
-            start = seeds.select("host", (F.col("s") * back).alias("got"))
-        rank = sent.union(start).groupBy("host").agg(F.sum("got").alias("rank"))
-    return rank
+    share = materialise(edges.join(out, "src").select("src", "dst", (F.col("n") / F.col("all") * damping).alias("share")), "links")
+    terms, mass = [seeds], 1.0
+    for step in count(1):
+        sent = terms[-1].join(share, F.col("host") == F.col("src")).groupBy(F.col("dst").alias("host")).agg(F.sum(F.col("x") * F.col("share")).alias("x"))
+        sent, seen = keep_counted(sent, "rank", mass=F.sum("x"))
+        terms.append(sent)
+        mass += seen["mass"] or 0.0
+        # what is left out changes the sum, and with it every rank: twice its share
+        if 2 * (seen["mass"] or 0.0) * damping / (1 - damping) <= tolerance * mass:
+            break
+        if step % 8 == 0:
+            before = _sum_terms(terms[:-1])
+            terms = [materialise(before, "rank"), sent]
+    return _sum_terms(terms).select("host", (F.col("x") / mass).alias("rank"))
+
+
+def _sum_terms(terms: list[DataFrame]) -> DataFrame:
+    out = terms[0]
+    for term in terms[1:]:
+        out = out.unionByName(term)
+    return out.groupBy("host").agg(F.sum("x").alias("x"))
 
 
 def host_standing(pages: DataFrame) -> DataFrame:
@@ -93,10 +103,11 @@ def host_standing(pages: DataFrame) -> DataFrame:
     )
     votes = materialise(votes, "hosts")
     # a seed weighs as the share of its pages that the rules judged so
-    trust = personalised_rank(edges, votes.select("host", (F.col("good") / F.col("pages")).alias("weight")).filter("weight > 0"))
-    back = edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "n")
-    distrust = personalised_rank(back, votes.select("host", (F.col("bad") / F.col("pages")).alias("weight")).filter("weight > 0"))
     n_bad = votes.filter("bad > 0").count()
+    enough = 0.1 * FLOOR / max(1, n_bad)
+    trust = personalised_rank(edges, votes.select("host", (F.col("good") / F.col("pages")).alias("weight")).filter("weight > 0"), tolerance=enough)
+    back = edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "n")
+    distrust = personalised_rank(back, votes.select("host", (F.col("bad") / F.col("pages")).alias("weight")).filter("weight > 0"), tolerance=enough)
     both = votes.select("host").join(trust.withColumnRenamed("rank", "trust"), "host", "left").join(distrust.withColumnRenamed("rank", "distrust"), "host", "left")
     both = both.na.fill(0.0, ["trust", "distrust"])
     return both.withColumn("blocked", (F.col("distrust") > F.col("trust") * RATIO) & (F.col("distrust") * max(1, n_bad) >= FLOOR))
