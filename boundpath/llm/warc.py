@@ -2,12 +2,12 @@
 
 Records are range-sorted by page id; a task writes its range to files that are rolled at a compressed size, each under a
 temporary name that is renamed when the file is whole, so a lost or repeated task leaves no half file under a final
-name.  Headers and digests are made anew from the payload.  The manifest (one row per file) is written last, under a
+name; a task repeated after its rename replaces the file by the same bytes.  Headers and digests are made anew from the payload.  The manifest (one row per file) is written last, under a
 temporary name too; readers take only files of the manifest, and check lengths and digests.
 
 Of records with equal payloads of at least ``min_revisit`` bytes, the one with the largest page id is the response, and
 the others are revisits that refer to it.  Defined cases: null html is an empty payload; null url an empty target; rows
-with a null page id sort first and never answer for others with one; repeated rows with the largest id are all responses.
+with a null page id sort first; they revisit an equal payload that has an id, and are responses where none has; repeated rows with the largest id are all responses.
 """
 
 from __future__ import annotations
@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from boundpath.llm.shared import fresh_path, materialise, read_table
+from boundpath.llm.shared import fresh_path, join_keyed, materialise, read_table
 
 MIN_REVISIT = 1000
 ROLL_BYTES = 16_000_000
@@ -95,6 +95,8 @@ def _writer(folder: str, roll: int):
             temporary = f"{base}/_tmp-{name}.{task.taskAttemptId()}"
             with store.open_output_stream(temporary, compression=None) as out:
                 out.write(data)
+            if store.get_file_info(f"{base}/{name}").type != fs.FileType.NotFound:
+                store.delete_file(f"{base}/{name}")  # an earlier attempt of this task: some stores refuse to rename onto it
             store.move(temporary, f"{base}/{name}")
             known = [i for i in ids if i is not None]
             row = (name, len(ids), len(data), hashlib.sha1(data).hexdigest(), min(known, default=None), max(known, default=None))
@@ -159,11 +161,11 @@ def write_warc(pages: DataFrame, folder: str, partitions: int | None = None, rol
     spark = pages.sparkSession
     payload = F.coalesce(F.col("html").cast("string"), F.lit("")).cast("binary")
     rows = pages.select(F.col("page_id").cast("bigint").alias("page_id"), F.col("url").cast("string").alias("url"), payload.alias("payload"), F.sha1(payload).alias("digest"))
-    facts = rows.filter((F.octet_length("payload") >= min_revisit) & F.col("page_id").isNotNull())
-    answers = facts.groupBy(F.col("digest").alias("a_digest")).agg(F.max("page_id").alias("answer"), F.count("*").alias("n")).filter("n > 1").select("a_digest", "answer")
-    answers = materialise(answers, "answers")
-    big = F.when(F.octet_length("payload") >= min_revisit, F.col("digest"))
-    rows = rows.join(answers, big == F.col("a_digest"), "left").select("page_id", "url", "payload", "digest", "answer")
+    big = rows.filter(F.octet_length("payload") >= min_revisit)
+    answers = big.groupBy("digest").agg(F.max("page_id").alias("answer"), F.count("*").alias("rows_of")).filter("rows_of > 1 and answer is not null")
+    met = join_keyed(big, materialise(answers, "answers"), "digest", "rows_of", pages.count(), "left")
+    short = rows.filter(F.octet_length("payload") < min_revisit).withColumn("answer", F.lit(None).cast("bigint"))
+    rows = met.unionByName(short).select("page_id", "url", "payload", "digest", "answer")
     n = partitions or max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
     ordered = rows.repartitionByRange(n, "page_id").sortWithinPartitions("page_id", "url", "digest")
     manifest = ordered.mapInArrow(_writer(folder, roll_bytes), MANIFEST_SCHEMA)
@@ -201,6 +203,6 @@ ORACLES = {
 WITH p AS (SELECT page_id, coalesce(html, '') AS h FROM pages),
  d AS (SELECT page_id, CAST(strlen(h) AS BIGINT) AS n, sha1(h) AS s FROM p),
  a AS (SELECT *, CASE WHEN n >= 1000 THEN max(page_id) OVER (PARTITION BY s) ELSE page_id END AS top FROM d)
-SELECT page_id, n AS payload_bytes, s AS payload_digest, CASE WHEN top <> page_id THEN 'revisit' ELSE 'response' END AS record_type,
- CASE WHEN top <> page_id THEN top END AS refers_to FROM a"""
+SELECT page_id, n AS payload_bytes, s AS payload_digest, CASE WHEN top IS DISTINCT FROM page_id THEN 'revisit' ELSE 'response' END AS record_type,
+ CASE WHEN top IS DISTINCT FROM page_id THEN top END AS refers_to FROM a"""
 }

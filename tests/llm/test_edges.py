@@ -129,6 +129,45 @@ def test_distrust_flows_against_links(spark):
     assert out[1] == "block" and out[2] == "block" and out[3] == "allow" and out[4] == "allow" and out[5] == "allow"
 
 
+def test_distrust_reaches_far_and_stops(spark):
+    """Along a chain of 22 hosts distrust falls by the damping a link; verdicts are those of the converged ranks."""
+    n = 22
+    rows = [(0, "http://h0.com/en/1", "")] + [(i, f"http://h{i}.example/x", f'<a href="http://h{i - 1}.{"com" if i == 1 else "example"}/a">') for i in range(1, n)]
+    out = {r.page_id: r.verdict for r in urlgraph.filter_urls(pages(spark, rows)).collect()}
+    lost = 0.15 / (1 - 0.85**n)  # the last host's mass returns to the seed
+    assert out == {i: "block" if i == 0 or lost * 0.85**i >= 0.01 else "allow" for i in range(n)}
+    assert sum(v == "block" for v in out.values()) > 13
+
+
+def test_null_ids_revisit_those_with_an_id(spark):
+    body = "<p>" + "a" * 2000
+    for ids, want in (((5, None), {5: ("response", None), None: ("revisit", 5)}), ((None, None), {None: ("response", None)}), ((5, 7, None), {5: ("revisit", 7), 7: ("response", None), None: ("revisit", 7)})):
+        folder = fresh_path(spark, "warc")
+        warc.write_warc(spark.createDataFrame([(i, "http://a/", body) for i in ids], "page_id bigint, url string, html string"), folder)
+        assert {r.page_id: (r.record_type, r.refers_to) for r in warc.read_warc(spark, folder).collect()} == want
+
+
+def test_a_task_may_write_again(spark):
+    """A second attempt finds its files under their final names and replaces them by the same bytes."""
+    folder = fresh_path(spark, "warc")
+    rows = spark.createDataFrame([(i, "http://a/", bytearray(b"x" * 50), "d", None) for i in range(9)], "page_id bigint, url string, payload binary, digest string, answer bigint").coalesce(1)
+    first, again = (sorted(map(tuple, rows.mapInArrow(warc._writer(folder, 300), warc.MANIFEST_SCHEMA).collect())) for _ in range(2))
+    assert first == again and len(first) > 2
+
+
+LONG_HTML = "<p>" + " ".join(f'<a href="http://h{i % 40}.example/{i}">t{i}</a>' for i in range(60000))
+
+
+def test_long_pages(spark):
+    rows = [(1, "http://a.example/1", LONG_HTML), (2, "http://a.example/2", LONG_HTML), (3, "http://b.example/" + "x" * 100000, None)]
+    assert {r.page_id: (len(r.path), r.verdict) for r in urlgraph.filter_urls(pages(spark, rows)).collect()} == {1: (2, "allow"), 2: (2, "allow"), 3: (100001, "allow")}
+    assert urlgraph.host_edges(pages(spark, rows).withColumn("host", urlgraph.host_of(F.col("url")))).count() == 40
+    folder = fresh_path(spark, "warc")
+    warc.write_warc(pages(spark, rows), folder)
+    back = {r.page_id: r for r in warc.read_warc(spark, folder, True).collect()}
+    assert back[2].payload.decode() == LONG_HTML and back[1].refers_to == 2 and len(back[3].url) == 100017
+
+
 def test_warc(spark):
     for rows in (PAGES, []):
         folder = fresh_path(spark, "warc")

@@ -11,7 +11,7 @@ import pyarrow as pa
 import pytest
 
 import corpus_pipeline
-from boundpath.llm import ctw, decontaminate, mixing, neardup, quality, registry, sharding, superminhash, textkernel, tokencount, toxicity
+from boundpath.llm import ctw, decontaminate, mixing, neardup, quality, registry, sharding, superminhash, textkernel, tokencount, toxicity, urlgraph
 from boundpath.llm.components import connected_components
 from boundpath.llm.shared import read_table
 
@@ -315,6 +315,28 @@ def plain_best_fit(sizes, capacity):
     return held
 
 
+def test_page_rank_by_dense_iteration(spark):
+    """Ranks against the fixed point of the whole matrix; hosts without links out return their mass to the seeds."""
+    rng, n = np.random.default_rng(8), 30
+    edges = sorted({(int(a), int(b)) for a, b in rng.integers(0, n, (70, 2)) if a != b and a < 25})
+    times = rng.integers(1, 5, len(edges)).astype(float)
+    seed = np.zeros(n)
+    seed[[0, 3, 9]] = [1.0, 2.0, 0.5]
+    step = np.zeros((n, n))
+    for (a, b), t in zip(edges, times):
+        step[a, b] = t
+    step /= np.maximum(step.sum(axis=1, keepdims=True), 1e-300)
+    s = seed / seed.sum()
+    want = s.copy()
+    for _ in range(400):
+        sent = 0.85 * want @ step
+        want = sent + (1 - sent.sum()) * s
+    table = spark.createDataFrame([(f"h{a}", f"h{b}", float(t)) for (a, b), t in zip(edges, times)], "src string, dst string, n double")
+    seeds = spark.createDataFrame([(f"h{i}", float(w)) for i, w in enumerate(seed)], "host string, weight double")
+    got = {r.host: r["rank"] for r in urlgraph.personalised_rank(table, seeds, tolerance=1e-5).collect()}
+    assert sum(abs(got.get(f"h{i}", 0.0) - want[i]) for i in range(n)) <= 1e-5 and abs(sum(got.values()) - 1) < 1e-9
+
+
 def test_best_fit_decreasing():
     """Packing the histogram is packing item by item."""
     rng = random.Random(7)
