@@ -2,7 +2,8 @@
 
 Every rule is a pair of a name and a rejection expression over the text.  Cost (seconds over a sample) and selectivity
 (share of the sample rejected) are estimated rule by rule; the cascade asks the rules in falling order of rejections per
-second, and a row leaves at the first rule that rejects it.  The order changes the work, never the verdict.
+second, and a row leaves at the first rule that rejects it.  The order changes the work, never the verdict.  The rule on repeated
+windows takes its place in that order like any other, though it needs columns of its own: it is computed from the texts that the rules before it kept.
 
 Defined cases: null and blank texts have no words and are rejected (too few words); a text of fewer than five words
 has no repeated windows; lines compare as they are, blanks included; other columns, whatever their names, are untouched.
@@ -73,18 +74,42 @@ def with_repeat_words(df: DataFrame, text: str, out: str) -> DataFrame:
     return df.select(*[F.col(f"`{c}`") for c in keep], covered.alias(out))
 
 
+class Measures:
+    """What rules look at: expressions over a text, or the columns that hold them already."""
+
+    def __init__(self, text: Column, **known: Column):
+        self._text, self._known = text, known
+
+    def __getattr__(self, name: str) -> Column:
+        if name.startswith("_") or (name not in self._known and name not in _EXPRESSIONS):
+            raise AttributeError(name)
+        return self._known[name] if name in self._known else _EXPRESSIONS[name](self._text)
+
+
+_EXPRESSIONS: dict[str, Callable[[Column], Column]] = {
+    "n_words": count_words,
+    "n_symbols": n_symbols,
+    "n_letter_words": letter_words,
+    "word_chars": word_chars,
+    "n_dup_lines": n_dup_lines,
+    "n_lines": lambda t: F.size(worded_lines(t)),
+}
+
+
 @dataclass(frozen=True)
 class Rule:
     name: str
-    rejects: Callable[[Column, Column], Column]  # of the text and its number of words
+    rejects: Callable[[Measures], Column]
+    windows: bool = False  # needs n_repeat_words, which is no single expression
 
 
 RULES = (
-    Rule("few_words", lambda t, n: n < MIN_WORDS),
-    Rule("symbols", lambda t, n: n_symbols(t) * 100 > n * SYMBOL_PERCENT),
-    Rule("letterless_words", lambda t, n: letter_words(t) * 100 < n * LETTER_WORD_PERCENT),
-    Rule("word_length", lambda t, n: (word_chars(t) < n * MEAN_WORD[0]) | (word_chars(t) > n * MEAN_WORD[1])),
-    Rule("repeated_lines", lambda t, n: n_dup_lines(t) * 100 > F.size(worded_lines(t)) * DUP_LINE_PERCENT),
+    Rule("few_words", lambda m: m.n_words < MIN_WORDS),
+    Rule("symbols", lambda m: m.n_symbols * 100 > m.n_words * SYMBOL_PERCENT),
+    Rule("letterless_words", lambda m: m.n_letter_words * 100 < m.n_words * LETTER_WORD_PERCENT),
+    Rule("word_length", lambda m: (m.word_chars < m.n_words * MEAN_WORD[0]) | (m.word_chars > m.n_words * MEAN_WORD[1])),
+    Rule("repeated_lines", lambda m: m.n_dup_lines * 100 > m.n_lines * DUP_LINE_PERCENT),
+    Rule("repeated_windows", lambda m: m.n_repeat_words * 100 > m.n_words * REPEAT_PERCENT, windows=True),
 )
 
 
@@ -103,12 +128,13 @@ def estimate(docs: DataFrame, text: str = "text", rules=RULES, sample_rows: int
     """Cost and selectivity of each rule on a uniform sample of about ``sample_rows`` rows, best first."""
     total = docs.count()
     share = 1.0 if total <= sample_rows else sample_rows / total
-    sample = materialise(docs.select(F.col(text).alias("t")).sample(False, share, seed).repartition(1), "rule-sample")
-    n = count_words(F.col("t"))
+    sample = materialise(docs.select(F.col(text).alias("t")).sample(False, share, seed).withColumn("n", count_words(F.col("t"))).repartition(1), "rule-sample")
     bare = _timed(sample, F.lit(True))[0]
     found = []
     for rule in rules:
-        seconds, rate = _timed(sample, rule.rejects(F.col("t"), n))
+        rows = with_repeat_words(sample, "t", "repeat") if rule.windows else sample
+        known = {"n_words": F.col("n")} | ({"n_repeat_words": F.col("repeat")} if rule.windows else {})
+        seconds, rate = _timed(rows, rule.rejects(Measures(F.col("t"), **known)))
         found.append(Estimate(rule, max(seconds - bare, 1e-4), rate))
     drop_materialised(sample)
     return sorted(found, key=lambda e: (-e.rank, e.rule.name))
@@ -120,24 +146,27 @@ def _timed(sample: DataFrame, test: Column) -> tuple[float, float]:
     return time.perf_counter() - began, rate or 0.0
 
 
-def first_rejection(order: list[Estimate], text: Column, n_words: Column) -> Column:
+def first_rejection(order: list[Estimate], m: Measures) -> Column:
     """The first rule in cascade order that rejects, null where none does; later rules are not evaluated."""
     out = None
     for e in order:
-        test = e.rule.rejects(text, n_words)
+        test = e.rule.rejects(m)
         out = F.when(test, e.rule.name) if out is None else out.when(test, e.rule.name)
     return out if out is not None else F.lit(None).cast("string")
 
 
-def judge(docs: DataFrame, text: str = "text", rules=RULES, sample_rows: int = SAMPLE_ROWS, out: str = "rejected_by") -> DataFrame:
-    """``docs`` with the name of the first rule that rejects a row; the repeated-window rule, by far the dearest, is
-    asked last and only about rows that all others keep."""
-    order = estimate(docs, text, rules, sample_rows)
-    marked = docs.withColumn("__bp_why", first_rejection(order, F.col(text), count_words(F.col(text))))
-    marked = marked.withColumn("__bp_left", F.when(F.col("__bp_why").isNull(), F.col(text)))
-    marked = with_repeat_words(marked, "__bp_left", "__bp_repeat")
-    repeats = F.col("__bp_repeat") * 100 > count_words(F.col("__bp_left")) * REPEAT_PERCENT
-    why = F.coalesce(F.col("__bp_why"), F.when(repeats, "repeated_windows"))
+def judge(docs: DataFrame, text: str = "text", rules=RULES, sample_rows: int = SAMPLE_ROWS, out: str = "rejected_by", order: list[Estimate] | None = None) -> DataFrame:
+    """``docs`` with the name of the first rule that rejects a row, in the estimated order (or the one given)."""
+    order = estimate(docs, text, rules, sample_rows) if order is None else order
+    at = next((i for i, e in enumerate(order) if e.rule.windows), len(order))
+    marked = docs.withColumn("__bp_n", count_words(F.col(text)))
+    why = first_rejection(order[:at], Measures(F.col(text), n_words=F.col("__bp_n")))
+    if at < len(order):
+        marked = marked.withColumn("__bp_why", why)
+        marked = marked.withColumn("__bp_left", F.when(F.col("__bp_why").isNull(), F.col(text)))
+        marked = with_repeat_words(marked, "__bp_left", "__bp_repeat")
+        rest = Measures(F.col("__bp_left"), n_words=F.col("__bp_n"), n_repeat_words=F.col("__bp_repeat"))
+        why = F.when(F.col("__bp_why").isNotNull(), F.col("__bp_why")).otherwise(first_rejection(order[at:], rest))
     return marked.select(*[F.col(f"`{c}`") for c in docs.columns if c != out], why.alias(out))
 
 
@@ -150,15 +179,17 @@ def filter_quality(docs: DataFrame, text: str = "text") -> DataFrame:
 
 
 def op5_quality(spark, sf_dir: str) -> DataFrame:
+    """All measures are asked for, so they are columns first; the cascade then runs over them in its estimated order."""
     docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
     order = estimate(docs)
     t = F.col("text")
-    df = docs.withColumn("n_words", count_words(t)).withColumn("rejected", first_rejection(order, t, F.col("n_words")))
-    df = df.withColumns({"word_chars": word_chars(t), "n_symbols": n_symbols(t), "n_dup_lines": n_dup_lines(t)})
+    measured = ("n_words", "word_chars", "n_symbols", "n_dup_lines")
+    df = docs.withColumns({name: _EXPRESSIONS[name](t) for name in measured})
     df = with_repeat_words(df, "text", "n_repeat_words")
-    failed = (F.col("n_words") < MIN_WORDS) | (F.col("n_repeat_words") * 100 > F.col("n_words") * REPEAT_PERCENT)
-    df = df.withColumn("base_failed", failed).withColumn("kept", ~failed & F.col("rejected").isNull())
-    return df.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+    known = Measures(t, **{name: F.col(name) for name in (*measured, "n_repeat_words")})
+    by_name = {r.name: r.rejects(known) for r in RULES}
+    df = df.withColumn("base_failed", by_name["few_words"] | by_name["repeated_windows"]).withColumn("kept", first_rejection(order, known).isNull())
+    return df.select("doc_id", *measured, "n_repeat_words", "base_failed", "kept")
 
 
 #: Measures of whole texts in DuckDB; {docs} is the relation to measure.
