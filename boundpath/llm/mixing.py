@@ -1,20 +1,24 @@
 """Mixing sources to target weights by Pareto order sampling, in DataFrame functions alone.
 
 Targets: all words are shared out by the sources' weights; a source stops at ``most`` times its own size and the excess
-is shared again by weight.  A document's expected copies are target / source size (times its relative weight, if one is
-given): the whole part is taken for certain, the fraction is its inclusion probability p.  Documents are ranked by random
+is shared again by weight.  Documents of a source may be preferred by a weight of their own; the expected copies of a document are its weight
+times a factor of the source, ``most`` at most, and the factor is such that they add up to the target.  The whole part of
+the expected copies is taken for certain, the fraction is the inclusion probability p.  Documents are ranked by random
 odds u/(1-u) divided by inclusion odds p/(1-p), u being a hash of the document, and the least are taken until
 the source has its words.  The cut is found by histograms: each source's ranks are dealt over fine bins, bins below the
 cut are taken whole, and the order inside the one bin at the cut alone decides the rest, so no source, however large,
 passes through one task.
 
+Nothing comes to the driver.  One row for each source is sorted in one task (it can spill); weights of documents are rounded down to sixteen levels an octave, so a source's
+factor follows from a few rows.
+
 Defined cases: null or blank text has size 0 and adds no words; null source is a source, ordered last; sources of size 0
-have target 0; repeated rows are taken separately; reruns agree, since u depends on doc_id, text and seed alone.
+have target 0; a null weight counts as 1, one of 0 or below is never taken; repeated rows are taken separately; reruns agree, since u depends on doc_id, text and seed alone.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -23,42 +27,42 @@ from boundpath.llm.shared import count_words, materialise, read_table
 WEIGHTS = (5, 2, 1)
 MOST = 3
 BINS = 1024
+LEVELS = 16
 #: Most rows of targets or cuts that are broadcast; with more, Spark chooses the join.
 BROADCAST_ROWS = 1_000_000
 
 
-def water_fill(sizes: list[int], weights: list[float], total: float, most: float = MOST) -> list[float]:
-    """Shares of ``total`` in proportion to the weights, none above ``most`` times its size."""
-    target, open_ = [0.0] * len(sizes), [i for i, s in enumerate(sizes) if s > 0]
-    left = float(total)
-    while open_:
-        unit = left / sum(weights[i] for i in open_)
-        over = [i for i in open_ if unit * weights[i] > most * sizes[i]]
-        if not over:
-            for i in open_:
-                target[i] = unit * weights[i]
-            break
-        for i in over:
-            target[i] = float(most * sizes[i])
-            left -= target[i]
-        open_ = [i for i in open_ if i not in set(over)]
-    return target
-
-
 def _few(df: DataFrame, rows: int) -> DataFrame:
     """``df`` with a broadcast hint if it has at most BROADCAST_ROWS; rows: a bound on its size."""
     return F.broadcast(df) if rows <= BROADCAST_ROWS else df
 
 
+def water_unit(rows: DataFrame, keys: list[str], cap: str, weight: str, total: Column) -> DataFrame:
+    """(keys, unit): shares of unit * weight, each at most its cap, add up to ``total`` (a column of the rows, equal in a
+    group).  Infinite where all caps together don't reach it.  cap and weight: above 0.
+
+    Rows reach their caps in the order of cap / weight.  If the first i of them are at their caps, the others' unit follows; it is right where the next
+    row's cap bears it, and too small beyond, so the right one is the largest of those that are borne."""
+    order = Window.partitionBy(*keys).orderBy(F.col(cap) / F.col(weight), F.col(cap))
+    full = F.coalesce(F.sum(F.col(cap)).over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0))
+    open_ = F.sum(F.col(weight)).over(order.rowsBetween(0, Window.unboundedFollowing))
+    units = rows.withColumn("__unit", (total - full) / open_)
+    borne = F.max(F.when(F.col("__unit") <= F.col(cap) / F.col(weight), F.col("__unit")))
+    return units.groupBy(*keys).agg(F.coalesce(borne, F.lit(float("inf"))).alias("unit"))
+
+
 def source_targets(sized: DataFrame, weights=WEIGHTS, most: float = MOST, share: float = 1.0) -> DataFrame:
     """(source, source_size, target): a row per source.  Sources come in code point order, null last, and take the
-    weights in turn.  Source sums come to the driver: sources are names of collections, far fewer than documents."""
-    spark = sized.sparkSession
-    sums = [(r[0], int(r[1])) for r in sized.groupBy("source").agg(F.sum("size")).collect()]
-    sums.sort(key=lambda r: (r[0] is None, (r[0] or "").encode("utf-8", "surrogatepass")))
-    sizes = [s for _, s in sums]
-    aims = water_fill(sizes, [weights[i % len(weights)] for i in range(len(sums))], share * sum(sizes), most)
-    return spark.createDataFrame([(n, s, t) for (n, s), t in zip(sums, aims, strict=True)], "source string, source_size bigint, target double")
+    weights in turn."""
+    sums = sized.groupBy("source").agg(F.sum("size").alias("source_size"))
+    place = F.row_number().over(Window.orderBy(F.col("source").asc_nulls_last())) - 1
+    turn = F.element_at(F.array(*[F.lit(float(w)) for w in weights]), (place % len(weights) + 1).cast("int"))
+    known = materialise(sums.withColumns({"w": turn, "cap": F.col("source_size") * F.lit(float(most))}), "sources")
+    total = known.agg((F.sum("source_size") * share).alias("total"))
+    live = known.filter("source_size > 0").crossJoin(F.broadcast(total))
+    unit = water_unit(live, [], "cap", "w", F.col("total"))
+    target = F.when(F.col("source_size") > 0, F.least(F.col("cap"), F.col("unit") * F.col("w"))).otherwise(0.0)
+    return known.crossJoin(F.broadcast(unit)).select("source", "source_size", target.alias("target"))
 
 
 def _unit(seed: int, *columns) -> F.Column:
@@ -66,27 +70,31 @@ def _unit(seed: int, *columns) -> F.Column:
     return (F.shiftrightunsigned(F.xxhash64(*columns, F.lit(seed)), 12).cast("double") + 0.5) / F.lit(float(1 << 52))
 
 
-def mix(docs: DataFrame, weights=WEIGHTS, most: int = MOST, share: float = 1.0, weight_col: str | None = None, seed: int = 11, bins: int = BINS) -> DataFrame:
+def length_weight(size: Column) -> Column:
+    """Long texts are preferred, by a factor of two at most."""
+    return 1.0 + size / (size + 100.0)
+
+
+def mix(docs: DataFrame, weights=WEIGHTS, most: int = MOST, share: float = 1.0, weight: Column | None = None, seed: int = 11, bins: int = BINS) -> DataFrame:
     """doc_id, source, text_key, size, source_size, target, copies: how often the mix takes each row of ``docs``.
 
-    weight_col: a non-negative number by which documents of one source are preferred (null counts as 1)."""
+    weight: by which documents of one source are preferred, over the columns of ``docs``; length_weight where it isn't given."""
     text = F.col("text").cast("string")
-    weight = F.greatest(F.coalesce(F.col(weight_col).cast("double"), F.lit(1.0)), F.lit(0.0)) if weight_col else F.lit(1.0)
-    sized = docs.select(
-        F.col("doc_id"), F.col("source").cast("string").alias("source"), F.xxhash64(text).alias("text_key"), count_words(text).alias("size"), weight.alias("weight")
-    )
-    sized = materialise(sized, "sized")
-    aims = source_targets(sized, weights, most, share)
+    own = F.coalesce(weight.cast("double"), F.lit(1.0)) if weight is not None else F.lit(None).cast("double")
+    sized = docs.select(F.col("doc_id"), F.col("source").cast("string").alias("source"), F.xxhash64(text).alias("text_key"), count_words(text).alias("size"), own.alias("own"))
+    level = F.when(F.col("own") > 0, F.pow(F.lit(2.0), F.floor(F.log2("own") * LEVELS) / LEVELS)).otherwise(0.0)
+    if weight is None:
+        sized = sized.withColumn("own", length_weight(F.col("size")))
+    sized = materialise(sized.withColumn("weight", level).drop("own"), "sized")
+    aims = materialise(source_targets(sized, weights, most, share).withColumnRenamed("source", "aim"), "targets")
     n_sources = aims.count()
-    if weight_col:
-        mean = sized.groupBy("source").agg((F.sum(F.col("weight") * F.col("size")) / F.sum("size")).alias("mean"))
-        aims = aims.join(mean, aims.source.eqNullSafe(mean.source)).select(aims["*"], F.coalesce("mean", F.lit(1.0)).alias("mean"))
-    else:
-        aims = aims.withColumn("mean", F.lit(1.0))
-    aims = aims.withColumnRenamed("source", "aim")
+    levels = sized.filter("size > 0 and weight > 0").groupBy("source", "weight").agg(F.sum("size").alias("words"))
+    levels = levels.join(_few(aims, n_sources), F.col("source").eqNullSafe(F.col("aim"))).select("aim", "target", (F.col("words") * F.lit(float(most))).alias("cap"), (F.col("words") * F.col("weight")).alias("pull"))
+    factor = water_unit(levels, ["aim"], "cap", "pull", F.col("target")).select(F.col("aim").alias("f_aim"), "unit")
+    aims = materialise(aims.join(factor, F.col("aim").eqNullSafe(F.col("f_aim")), "left").drop("f_aim"), "targets")
     df = sized.join(_few(aims, n_sources), F.col("source").eqNullSafe(F.col("aim"))).drop("aim")
-    expected = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size") * F.col("weight") / F.when(F.col("mean") > 0, F.col("mean")).otherwise(1.0)).otherwise(0.0)
-    df = df.withColumn("expected", F.least(expected, F.lit(float(most))))
+    expected = F.when((F.col("weight") > 0) & (F.col("unit") > 0), F.least(F.col("unit") * F.col("weight"), F.lit(float(most)))).otherwise(0.0)
+    df = df.withColumn("expected", expected)
     df = df.withColumn("whole", F.floor(F.col("expected") + 1e-12).cast("bigint"))
     df = df.withColumn("p", F.greatest(F.col("expected") - F.col("whole"), F.lit(0.0)))
     u = _unit(seed, "doc_id", "text_key")

@@ -429,10 +429,27 @@ def test_fixed_capacity(spark):
     assert sharded(spark, [], shards=None, capacity=10).empty
 
 
-def test_water_fill():
-    target = mixing.water_fill([10, 100, 1000], [5, 2, 1], 1110)
-    assert target[0] == 30 and target[1] == 300 and abs(sum(target) - 1110) < 1e-6
-    assert mixing.water_fill([0, 5], [5, 1], 5) == [0, 5]
+def water_fill(caps, weights, total):
+    """Shares of ``total`` by weight, none above its cap: shares above are set to their caps and the rest is dealt anew."""
+    target, open_, left = [0.0] * len(caps), [i for i, c in enumerate(caps) if c > 0 and weights[i] > 0], float(total)
+    while open_:
+        unit = left / sum(weights[i] for i in open_)
+        over = [i for i in open_ if unit * weights[i] > caps[i]]
+        for i in over or open_:
+            target[i] = float(caps[i]) if over else unit * weights[i]
+            left -= caps[i] if over else 0.0
+        open_ = [i for i in open_ if i not in over] if over else []
+    return target
+
+
+def test_targets(spark):
+    for sizes in ([10, 100, 1000], [0, 5, 7], [4], [3, 900, 5, 5, 100000, 1], [0, 0], [50] * 9):
+        names = [None if i == 1 else chr(97 + i) for i in range(len(sizes))]
+        order = sorted(range(len(sizes)), key=lambda i: (names[i] is None, names[i] or ""))
+        weights = dict(zip(order, (5, 2, 1) * len(sizes)))
+        want = water_fill([3 * s for s in sizes], [weights[i] for i in range(len(sizes))], sum(sizes))
+        got = {r.source: (r.source_size, r.target) for r in mixing.source_targets(spark.createDataFrame(list(zip(names, sizes)), "source string, size bigint")).collect()}
+        assert all(got[n][0] == s and abs(got[n][1] - w) < 1e-6 * max(1, w) for n, s, w in zip(names, sizes, want))
 
 
 def test_mixing(spark):
@@ -444,12 +461,47 @@ def test_mixing(spark):
         assert abs(part.taken.sum() - part.target.iloc[0]) <= part["size"].max()
 
 
+def test_mixing_by_plain_order_sampling(spark):
+    """The copies of every document, by sorting each source's documents by their odds ratio and walking to the target."""
+    from pyspark.sql import functions as F
+
+    docs = read_table(spark, SF, "documents")
+    u = mixing._unit(11, "doc_id", F.xxhash64("text"))
+    rows = [(r.doc_id, r.source, len([w for w in re.split(r"[\x20\x09-\x0D]+", r.text or "") if w]), r.u) for r in docs.withColumn("u", u).collect()]
+    names = sorted({r[1] for r in rows}, key=lambda n: (n is None, n or ""))
+    sizes = [sum(r[2] for r in rows if r[1] == n) for n in names]
+    targets = water_fill([3 * s for s in sizes], [(5, 2, 1)[i % 3] for i in range(len(names))], sum(sizes))
+    want = {}
+    for name, target in zip(names, targets):
+        mine = [r for r in rows if r[1] == name and r[2]]
+        pull = [2 ** (math.floor(math.log2(1 + r[2] / (r[2] + 100)) * 16) / 16) for r in mine]
+        shares = water_fill([3 * r[2] for r in mine], [r[2] * w for r, w in zip(mine, pull)], target)
+        assert abs(sum(shares) - target) < 1e-6 * target
+        ranked, left = [], target
+        for (i, _, size, x), share in zip(mine, shares):
+            whole = math.floor(share / size + 1e-9)
+            p = max(0.0, share / size - whole)
+            want[i], left = whole, left - whole * size
+            if p > 1e-6:
+                ranked.append(((x / (1 - x)) / (p / (1 - p)), i, size))
+        taken = 0
+        for _, i, size in sorted(ranked):
+            taken += size
+            want[i] += taken - size / 2 <= left
+    got = {r.doc_id: r.copies for r in mixing.mix(docs).collect()}
+    off = [i for i in got if got[i] != want.get(i, 0)]
+    assert len(got) == len(rows) and not off
+    assert len(set(got.values())) > 2
+
+
 def test_pareto_order_inclusion(spark):
     """Over seeds, documents enter as often as their inclusion probability says; weights shift it."""
     docs = spark.createDataFrame([(i, " ".join(["w"] * 10), "s" if i < 40 else "t", 2.0 if i % 2 else 1.0) for i in range(80)], "doc_id bigint, text string, source string, w double")
+    from pyspark.sql import functions as F
+
     hits = Counter()
     for seed in range(12):
-        for r in mixing.mix(docs, weights=(3, 1), seed=seed, weight_col="w").collect():
+        for r in mixing.mix(docs, weights=(3, 1), seed=seed, weight=F.col("w")).collect():
             hits[r.source, r.doc_id % 2] += r.copies
     assert hits["s", 1] > hits["s", 0] and hits["t", 1] > 1.5 * hits["t", 0]
     assert abs(hits["s", 0] + hits["s", 1] - 12 * 60) <= 12 and abs(hits["t", 0] + hits["t", 1] - 12 * 20) <= 12
