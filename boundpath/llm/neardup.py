@@ -10,8 +10,11 @@ listed.  Instead:
    shingles (with size and position bounds), which finds every remaining link without meeting pairs that cannot
    reach the similarity.  A verified link between different components merges them.
 
+A class is known by the smallest ``doc_id`` of its rows; where rows of one ``doc_id`` differ, each text still has a class, a set and links of its
+own (its further classes get numbers from 2^62 on, above any ``doc_id`` in use).  A shingle of very many documents is dealt over a square of tasks by hashes of both sides, so that no task gets all of them.
+
 Defined cases: null or blank text has no shingles and no links; fewer words than the shingle size make one shingle of
-the whole sequence; equal sets are linked; rows that share a ``doc_id`` count as one document; rows without
+the whole sequence; equal sets are linked; rows that share a ``doc_id`` count as one document, linked with whatever one of them is; rows without
 ``doc_id`` belong to the class of their set, and where no member of it has an id their component is null and they are kept.
 """
 
@@ -24,11 +27,13 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from boundpath.llm.components import connected_components
-from boundpath.llm.shared import drop_materialised, materialise, read_table
+from boundpath.llm.shared import drop_materialised, join_keyed, materialise, read_table
 from boundpath.llm.superminhash import band_keys, signatures
 from boundpath.llm.textkernel import distinct, mix, segment_sum, shingles, words
 
 PLACES, BAND_ROWS = 128, 4
+#: Rows of one shingle that a task of the prefix join takes from each side.
+CELL = 1000
 
 
 def _sign(k: int, places: int, rows: int):
@@ -36,7 +41,7 @@ def _sign(k: int, places: int, rows: int):
 
     def run(batches):
         for batch in batches:
-            ids, texts = batch.column(0), batch.column(1)
+            ids, rkey, texts = batch.column(0), batch.column(1), batch.column(2)
             for w in words(texts):
                 doc, _, hashed = shingles(w, k)
                 owner, element, count = distinct(doc, hashed, w.n_docs)
@@ -46,12 +51,13 @@ def _sign(k: int, places: int, rows: int):
                 yield pa.RecordBatch.from_arrays(
                     [
                         ids.slice(w.first, w.n_docs).cast(pa.int64()),
+                        rkey.slice(w.first, w.n_docs),
                         pa.array(count.astype(np.int64)),
                         pa.array(hi),
                         pa.array(lo),
                         pa.ListArray.from_arrays(pa.array(np.arange(w.n_docs + 1, dtype=np.int32) * bands), pa.array(keys.reshape(-1))),
                     ],
-                    names=["doc_id", "n_shingles", "set_hi", "set_lo", "bands"],
+                    names=["doc_id", "rkey", "n_shingles", "set_hi", "set_lo", "bands"],
                 )
 
     return run
@@ -144,32 +150,47 @@ def _prefix_pairs(texts: DataFrame, loose: DataFrame, k: int, num: int, den: int
     )
     probe = placed.filter(f"{den} * (pos - 1) <= n * ({den} - {num})")
     probe = materialise(probe.select("shingle", "id", "component", F.col("n").cast("bigint").alias("n"), F.col("pos").cast("bigint").alias("pos")), "prefix")
-    mixed = probe.groupBy("shingle").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo != hi").select("shingle")
-    probe = probe.join(mixed, "shingle")
-    x, y = probe.alias("x"), probe.alias("y")
+    mixed = probe.groupBy("shingle").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("met")).filter("lo != hi")
+    probe = probe.join(mixed.select("shingle", F.ceil(F.col("met") / CELL).cast("int").alias("cells")), "shingle")
+    # every pair meets in the one cell of its two hashes
+    own = F.pmod(F.xxhash64("id"), F.col("cells")).cast("int")
+    every = F.explode(F.sequence(F.lit(0), F.col("cells") - 1))
+    x = probe.withColumn("row", own).withColumn("column", every).alias("x")
+    y = probe.withColumn("column", own).withColumn("row", every).alias("y")
     # overlap needed: num/(num+den) of the sum of sizes; overlap possible after first meeting at these positions
     need = F.col("x.n") * num + F.col("y.n") * num
     possible = (F.least(F.col("x.n") - F.col("x.pos"), F.col("y.n") - F.col("y.pos")) + 1) * (num + den)
     size_order = (F.col("x.n") > F.col("y.n")) | ((F.col("x.n") == F.col("y.n")) & (F.col("x.id") > F.col("y.id")))
-    met = x.join(y, (F.col("x.shingle") == F.col("y.shingle")) & (F.col("x.component") != F.col("y.component")) & size_order & (F.col("y.n") * den >= F.col("x.n") * num) & (possible >= need))
+    cell = (F.col("x.shingle") == F.col("y.shingle")) & (F.col("x.row") == F.col("y.row")) & (F.col("x.column") == F.col("y.column"))
+    met = x.join(y, cell & (F.col("x.component") != F.col("y.component")) & size_order & (F.col("y.n") * den >= F.col("x.n") * num) & (possible >= need))
     return met.select(F.col("x.id").alias("a"), F.col("y.id").alias("b")).distinct()
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, places: int = PLACES, band_rows: int = BAND_ROWS) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every row of ``docs`` (doc_id, text; other columns are ignored)."""
-    own = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    signed = materialise(own.mapInArrow(_sign(k, places, band_rows), "doc_id bigint, n_shingles bigint, set_hi bigint, set_lo bigint, bands array<bigint>"), "signed")
-    classes = signed.filter("n_shingles > 0 and doc_id is not null").groupBy("set_hi", "set_lo")
-    classes = classes.agg(F.min("doc_id").alias("id"), F.first("n_shingles").alias("n"), F.first("bands").alias("bands"))
+    text = F.col("text").cast("string")
+    own = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.xxhash64(F.col("doc_id").cast("bigint"), text).alias("rkey"), text.alias("text"))
+    signed = materialise(own.mapInArrow(_sign(k, places, band_rows), "doc_id bigint, rkey bigint, n_shingles bigint, set_hi bigint, set_lo bigint, bands array<bigint>"), "signed")
+    total = signed.count()
+    worded = signed.filter("n_shingles > 0 and doc_id is not null")
+    classes = worded.groupBy("set_hi", "set_lo").agg(
+        F.min(F.struct("doc_id", "rkey")).alias("one"), F.first("n_shingles").alias("n"), F.first("bands").alias("bands"), F.count("*").alias("rows_of")
+    )
+    classes = materialise(classes.select("set_hi", "set_lo", F.col("one.doc_id").alias("doc_id"), F.col("one.rkey").alias("rkey"), "n", "bands", "rows_of"), "classes")
+    # a doc_id whose texts differ is the smallest of several classes: all but one take a number of their own
+    times = classes.groupBy("doc_id").agg(F.count("*").alias("times"), F.min("rkey").alias("first")).filter("times > 1").select("doc_id", "first")
+    number = F.when(F.col("first").isNull() | (F.col("first") == F.col("rkey")), F.col("doc_id")).otherwise(F.shiftrightunsigned(F.xxhash64("set_hi", "set_lo"), 2) + F.lit(1 << 62))
+    classes = classes.join(times, "doc_id", "left").withColumn("id", number).drop("first")
     members = materialise(_bucket_members(classes), "members")
-    ids = members.select(F.col("id").alias("doc_id"), "n").distinct()
-    texts = materialise(own.join(ids.select("doc_id"), "doc_id", "left_semi"), "texts")
+    ids = members.select("id", "n").distinct()
+    texts = materialise(_texts(own, signed, classes.join(ids.select("id"), "id", "left_semi").select("id", "rkey")), "texts")
     links = materialise(verified(_hub_pairs(members), texts, k, num, den), "links")
-    # rows of one doc_id count as one document: their classes are united
-    same = signed.filter("n_shingles > 0 and doc_id is not null").join(classes.select("set_hi", "set_lo", "id"), ["set_hi", "set_lo"])
-    same = same.filter("doc_id != id").select(F.col("id").alias("a"), F.col("doc_id").alias("b"))
-    again = signed.filter("doc_id is not null").groupBy("doc_id").agg(F.min("set_hi").alias("x"), F.max("set_hi").alias("y")).filter("x != y").select(F.col("doc_id").alias("b"))
-    links = links.union(same.join(again, "b", "left_semi").select("a", "b"))
+    # rows of one doc_id count as one document: its classes are united, by the id of each
+    again = worded.groupBy("doc_id").agg(F.min("set_hi").alias("x"), F.max("set_hi").alias("y"), F.min("set_lo").alias("z"), F.max("set_lo").alias("t")).filter("x != y or z != t").select("doc_id")
+    shared = worded.join(again, "doc_id", "left_semi").select("doc_id", "set_hi", "set_lo").distinct()
+    shared = shared.join(classes.select("set_hi", "set_lo", "id"), ["set_hi", "set_lo"])
+    united = shared.join(shared.groupBy("doc_id").agg(F.min("id").alias("least")), "doc_id").filter("id != least").select(F.col("least").alias("a"), F.col("id").alias("b"))
+    links = links.union(united)
     first = connected_components(links, "a", "b")
 
     located = members.join(first.withColumnRenamed("node", "id"), "id", "left").withColumn("component", F.coalesce("component", "id"))
@@ -179,11 +200,21 @@ def near_duplicates(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100,
     merged = connected_components(links.union(more), "a", "b") if more.head(1) else first
     drop_materialised(texts)
 
-    final = classes.select("set_hi", "set_lo", "id").join(merged.withColumnRenamed("node", "id"), "id", "left")
-    final = final.select("set_hi", "set_lo", F.coalesce("component", "id").alias("component"))
-    out = signed.select("doc_id", "n_shingles", "set_hi", "set_lo").join(final, ["set_hi", "set_lo"], "left")
-    component = F.when(F.col("n_shingles") > 0, F.col("component")).otherwise(F.col("doc_id"))
-    return out.select("doc_id", "n_shingles", component.alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.col("component_id").isNull()))
+    found = classes.select("set_hi", "set_lo", "rows_of", "id").join(merged.withColumnRenamed("node", "id"), "id", "left")
+    key = F.struct("set_hi", "set_lo").alias("set")
+    final = materialise(found.select(key, "rows_of", F.coalesce("component", "id").alias("component_id")), "components")
+    out = join_keyed(signed.filter("n_shingles > 0").select("doc_id", "n_shingles", key), final, "set", "rows_of", total, "left").drop("set")
+    alone = signed.filter("n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
+    return out.unionByName(alone).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.col("component_id").isNull()))
+
+
+def _texts(own: DataFrame, signed: DataFrame, wanted: DataFrame) -> DataFrame:
+    """(doc_id, text) with the ids of classes, one row each.  wanted: (id, rkey); equal rows have one rkey."""
+    met = own.join(wanted.select("rkey", F.col("id").alias("class")), "rkey")
+    repeated = signed.groupBy("rkey").agg(F.count("*").alias("times")).filter("times > 1").select("rkey")
+    once = met.join(repeated, "rkey", "left_anti").select(F.col("class").alias("doc_id"), "text")
+    often = met.join(repeated, "rkey", "left_semi").groupBy(F.col("class").alias("doc_id")).agg(F.first("text").alias("text"))
+    return once.unionByName(often)
 
 
 def op7_near_duplicates(spark, sf_dir: str) -> DataFrame:

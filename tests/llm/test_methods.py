@@ -102,6 +102,31 @@ def test_near_duplicates_brute_force(spark):
     assert all(r.kept == (r.doc_id == r.component_id) for r in out)
 
 
+def test_texts_of_one_id_keep_their_links(spark):
+    """Rows of one doc_id with different texts: each text is compared as it is, and the document joins both groups."""
+    rng = random.Random(11)
+    prose = [" ".join(f"t{g}v{rng.randrange(300)}" for _ in range(60)) for g in range(4)]
+    near = lambda t, n: " ".join([f"new{n}", *t.split()[1:]])
+    rows = [(5, prose[0]), (5, prose[1]), (7, near(prose[0], 1)), (8, near(prose[1], 2)), (9, prose[2]), (3, near(prose[2], 3)), (11, prose[3]), (11, prose[3]), (5, prose[0]), (12, None)]
+    out = neardup.near_duplicates(spark.createDataFrame(rows, "doc_id bigint, text string"), k=4).collect()
+    assert len(out) == len(rows)
+    assert {r.doc_id: r.component_id for r in out} == {5: 5, 7: 5, 8: 5, 9: 3, 3: 3, 11: 11, 12: 12}
+
+
+def test_common_shingles_are_dealt_over_cells(spark, monkeypatch):
+    """The same components when each task of the prefix join sees few rows of a shingle."""
+    rng = random.Random(6)
+    texts = []
+    for g in range(3):
+        texts += chained(rng, " ".join(f"g{g % 2}v{rng.randrange(60)}" for _ in range(30)), 60)
+    docs = list(enumerate(texts, 1))
+    table = spark.createDataFrame(docs, "doc_id bigint, text string")
+    want, _ = components(docs, 4)
+    for cell in (1000, 5):
+        monkeypatch.setattr(neardup, "CELL", cell)
+        assert {r.doc_id: r.component_id for r in neardup.near_duplicates(table, k=4).collect()} == want
+
+
 def test_components(spark):
     rng = random.Random(1)
     edges = [(i, i + 1) for i in range(200)] + [(rng.randrange(300, 500), rng.randrange(300, 500)) for _ in range(120)] + [(5, 5), (None, 3)]
