@@ -1,7 +1,12 @@
 """Corpus pipeline: quality rules, near-duplicate removal, decontamination, mixing, sharding.
 
 Each stage takes (spark, docs, sf_dir) and works on all that its predecessor kept.  All but the last return the columns
-of ``documents``; the last adds where each row goes.  Rows with a null ``doc_id`` are carried through every stage.
+of ``documents``; the last adds where each row goes.
+
+Defined cases, in every stage: rows with a null ``doc_id`` are judged by their text like any other and carried on; null, empty and blank
+texts are rejected by the first stage (and pass the others, if they meet them, as texts without words: they are no duplicates, repeat nothing, are never mixed in, and
+weigh only their overhead in a shard); very long texts are judged whole; of rows equal in every column near-duplicate removal keeps one, and mixing takes equal rows
+equally often, give or take one; an empty table stays empty; other columns, whatever their names, are carried on unchanged.
 """
 
 from __future__ import annotations
@@ -28,23 +33,27 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each near-duplicate group (five-word shingles, similarity 0.8): the one of the smallest id.
 
-    Rows without an id get one above all others, from their text, for this stage; rows of one id leave one row."""
+    Rows without an id, and those whose id stands beside several texts, get a number above all ids from id and text for this stage, so
+    a different text is never dropped for its id; rows equal in id and text leave one row."""
     columns = docs.columns
-    text = F.col("text").cast("string")
-    own = F.coalesce(F.col("doc_id").cast("bigint"), F.shiftrightunsigned(F.xxhash64(text), 2) + F.lit(1 << 62))
-    rows = docs.withColumn("__bp_id", own)
+    text, doc_id = F.col("text").cast("string"), F.col("doc_id").cast("bigint")
+    several = docs.groupBy(doc_id.alias("__bp_doc")).agg(F.min(F.xxhash64(text)).alias("lo"), F.max(F.xxhash64(text)).alias("hi"))
+    several = several.filter("lo != hi and __bp_doc is not null").select("__bp_doc", F.lit(True).alias("__bp_several"))
+    rows = docs.join(several, doc_id == F.col("__bp_doc"), "left")
+    number = F.shiftrightunsigned(F.xxhash64(doc_id, text), 2) + F.lit(1 << 62)
+    rows = rows.withColumn("__bp_id", F.when(doc_id.isNull() | F.col("__bp_several"), number).otherwise(doc_id)).drop("__bp_doc", "__bp_several")
     judged = materialise(near_duplicates(rows.select(F.col("__bp_id").alias("doc_id"), "text"), k=5), "judged")
     dropped = judged.filter("not kept").select(F.col("doc_id").alias("__bp_id")).distinct()
     again = judged.filter("kept").groupBy(F.col("doc_id").alias("__bp_id")).count().filter("count > 1").select("__bp_id", F.lit(True).alias("__bp_again"))
     left = rows.join(dropped, "__bp_id", "left_anti").join(again, "__bp_id", "left")
     single = left.filter("__bp_again is null")
-    first = Window.partitionBy("__bp_id").orderBy(F.xxhash64(text), *[c for c in ("lang", "source") if c in columns])
-    several = left.filter("__bp_again").withColumn("__bp_row", F.row_number().over(first)).filter("__bp_row = 1").drop("__bp_row")
-    return single.unionByName(several).select(*[F.col(f"`{c}`") for c in columns])
+    first = Window.partitionBy("__bp_id").orderBy(F.xxhash64(*[F.col(f"`{c}`") for c in columns]))
+    equal = left.filter("__bp_again").withColumn("__bp_row", F.row_number().over(first)).filter("__bp_row = 1").drop("__bp_row")
+    return single.unionByName(equal).select(*[F.col(f"`{c}`") for c in columns])
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that repeat no benchmark item."""
+    """Documents that repeat no benchmark item, judged where they are read."""
     return drop_contaminated(docs, read_table(spark, sf_dir, "benchmark"))
 
 
@@ -56,8 +65,8 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     keys = docs.withColumns({"__bp_key": F.xxhash64(F.col("text").cast("string")), "__bp_src": F.col("source").cast("string")})
     met = keys.join(taken, (F.col("__bp_key") == F.col("__bp_text")) & F.col("doc_id").eqNullSafe(F.col("__bp_doc")) & F.col("__bp_src").eqNullSafe(F.col("__bp_source")))
     one = met.filter("__bp_rows = 1").withColumn("__bp_n", F.col("__bp_copies"))
-    # equal rows share their copies evenly, the first ones taking what is over
-    place = Window.partitionBy("__bp_doc", "__bp_source", "__bp_text").orderBy("__bp_key")
+    # rows of one id, source and text share their copies evenly; a fixed order over all columns says who takes what is over
+    place = Window.partitionBy("__bp_doc", "__bp_source", "__bp_text").orderBy(F.xxhash64(*[F.col(f"`{c}`") for c in columns]))
     many = met.filter("__bp_rows > 1").withColumn("__bp_at", F.row_number().over(place))
     share = F.floor(F.col("__bp_copies") / F.col("__bp_rows")) + F.when(F.col("__bp_at") <= F.col("__bp_copies") % F.col("__bp_rows"), 1).otherwise(0)
     both = one.unionByName(many.withColumn("__bp_n", share.cast("bigint")).drop("__bp_at")).filter("__bp_n > 0")
