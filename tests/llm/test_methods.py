@@ -574,6 +574,26 @@ def test_toxicity_finds_the_sentence(spark):
     assert sum(out[i].worst_sentence == where[i] for i in held if y[i]) >= 18
 
 
+def test_settings_come_from_training_rows_alone(spark):
+    """Held-out labels change nothing; folds and the final fit run in tasks and agree with the plain functions."""
+    from pyspark.sql import functions as F
+
+    sf = "/root/testdata/sf0.01"
+    docs, labels = read_table(spark, sf, "documents"), read_table(spark, sf, "labels")
+    held = F.coalesce(toxicity.fold("doc_id", 4) == 2, F.lit(False))
+    other = labels.withColumn("toxic", F.when(held, 1 - F.col("toxic")).otherwise(F.col("toxic")))
+    a, b = (toxicity.fit(docs, t.filter(~held)) for t in (labels, other))
+    assert np.array_equal(a.weights, b.weights) and a.bias == b.bias and a.prefixes == b.prefixes
+    rows = toxicity.training_rows(docs, labels.filter(~held)).toArrow()
+    texts, y = pa.array(rows["text"].to_pylist(), pa.string()), np.array(rows["toxic"].to_pylist())
+    totals = (int((y == 0).sum()), int((y == 1).sum()))
+    chosen, losses = toxicity.choose_setting(spark, spark.sparkContext.broadcast((texts, y)), totals)
+    assert chosen.prefixes == a.prefixes and losses[chosen] == min(losses.values()) and len(losses) == 9
+    assert abs(losses[chosen] - np.mean([toxicity.fold_loss(texts, y, totals, chosen, f) for f in range(3)])) < 1e-9
+    small = toxicity.training_rows(docs, labels.filter(~held), max_docs=20, max_bytes=9000).toPandas()
+    assert (small.groupby("toxic").size() <= 20).all() and (small.text.str.len().groupby(small.toxic).sum() <= 9000).all()
+
+
 def test_toxicity_held_out(spark):
     out = registry.queries()["op6_toxicity"](spark, "/root/testdata/sf0.1").toPandas()
     labels = read_table(spark, "/root/testdata/sf0.1", "labels").toPandas()
