@@ -2,20 +2,22 @@
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from boundpath.loop import empty, keep, small
+from boundpath.loop import empty, keep, keep_counted, small
 from boundpath.operators.skyline import skyline
 from boundpath.search.ldp import PathQuery, _answers, best_of
 from boundpath.search.single import ldp_links_cost, relax, suffix_labels, trace, _finish
 
 
-def ebfs(links: DataFrame, requests: DataFrame, objective: str = "hops", max_hops: int = 8, dominance: bool = False, suffix: bool = False, metrics=("delay", "cost"), stats: bool = False):
-    """Exhaustive breadth-first search from the source: all loop-free paths within the bounds, level by level.
+def ebfs(links: DataFrame, requests: DataFrame, objective: str = "hops", max_hops: int | None = None, dominance: bool = False, suffix: bool = False, metrics=("delay", "cost"), stats: bool = False):
+    """Exhaustive breadth-first search from the source: all loop-free paths within the bounds, level by level, until there are none.
 
     dominance: one skyline per (request, vertex) and level; suffix: partial paths that can't meet a bound with the least
-    rest to the destination are dropped."""
+    rest to the destination are dropped.  Partial paths dearer than the best answer so far are dropped with dominance (its one-dimensional form)."""
     q = PathQuery(metrics=metrics, objective=objective, prune=frozenset(), max_hops=max_hops)
     head = requests.select("req_id", "dst", F.col("bw").alias("bw_min"), *[F.col(x).alias(f"max_{x}") for x in metrics], F.col("src").alias("v"), F.array("src").alias("path"), *[F.lit(0).cast("bigint").alias(x) for x in metrics])
     arcs = links.select(F.col("src").alias("u"), F.col("dst").alias("to"), "bw", *[F.col(x).alias(f"w_{x}") for x in metrics])
@@ -25,34 +27,39 @@ def ebfs(links: DataFrame, requests: DataFrame, objective: str = "hops", max_hop
             one = keep(suffix_labels(links, requests.select("dst").distinct(), x).select(F.col("dst").alias("s_dst"), F.col("v").alias("s_v"), F.col("least").alias(f"rest_{x}")))
             rest = one if rest is None else rest.join(one, ["s_dst", "s_v"])
         rest = keep(rest)
-    found, log = None, []
-    done = requests.filter("src = dst").select("req_id", F.lit(0).alias("hops"), *[F.lit(0).cast("bigint").alias(x) for x in metrics], F.array("src").alias("path"))
-    if not empty(done):
-        found = keep(done)
-    head = keep(head.filter("v != dst"))
-    for k in range(1, max_hops + 1):
-        if objective == "hops" and found is not None:
+    log, undecided = [], None
+    found = keep(requests.filter("src = dst").select("req_id", F.lit(0).alias("hops"), *[F.lit(0).cast("bigint").alias(x) for x in metrics], F.array("src").alias("path")))
+    head = head.filter("v != dst")
+    for k in count(1):
+        if objective == "hops":
             head = head.join(found.select("req_id"), "req_id", "left_anti")
+        if max_hops is not None and k > max_hops:
+            undecided = head.select("req_id").distinct()
+            break
         step = head.join(arcs, F.col("v") == F.col("u")).filter("bw >= bw_min").filter(~F.array_contains("path", F.col("to")))
         step = step.withColumns({x: F.col(x) + F.col(f"w_{x}") for x in metrics})
         step = step.filter(" and ".join(f"(max_{x} is null or {x} <= max_{x})" for x in metrics))
-        step = step.select("req_id", "dst", "bw_min", *[f"max_{x}" for x in metrics], F.col("to").alias("v"), F.concat("path", F.array("to")).alias("path"), *metrics)
-        made = keep(step)
-        generated = made.count() if stats else 0
-        kept = made
+        kept = step.select("req_id", "dst", "bw_min", *[f"max_{x}" for x in metrics], F.col("to").alias("v"), F.concat("path", F.array("to")).alias("path"), *metrics)
+        if stats:
+            kept, made = keep_counted(kept)
         if suffix:
             kept = kept.join(rest, (F.col("dst") == F.col("s_dst")) & (F.col("v") == F.col("s_v"))).filter(" and ".join(f"(max_{x} is null or {x} + rest_{x} <= max_{x})" for x in metrics)).drop("s_dst", "s_v", *[f"rest_{x}" for x in metrics])
         if dominance:
+            if objective != "hops":
+                kept = kept.join(small(found.select("req_id", F.col(objective).alias("__inc"))), "req_id", "left").filter(f"__inc is null or {objective} <= __inc").drop("__inc")
             kept = skyline(kept, ["req_id", "v"], list(metrics))
-        kept = keep(kept) if (suffix or dominance) else made
+        if suffix or dominance or not stats:
+            kept, seen = keep_counted(kept, "paths", complete=F.sum((F.col("v") == F.col("dst")).cast("bigint")))
+        else:
+            seen = {"rows": made["rows"], "complete": kept.filter("v = dst").count()}
         if stats:
-            log.append((k, generated, kept.count(), kept.filter("v = dst").count()))
-        if empty(kept):
+            log.append((k, made["rows"], seen["rows"], seen["complete"] or 0))
+        if not seen["rows"]:
             break
-        new = kept.filter("v = dst").select("req_id", F.lit(k).alias("hops"), *metrics, "path")
-        found = keep(best_of(new if found is None else found.unionByName(new), q))
+        if seen["complete"]:
+            found = keep(best_of(found.unionByName(kept.filter("v = dst").select("req_id", F.lit(k).alias("hops"), *metrics, "path")), q))
         head = kept.filter("v != dst")
-    answers = _answers(requests, found, q)
+    answers = _answers(requests, found, q, undecided)
     return (answers, log) if stats else answers
 
 
@@ -73,7 +80,7 @@ def ext_dijkstra_bounded(links: DataFrame, requests: DataFrame, metric: str = "d
     return found.select("req_id", F.when(ok, "FOUND").otherwise("NONE").alias("status"), F.when(ok, F.col("hops")).alias("hops"), F.when(ok, F.col(metric)).alias(metric), F.when(ok, F.col("path")).alias("path"))
 
 
-def iter_bellman_ford(links: DataFrame, requests: DataFrame, metric: str = "delay", max_hops: int = 16) -> DataFrame:
+def iter_bellman_ford(links: DataFrame, requests: DataFrame, metric: str = "delay", max_hops: int | None = None) -> DataFrame:
     """Least distance for each exact number of hops; the first number of hops whose distance keeps the bound wins."""
     layers, arrived, _ = relax(links, requests, metric, True, max_hops, "first", improve=False)
     return _finish(requests, trace(layers, requests, keep(arrived)), metric)
@@ -107,30 +114,40 @@ def path_links(paths: DataFrame) -> DataFrame:
     return paths.filter("path is not null and size(path) > 1").select("req_id", F.posexplode(pairs).alias("pos", "l")).select("req_id", "pos", F.col("l.a").alias("a"), F.col("l.b").alias("b"))
 
 
-def lagrangian(links: DataFrame, requests: DataFrame, rounds: int = 6, scale: int = 16) -> DataFrame:
-    """Lagrangian relaxation of the delay bound: least cost + multiplier * delay, the multiplier found by bisection over
-    0 to ``scale`` (in 1/scale steps) per request; the best feasible path met is the answer (an upper bound)."""
+def lagrangian(links: DataFrame, requests: DataFrame, scale: int = 16) -> DataFrame:
+    """Lagrangian relaxation of the delay bound: least scale * cost + multiplier * delay.  Every request tries the multipliers
+    0, 1, 2, 4, ... to 16 * scale at once, each as a request of its own in one relaxation; the best feasible path met is the answer (an upper bound).
+
+    Multiplier 0 is the least-cost path, the largest leans to the least-delay path."""
     from pyspark.sql.window import Window
 
-    state = requests.select("req_id", F.lit(0).cast("bigint").alias("lo"), F.lit(scale).cast("bigint").alias("hi"))
-    best = None
-    for _ in range(rounds):
-        state = keep(state.withColumn("lam", F.floor((F.col("lo") + F.col("hi")) / 2).cast("bigint")))
-        parts = [r[0] for r in state.select("lam").distinct().collect()]
-        met = None
-        for lam in parts:
-            mine = requests.join(state.filter(F.col("lam") == lam).select("req_id"), "req_id")
-            one = mixed_metric(links, mine, {"cost": scale, "delay": lam})
-            met = one if met is None else met.unionByName(one)
-        met = keep(met.filter("status = 'FOUND'").select("req_id", "hops", "delay", "cost", "path"))
-        best = met if best is None else best.unionByName(met)
-        state = state.join(met.select("req_id", F.lit(1).alias("ok")), "req_id", "left").select("req_id", F.when(F.col("ok").isNull(), F.col("lam") + 1).otherwise(F.col("lo")).alias("lo"), F.when(F.col("ok").isNull(), F.col("hi")).otherwise(F.col("lam")).alias("hi"))
-    order = Window.partitionBy("req_id").orderBy("cost", "hops", "delay", "path")
-    top = best.withColumn("r", F.row_number().over(order)).filter("r = 1").drop("r")
+    powers = [0] + [1 << i for i in range((16 * scale).bit_length())]
+    tries = requests.select("req_id", "src", "dst", "bw", "delay", "cost", F.posexplode(F.array(*[F.lit(p).cast("bigint") for p in powers])).alias("no", "lam"))
+    tries = tries.withColumnRenamed("req_id", "ask").withColumn("req_id", F.col("ask") * len(powers) + F.col("no"))
+    tries = keep(tries)
+    mixed = _relax_mixed(links, tries, scale)
+    met = check_paths(mixed, links, tries).filter("status = 'FOUND'").join(tries.select("req_id", "ask"), "req_id")
+    order = Window.partitionBy("ask").orderBy("cost", "hops", "delay", "path")
+    top = met.withColumn("r", F.row_number().over(order)).filter("r = 1").select(F.col("ask").alias("req_id"), "hops", "delay", "cost", "path")
     return requests.select("req_id").join(top, "req_id", "left").select("req_id", F.when(F.col("hops").isNull(), "NONE").otherwise("FOUND").alias("status"), "hops", "delay", "cost", "path")
 
 
-def two_bound_dp(links: DataFrame, requests: DataFrame, first: str = "cost", second: str = "delay", max_hops: int = 64) -> DataFrame:
+def _relax_mixed(links: DataFrame, tries: DataFrame, scale: int) -> DataFrame:
+    """(req_id, path): least scale * cost + lam * delay of every try, whose multiplier is a column of its own."""
+    few = small(tries.select("req_id", "bw", "lam"))
+    arcs = links.select(F.col("src").alias("v"), F.col("dst").alias("to"), F.col("bw").alias("room"), "delay", "cost")
+    best = keep(tries.select("req_id", F.col("src").alias("v"), F.lit(0).cast("bigint").alias("total"), F.array("src").alias("path"), F.lit(True).alias("fresh")))
+    while True:
+        step = best.filter("fresh").select("req_id", "v", "total", "path").join(few, "req_id").join(arcs, "v").filter("room >= bw")
+        step = step.select("req_id", F.col("to").alias("v"), (F.col("total") + scale * F.col("cost") + F.col("lam") * F.col("delay")).alias("total"), F.concat("path", F.array("to")).alias("path"), F.lit(True).alias("fresh"))
+        both = best.withColumn("fresh", F.lit(False)).unionByName(step)
+        top = both.groupBy("req_id", "v").agg(F.min(F.struct("total", F.size("path").alias("n"), "path", "fresh")).alias("t"))
+        best, seen = keep_counted(top.select("req_id", "v", "t.total", "t.path", "t.fresh"), "mixed", fresh=F.sum(F.col("fresh").cast("bigint")))
+        if not seen["fresh"]:
+            return best.join(tries.select("req_id", F.col("dst").alias("v")), ["req_id", "v"]).select("req_id", "path")
+
+
+def two_bound_dp(links: DataFrame, requests: DataFrame, first: str = "cost", second: str = "delay", max_hops: int | None = None) -> DataFrame:
     """Pseudo-polynomial table over (vertex, total of ``first``): the least ``second`` of each state, to a fixpoint.
 
     Answer: the least total of ``first`` that keeps both bounds: req_id, status, first, second."""
@@ -139,7 +156,7 @@ def two_bound_dp(links: DataFrame, requests: DataFrame, first: str = "cost", sec
     state = keep(reqs.select("req_id", F.col("src").alias("v"), F.lit(0).cast("bigint").alias("a"), F.lit(0).cast("bigint").alias("b")))
     front = state
     arcs = links.select(F.col("src").alias("v"), F.col("dst").alias("to"), "bw", F.col(first).alias("wa"), F.col(second).alias("wb"))
-    for _ in range(max_hops):
+    for _ in count() if max_hops is None else range(max_hops):
         step = front.join(few, "req_id").join(arcs, "v").filter("bw >= bw_min and a + wa <= m1 and b + wb <= m2")
         new = step.groupBy("req_id", F.col("to").alias("v"), (F.col("a") + F.col("wa")).alias("a")).agg(F.min(F.col("b") + F.col("wb")).alias("nb"))
         better = new.join(state, ["req_id", "v", "a"], "left").filter("b is null or nb < b").select("req_id", "v", "a", F.col("nb").alias("b"))

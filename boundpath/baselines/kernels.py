@@ -7,6 +7,8 @@ to every executor once, and each request is searched on its own.  Larger graphs
 from __future__ import annotations
 
 import heapq
+from collections import deque
+from functools import partial
 
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -18,6 +20,8 @@ ANSWER = "req_id bigint, status string, hops bigint, delay bigint, cost bigint,
 
 
 class Graph:
+    """Adjacency of arcs (src, dst, bw, delay, cost), both ways."""
+
     def __init__(self, rows):
         self.out, self.into = {}, {}
         for src, dst, bw, delay, cost in rows:
@@ -25,14 +29,20 @@ class Graph:
             self.into.setdefault(dst, []).append((src, bw, delay, cost))
         self.vertices = set(self.out) | set(self.into)
 
-    def least_to(self, dst: int, bw: int, metric: int) -> dict:
-        """Least total of a metric (2: delay, 3: cost) from every vertex to dst."""
-        best, heap = {dst: 0}, [(0, dst)]
+    def remove(self, src, dst, keep: int = 0, demand: int = 1) -> None:
+        """Take the arcs from src to dst away, or (keep) leave them with that much bandwidth."""
+        for side, a, b in ((self.out, src, dst), (self.into, dst, src)):
+            side[a] = [x if x[0] != b else (b, keep, *x[2:]) for x in side[a] if x[0] != b or keep >= demand]
+
+    def least(self, start: int, bw: int, metric: int, back: bool) -> dict:
+        """Least total of a metric (2: delay, 3: cost) from start to every vertex; back: from every vertex to start."""
+        sides = self.into if back else self.out
+        best, heap = {start: 0}, [(0, start)]
         while heap:
             d, v = heapq.heappop(heap)
             if d > best[v]:
                 continue
-            for arc in self.into.get(v, ()):
+            for arc in sides.get(v, ()):
                 if arc[1] >= bw and d + arc[metric] < best.get(arc[0], 1 << 62):
                     best[arc[0]] = d + arc[metric]
                     heapq.heappush(heap, (d + arc[metric], arc[0]))
@@ -43,48 +53,92 @@ def _rank(objective: str, hops: int, delay: int, cost: int, path: tuple) -> tupl
     return (cost, hops, delay, path) if objective == "cost" else (hops, delay, cost, path)
 
 
-def edfs(g: Graph, r, objective: str, max_hops: int, dominance: bool = True, suffix: bool = True):
-    """Depth-first branch and bound: labels at vertices (dominance per depth), rest bounds, and the best answer so far."""
-    rest_delay = g.least_to(r.dst, r.bw, 2) if suffix else {}
-    rest_cost = g.least_to(r.dst, r.bw, 3) if suffix else {}
-    best, seen, made = [None], {}, [0]
+class _Front:
+    """Vectors (hops, delay, cost) met at each vertex that no other of it dominates; equal ones all stay."""
 
-    def go(v, path, delay, cost):
-        if v == r.dst:
-            key = _rank(objective, len(path) - 1, delay, cost, tuple(path))
-            if best[0] is None or key < best[0]:
-                best[0] = key
-            return
+    def __init__(self):
+        self._at = {}
+
+    def beats(self, v, vector: tuple) -> bool:
+        """Whether a vector met before dominates this one; if not, it is remembered."""
+        known = self._at.setdefault(v, [])
+        h, d, c = vector
+        for a, b, e in known:
+            if a <= h and b <= d and e <= c and (a, b, e) != vector:
+                return True
+        known[:] = [x for x in known if not (h <= x[0] and d <= x[1] and c <= x[2])] + [vector]
+        return False
+
+
+def edfs(g: Graph, r, objective: str, max_hops: int, dominance: bool = True, suffix: bool = True):
+    """Depth-first branch and bound: dominance of (hops, delay, cost) at vertices, rest bounds, and the best answer so far."""
+    rest_delay = g.least(r.dst, r.bw, 2, True) if suffix else {}
+    rest_cost = g.least(r.dst, r.bw, 3, True) if suffix else {}
+    best, front, made = None, _Front(), 0
+    work = [((r.src,), 0, 0)]
+    while work:
+        path, delay, cost = work.pop()
+        if path[-1] == r.dst:
+            key = _rank(objective, len(path) - 1, delay, cost, path)
+            best = key if best is None or key < best else best
+            continue
         if len(path) > max_hops:
-            return
-        for to, bw, d, c in sorted(g.out.get(v, ())):
+            continue
+        for to, bw, d, c in sorted(g.out.get(path[-1], ()), reverse=True):
             if bw < r.bw or to in path:
                 continue
-            made[0] += 1
+            made += 1
             nd, nc = delay + d, cost + c
             if suffix and to not in rest_delay:
                 continue
             if nd + rest_delay.get(to, 0) > r.delay or nc + rest_cost.get(to, 0) > r.cost:
                 continue
-            if best[0] is not None:
-                if objective == "cost" and nc + rest_cost.get(to, 0) > best[0][0] or objective == "hops" and len(path) > best[0][0]:
+            if best is not None and (nc + rest_cost.get(to, 0) > best[0] if objective == "cost" else len(path) > best[0]):
+                continue
+            if dominance and front.beats(to, (len(path), nd, nc)):
+                continue
+            work.append(((*path, to), nd, nc))
+    return best, made
+
+
+def ebfs(g: Graph, r, objective: str, max_hops: int, suffix: bool = False):
+    """Breadth first from the source with dominance, bounds and (for a cost) the best answer so far; suffix: rest bounds too."""
+    rest_delay = g.least(r.dst, r.bw, 2, True) if suffix else {}
+    rest_cost = g.least(r.dst, r.bw, 3, True) if suffix else {}
+    best, front, made, level, hops = None, _Front(), 0, [((r.src,), 0, 0)], 0
+    while level and hops < max_hops:
+        hops += 1
+        after = []
+        for path, delay, cost in level:
+            for to, bw, d, c in g.out.get(path[-1], ()):
+                if bw < r.bw or to in path:
+                    continue
+                made += 1
+                nd, nc = delay + d, cost + c
+                if suffix and to not in rest_delay or nd + rest_delay.get(to, 0) > r.delay or nc + rest_cost.get(to, 0) > r.cost:
+                    continue
+                if best is not None and objective == "cost" and nc + rest_cost.get(to, 0) > best[0]:
                     continue
-            if dominance:
-                labels = seen.setdefault((to, len(path)), [])
-                if any(a <= nd and b <= nc and (a, b) != (nd, nc) for a, b in labels):
+                if front.beats(to, (hops, nd, nc)):
                     continue
-                labels[:] = [(a, b) for a, b in labels if not (nd <= a and nc <= b)] + [(nd, nc)]
-            go(to, [*path, to], nd, nc)
+                if to == r.dst:
+                    key = _rank(objective, hops, nd, nc, (*path, to))
+                    best = key if best is None or key < best else best
+                else:
+                    after.append(((*path, to), nd, nc))
+        if best is not None and objective == "hops":
+            break
+        level = after
+    return best, made
 
-    go(r.src, [r.src], 0, 0)
-    return best[0], made[0]
 
+def next_shortest(g: Graph, r, objective: str, max_hops: int, bounds: bool, dominance: bool = False):
+    """Loop-free paths in canonical order, best first with the exact least rest as estimate; made lazily.
 
-def next_shortest(g: Graph, r, objective: str, max_hops: int, bounds: bool):
-    """Loop-free paths in canonical order, best first with the exact least rest as estimate; made lazily."""
-    rest = g.least_to(r.dst, r.bw, 3)
-    hops = dict.fromkeys(rest, 0)
-    heap, made = [], 0
+    bounds: partial paths that can't keep the path bounds, with the least rest to the destination, are dropped."""
+    rest = g.least(r.dst, r.bw, 3, True)
+    rest_delay = g.least(r.dst, r.bw, 2, True) if bounds else {}
+    heap, made, front = [], 0, _Front()
 
     def push(v, path, delay, cost):
         if v in rest:
@@ -105,62 +159,95 @@ def next_shortest(g: Graph, r, objective: str, max_hops: int, bounds: bool):
         if len(path) > max_hops:
             continue
         for to, bw, d, c in g.out.get(v, ()):
-            if bw >= r.bw and to not in path and hops.get(to) is not None:
+            if bw >= r.bw and to not in path and to in rest:
                 made += 1
-                if not bounds or (delay + d <= r.delay and cost + c <= r.cost):
-                    push(to, [*path, to], delay + d, cost + c)
+                if bounds and (delay + d + rest_delay[to] > r.delay or cost + c + rest[to] > r.cost):
+                    continue
+                if dominance and front.beats(to, (len(path), delay + d, cost + c)):
+                    continue
+                push(to, [*path, to], delay + d, cost + c)
 
 
 def kshort_exact(g: Graph, r, objective: str, max_hops: int):
-    """The next shortest path until one keeps the bounds."""
+    """The next shortest path until one keeps the bounds, with dominance and rest bounds."""
     made = 0
-    for key, made in next_shortest(g, r, objective, max_hops, False):
-        delay = key[2] if objective == "cost" else key[1]
-        cost = key[0] if objective == "cost" else key[2]
-        if delay <= r.delay and cost <= r.cost:
-            return key, made
+    for key, made in next_shortest(g, r, objective, max_hops, True, True):
+        return key, made
     return None, made
 
 
-def layered(g: Graph, r, objective: str, max_hops: int, policy: str):
-    """The layered double-pass search of one request, its backward pass depth first or best first."""
-    layer, layers, best, made = {r.src: (0, 0)}, [], None, 0
-    layers.append(layer)
-    for n in range(1, max_hops + 1):
-        grown = {}
-        for v, (bd, bc) in layers[-1].items():
-            for to, bw, d, c in g.out.get(v, ()):
-                if bw >= r.bw and to != r.src:
-                    old = grown.get(to, (1 << 62, 1 << 62))
-                    grown[to] = (min(old[0], bd + d), min(old[1], bc + c))
-        grown = {v: b for v, b in grown.items() if b[0] <= r.delay and b[1] <= r.cost}
-        if not grown:
-            break
-        layers.append(grown)
-        if r.dst not in grown:
+def layered(g: Graph, r, objective: str, max_hops: int, policy: str = "bfs", prefix: bool = True):
+    """The layered double-pass search of one request; its backward pass goes breadth first, depth first or best first.
+
+    Fewest hops: the layers up to the destination's first appearance, and a walk back through them.  Else, or if that walk finds nothing
+    feasible, a walk back over all lengths against least labels, which dominance ends.  prefix: labels are used."""
+    made = 0
+    if objective == "hops":
+        layers, known, news = [{r.src: (0, 0)}], {r.src: (0, 0)}, True
+        while r.dst not in layers[-1] and news and len(layers) <= max_hops:
+            grown, news = {}, False
+            for v, (bd, bc) in layers[-1].items():
+                for to, bw, d, c in g.out.get(v, ()):
+                    if bw >= r.bw and to != r.src:
+                        old = grown.get(to)
+                        grown[to] = (bd + d, bc + c) if old is None else (min(old[0], bd + d), min(old[1], bc + c))
+            if prefix:
+                grown = {v: b for v, b in grown.items() if b[0] <= r.delay and b[1] <= r.cost}
+            for v, b in grown.items():  # layers without a new vertex or a lower label bring nothing that the second pass doesn't see
+                old = known.get(v)
+                if old is None or prefix and (b[0] < old[0] or b[1] < old[1]):
+                    known[v], news = (b if old is None else (min(old[0], b[0]), min(old[1], b[1]))), True
+            layers.append(grown)
+        if r.dst in layers[-1]:
+            best, made = _back(g, r, objective, policy, prefix, len(layers) - 1, lambda v, left: layers[left].get(v), False)
+            if best is not None:
+                return best, made
+    if prefix:
+        by_delay, by_cost = g.least(r.src, r.bw, 2, False), g.least(r.src, r.bw, 3, False)
+        labels = {v: (x, by_cost[v]) for v, x in by_delay.items()}
+    else:
+        labels = dict.fromkeys(g.least(r.src, r.bw, 2, False), (0, 0))
+    if r.dst not in labels or labels[r.dst][0] > r.delay or labels[r.dst][1] > r.cost:
+        return None, made
+    best, more = _back(g, r, objective, policy, prefix, min(max_hops, len(g.vertices) - 1), lambda v, left: labels.get(v), True)
+    return best, made + more
+
+
+def _back(g: Graph, r, objective: str, policy: str, prefix: bool, hops: int, label, any_length):
+    """Suffixes from the destination: of exactly ``hops`` links, or (any_length) of at most so many."""
+    best, front, made = None, _Front(), 0
+    first = ((0, 0, 0), (r.dst,), 0, 0)
+    work = [first] if policy == "kshort" else deque([first])
+    while work:
+        _, path, delay, cost = heapq.heappop(work) if policy == "kshort" else work.pop() if policy == "dfs" else work.popleft()
+        used = len(path) - 1
+        if path[0] == r.src and (any_length or used == hops):
+            key = _rank(objective, used, delay, cost, path)
+            best = key if best is None or key < best else best
             continue
-        work = [(0, 0, n, (r.dst,))]
-        while work:  # an answer of fewer links always comes first, so best has n links or bounds by cost
-            cost, delay, k, path = heapq.heappop(work) if policy == "kshort" else work.pop()
-            if k == 0:
-                key = _rank(objective, n, delay, cost, path)
-                if best is None or key < best:
-                    best = key
+        if used == hops or (best is not None and objective == "hops" and used + 1 > best[0]):
+            continue
+        for u, bw, d, c in g.into.get(path[0], ()):
+            if bw < r.bw or u in path:
                 continue
-            for u, bw, d, c in g.into.get(path[0], ()):
-                label = layers[k - 1].get(u)
-                if label is None or bw < r.bw or u in path:
-                    continue
-                made += 1
-                if delay + d + label[0] > r.delay or cost + c + label[1] > r.cost:
-                    continue
-                # the best total this suffix can still reach, against the answer so far (ties are kept)
-                if best is not None and (cost + c + label[1] > best[0] if objective == "cost" else delay + d + label[0] > best[1]):
-                    continue
-                item = (cost + c, delay + d, k - 1, (u, *path))
-                heapq.heappush(work, item) if policy == "kshort" else work.append(item)
-        if best is not None and objective == "hops":
-            break
+            known = label(u, hops - used - 1)
+            if known is None:
+                continue
+            made += 1
+            nd, nc = delay + d, cost + c
+            low_d, low_c = (nd + known[0], nc + known[1]) if prefix else (nd, nc)
+            if low_d > r.delay or low_c > r.cost:
+                continue
+            if best is not None and objective == "cost" and low_c > best[0]:
+                continue
+            # suffixes of one vertex compete; in the walk of one length those of its layer have equal hops
+            if front.beats((u, used) if not any_length else u, (used + 1, nd, nc)):
+                continue
+            item = ((low_c, used, low_d) if objective == "cost" else (used, low_d, low_c), (u, *path), nd, nc)
+            if policy == "kshort":
+                heapq.heappush(work, item)
+            else:
+                work.append(item)
     return best, made
 
 
@@ -185,30 +272,68 @@ def arc_ip(g: Graph, r, objective: str, max_hops: int):
     return _rank(objective, len(path) - 1, delay, cost, tuple(path)), nodes
 
 
-def least_delay(g: Graph, r, objective: str, max_hops: int):
-    """Dijkstra on links with enough bandwidth, least delay; the bounds are checked afterwards."""
-    best, heap, made = {}, [(0, 0, 0, (r.src,))], 0
+def least_metric(g: Graph, r, objective: str, max_hops: int, metric: int = 2):
+    """Dijkstra on links with enough bandwidth, least delay (2) or cost (3); the bounds are checked afterwards."""
+    done, heap, made = set(), [(0, 0, 0, (r.src,))], 0
     while heap:
-        delay, hops, cost, path = heapq.heappop(heap)
+        total, hops, other, path = heapq.heappop(heap)
         v = path[-1]
-        if v in best:
+        if v in done:
             continue
-        best[v] = delay
+        done.add(v)
         if v == r.dst:
+            delay, cost = (total, other) if metric == 2 else (other, total)
             return (_rank(objective, hops, delay, cost, path) if delay <= r.delay and cost <= r.cost else None), made
-        for to, bw, d, c in g.out.get(v, ()):
-            if bw >= r.bw and to not in best:
+        for arc in g.out.get(v, ()):
+            if arc[1] >= r.bw and arc[0] not in done:
+                made += 1
+                heapq.heappush(heap, (total + arc[metric], hops + 1, other + arc[5 - metric], (*path, arc[0])))
+    return None, made
+
+
+def relaxation(g: Graph, r, objective: str, max_hops: int, improve: bool = True):
+    """One path bound (cost), fewest hops: layers of vertices whose least cost falls (the layered search), or, without improve, the least
+    cost of every exact number of hops (iterative Bellman-Ford), until the destination is met.  Predecessors are kept per layer."""
+    layer, best, steps, made = {r.src: 0}, {r.src: 0}, [], 0
+    while layer and len(steps) < min(max_hops, len(g.vertices)):
+        grown = {}
+        for v, total in layer.items():
+            for to, bw, _, c in g.out.get(v, ()):
+                if bw < r.bw or to == r.src:
+                    continue
                 made += 1
-                heapq.heappush(heap, (delay + d, hops + 1, cost + c, (*path, to)))
+                x = total + c
+                if x <= r.cost and (not improve or x < best.get(to, 1 << 62)) and (x, v) < grown.get(to, (1 << 62, 0)):
+                    grown[to] = (x, v)
+        fell = [v for v, (x, _) in grown.items() if x < best.get(v, 1 << 62)]
+        for v in fell:
+            best[v] = grown[v][0]
+        steps.append({v: p for v, (_, p) in grown.items()})
+        if r.dst in grown:
+            path = [r.dst]
+            for step in reversed(steps):
+                path.insert(0, step[path[0]])
+            delay = sum(next(x[2] for x in g.out[a] if x[0] == b) for a, b in zip(path, path[1:], strict=False))
+            return _rank(objective, len(path) - 1, delay, grown[r.dst][0], tuple(path)), made
+        if not fell:  # longer walks can only come later and be no cheaper
+            break
+        layer = {v: x for v, (x, _) in grown.items()}
     return None, made
 
 
 SEARCHES = {
-    "least_delay": least_delay,
+    "least_delay": least_metric,
+    "least_cost": partial(least_metric, metric=3),
     "edfs": edfs,
+    "ebfs": ebfs,
+    "ebfs_suffix": partial(ebfs, suffix=True),
     "kshort_exact": kshort_exact,
-    "dfs": lambda g, r, o, h: layered(g, r, o, h, "dfs"),
-    "kshort": lambda g, r, o, h: layered(g, r, o, h, "kshort"),
+    "ldp": partial(layered, prefix=False),
+    "ldp_prefix": layered,
+    "dfs": partial(layered, policy="dfs"),
+    "kshort": partial(layered, policy="kshort"),
+    "single": relaxation,
+    "ibf": partial(relaxation, improve=False),
     "arc_ip": arc_ip,
 }
 
@@ -228,7 +353,7 @@ def _as_row(req_id, key, made, objective):
     return req_id, "FOUND", hops, delay, cost, list(path), made
 
 
-def search(links: DataFrame, requests: DataFrame, method: str, objective: str = "hops", max_hops: int | None = 8) -> DataFrame:
+def search(links: DataFrame, requests: DataFrame, method: str, objective: str = "hops", max_hops: int | None = None) -> DataFrame:
     """Answers of a kernel for every request, with the number of partial paths (or program nodes) it made.
 
     max_hops None: as many as a loop-free path can have."""
@@ -257,7 +382,7 @@ def _frame(rows, names):
     return out
 
 
-def k_shortest(links: DataFrame, requests: DataFrame, k: int, objective: str = "cost", max_hops: int = 8, bounded: bool = False) -> DataFrame:
+def k_shortest(links: DataFrame, requests: DataFrame, k: int, objective: str = "cost", max_hops: int | None = None, bounded: bool = False) -> DataFrame:
     """The k best loop-free paths of each request; bounded: only those within the bounds."""
     sent = _broadcast(links)
 
@@ -266,11 +391,12 @@ def k_shortest(links: DataFrame, requests: DataFrame, k: int, objective: str = "
         for f in frames:
             rows = []
             for r in f.itertuples(index=False):
-                for i, (key, _) in enumerate(next_shortest(g, r, objective, max_hops, bounded), 1):
+                for i, (key, _) in enumerate(next_shortest(g, r, objective, max_hops or len(g.vertices), bounded), 1):
                     rows.append((*_as_row(r.req_id, key, 0, objective)[:6], i))
                     if i == k:
                         break
             yield _frame(rows, ["req_id", "status", "hops", "delay", "cost", "path", "rank"])
 
     schema = ANSWER.replace("generated bigint", "rank int")
-    return requests.select("req_id", "src", "dst", "bw", "delay", "cost").mapInPandas(run, schema)
+    parts = max(1, min(64, requests.sparkSession.sparkContext.defaultParallelism))
+    return requests.select("req_id", "src", "dst", "bw", "delay", "cost").repartition(parts, "req_id").mapInPandas(run, schema)

@@ -39,10 +39,10 @@ def plan(n_link_bounds: int, path_bounds: tuple[str, ...], objective: str) -> Pa
     return PathPlan(method, "loop", why)
 
 
-def solve(links: DataFrame, requests: DataFrame, path_bounds: tuple[str, ...] = ("delay", "cost"), objective: str = "hops", policy: str | None = None, max_hops: int = 8, strategy: str = "loop", **options) -> DataFrame:
+def solve(links: DataFrame, requests: DataFrame, path_bounds: tuple[str, ...] = ("delay", "cost"), objective: str = "hops", policy: str | None = None, max_hops: int | None = None, strategy: str = "loop", **options) -> DataFrame:
     """Answers by the method that the bounds allow, or by the named policy.
 
-    strategy ``auto``: with delay and cost bounds, a graph of checked size is searched by kernels."""
+    max_hops None: any loop-free path; with a number, requests undecided there come back as CAPPED.  strategy ``auto``: with delay and cost bounds, a graph of checked size is searched by kernels."""
     from boundpath.baselines import exact, kernels
 
     name = policy or plan(1, path_bounds, objective).method
@@ -53,7 +53,7 @@ def solve(links: DataFrame, requests: DataFrame, path_bounds: tuple[str, ...] =
     if name == "single":
         return single.ldp_single(links, requests, path_bounds[0], max_hops)
     if name == "general" and strategy == "auto" and set(path_bounds) == {"delay", "cost"} and not options and choose_strategy(links) == "kernel":
-        return kernels.search(links, requests, "dfs", objective, max_hops)
+        return kernels.search(links, requests, "ldp_prefix", objective, max_hops)
     if name == "general":
         return ldp.ldp_general(links, requests, ldp.PathQuery(metrics=path_bounds, objective=objective, max_hops=max_hops, **options)).answers
     if name == "ext_dijkstra":

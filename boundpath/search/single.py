@@ -12,14 +12,15 @@ from itertools import count
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from boundpath.loop import empty, keep, small
+from boundpath.loop import empty, keep, keep_counted, small
 
 
 def relax(links: DataFrame, requests: DataFrame, metric: str | None, bounded: bool, max_hops: int | None, stop: str, improve: bool = True) -> tuple[DataFrame, DataFrame, bool]:
     """(layers, arrivals, still growing).  layers: cls, k, v, pred, dist; a class is a request.
 
     metric None counts hops.  stop ``first``: a request leaves when its destination is in a layer; ``end``: all layers until
-    none improves.  max_hops None: until no layer grows (weights not negative).  improve False keeps every layer's least distances, also those that don't improve (exact hop counts)."""
+    none improves.  max_hops None: until no layer grows (weights not negative).  improve False keeps every layer's least distances, also those that don't improve (exact hop counts); a
+    class whose layer improves nothing is at its end, since a longer walk can only arrive later and be no shorter."""
     bound = F.col(metric).cast("bigint") if bounded else F.lit(None).cast("bigint")
     reqs = requests.select(F.col("req_id").alias("cls"), "src", "dst", F.col("bw").alias("bw_min"), bound.alias("limit"))
     reqs = keep(reqs)
@@ -39,17 +40,22 @@ def relax(links: DataFrame, requests: DataFrame, metric: str | None, bounded: bo
         top = F.min(F.struct("dist", F.col("u").alias("pred"))).alias("t")
         cand = step.filter("to != src").groupBy("cls", F.col("to").alias("v")).agg(top) if improve else step.groupBy("cls", F.col("to").alias("v")).agg(top)
         cand = cand.select("cls", F.lit(k).alias("k"), "v", F.col("t.pred").alias("pred"), F.col("t.dist").alias("dist"))
-        if improve:
-            cand = cand.join(best, ["cls", "v"], "left").filter("least is null or dist < least").drop("least")
-        layer = keep(cand)
-        growing = not empty(layer)
+        met = cand.join(best, ["cls", "v"], "left").withColumn("better", F.col("least").isNull() | (F.col("dist") < F.col("least"))).drop("least")
+        layer, seen = keep_counted(met.filter("better") if improve else met, "layer", better=F.sum(F.col("better").cast("bigint")))
+        growing = bool(seen["better"])
         if not growing:
             break
-        layers = layers.unionByName(layer)
-        if improve:
-            best = keep(best.unionByName(layer.select("cls", "v", F.col("dist").alias("least"))).groupBy("cls", "v").agg(F.min("least").alias("least")))
+        if not improve:
+            layer = layer.join(layer.filter("better").select("cls").distinct(), "cls", "left_semi")
+        layers = layers.unionByName(layer.drop("better"))
+        best = keep(best.unionByName(layer.filter("better").select("cls", "v", F.col("dist").alias("least"))).groupBy("cls", "v").agg(F.min("least").alias("least")))
         goal = layer.join(reqs.select("cls", F.col("dst").alias("v")), ["cls", "v"]).select("cls", "k", "dist")
-        arrived = keep(arrived.unionByName(goal))
+        arrived = arrived.unionByName(goal)
+        if k % 8 == 0:
+            arrived = keep(arrived)
+        if stop == "first" and not improve and empty(layer.join(arrived.select("cls"), "cls", "left_anti")):
+            growing = False
+            break
     return layers, arrived, growing
 
 
@@ -73,19 +79,19 @@ def _finish(requests: DataFrame, paths: DataFrame, name: str) -> DataFrame:
     return out.select("req_id", F.when(F.col("hops").isNull(), "NONE").otherwise("FOUND").alias("status"), "hops", F.col("dist").alias(name), "path")
 
 
-def ldp_single(links: DataFrame, requests: DataFrame, metric: str = "delay", max_hops: int | None = 16) -> DataFrame:
+def ldp_single(links: DataFrame, requests: DataFrame, metric: str = "delay", max_hops: int | None = None) -> DataFrame:
     """Fewest hops under link bounds and one path bound; of these, least (distance, predecessor) layer by layer."""
     layers, arrived, _ = relax(links, requests, metric, True, max_hops, "first")
     return _finish(requests, trace(layers, requests, keep(arrived)), metric)
 
 
-def ldp_links(links: DataFrame, requests: DataFrame, max_hops: int = 16) -> DataFrame:
+def ldp_links(links: DataFrame, requests: DataFrame, max_hops: int | None = None) -> DataFrame:
     """Fewest hops under link bounds alone: every vertex enters one layer (improvement of the hop count)."""
     layers, arrived, _ = relax(links, requests, None, False, max_hops, "first")
     return _finish(requests, trace(layers, requests, keep(arrived)), "dist")
 
 
-def ldp_links_cost(links: DataFrame, requests: DataFrame, metric: str = "cost", max_hops: int = 64) -> DataFrame:
+def ldp_links_cost(links: DataFrame, requests: DataFrame, metric: str = "cost", max_hops: int | None = None) -> DataFrame:
     """Least total of a metric under link bounds alone, run until no distance improves."""
     layers, arrived, _ = relax(links, requests, metric, False, max_hops, "end")
     last = arrived.groupBy("cls").agg(F.min(F.struct("dist", "k")).alias("t")).select("cls", F.col("t.k").alias("k"), F.col("t.dist").alias("dist"))
@@ -108,7 +114,7 @@ def ldp_single_status(links: DataFrame, requests: DataFrame, vertices: int, metr
     return out.select("req_id", status.alias("status"))
 
 
-def suffix_labels(links: DataFrame, targets: DataFrame, metric: str, max_hops: int = 64) -> DataFrame:
+def suffix_labels(links: DataFrame, targets: DataFrame, metric: str, max_hops: int | None = None) -> DataFrame:
     """dst, v, least: the least total of ``metric`` from v to dst over any number of hops.  targets: dst."""
     back = links.select("link_id", F.col("dst").alias("src"), F.col("src").alias("dst"), "bw", F.col(metric))
     reqs = targets.select(F.col("dst").alias("req_id"), F.col("dst").alias("src"), F.lit(-1).cast("bigint").alias("dst"), F.lit(0).cast("bigint").alias("bw")).distinct()

@@ -13,7 +13,7 @@ from boundpath.baselines.kernels import search
 from boundpath.loop import empty, keep
 
 
-def allocate(links: DataFrame, requests: DataFrame, mode: str = "strict", method: str = "dfs", max_hops: int = 8) -> tuple[DataFrame, DataFrame]:
+def allocate(links: DataFrame, requests: DataFrame, mode: str = "strict", method: str = "ldp_prefix", max_hops: int | None = None) -> tuple[DataFrame, DataFrame]:
     """(decisions: req_id, accepted, hops, path; loads: link_id, load).  A request takes its bw from every link of its path.
 
     strict: as if one request came after the other.  All pending are solved on one snapshot, the longest prefix (by

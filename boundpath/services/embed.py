@@ -1,15 +1,16 @@
 """Virtual-network embedding and service chaining on a small substrate.
 
-Virtual networks of one pool are embedded one after the other on what the former left; pools are independent groups.  The
+Virtual networks of one pool are embedded one after the other on what the former left; pools are independent row groups of one job.  The
 substrate (a few dozen vertices) goes into each task.  Algorithms: ``joint`` (rank, place, route), ``colgen`` (``joint``'s
-placement, its links routed by column generation), ``auction`` (consensus placement, then routing) and ``opt`` (exact search
-over placements for small requests).  Each routes by plain least cost (``dijkstra``) or under the virtual link's delay bound
-(``ldp``).  Published formulations are only cited by the source, so these are reconstructions.
+placement, its links routed by column generation), ``colgen_split`` (the same with links split over several paths), ``auction`` (consensus
+placement, then routing) and ``opt`` (branch and bound over placements and paths together, for small requests).  Paths are found by ``dijkstra`` (least
+cost, the virtual link's delay bound checked afterwards), ``ldp`` (least cost under the bound) or ``kpaths`` (the first that fits of a few
+shortest paths computed beforehand).  Published formulations are only cited by the source, so these are reconstructions.
 """
 
 from __future__ import annotations
 
-from itertools import permutations
+from itertools import count
 from types import SimpleNamespace
 
 import numpy as np
@@ -18,12 +19,17 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from boundpath.baselines.kernels import Graph, layered
+from boundpath.baselines.kernels import Graph, layered, least_metric, next_shortest
 from boundpath.loop import empty, keep, small
 from boundpath.services.lp import simplex
 from boundpath.topology.networks import STRETCH, table
 
-RESULT = "vn_id bigint, accepted int, cost double, load double, paths int, hops bigint, cpu bigint"
+#: Paths of each pair that ``kpaths`` computes beforehand.
+K_PATHS = 4
+RESULT = "vn_id bigint, accepted int, cost double, load double, paths int, hops double, cpu bigint"
+POOL = f"setting string, method string, finder string, {RESULT}, used double, wires int"
+#: Most links of a substrate.
+SUBSTRATE = 100_000
 
 
 def vn_nodes(spark: SparkSession, sf_dir: str, count: int = 40, size: int = 6) -> DataFrame:
@@ -57,26 +63,36 @@ class Substrate:
         self.cpu, self.bw = dict(cpu), {(s, d): b for s, d, b, _, _ in arcs}
         self.delay = {(s, d): x for s, d, _, x, _ in arcs}
         self.cost = {(s, d): c for s, d, _, _, c in arcs}
+        self.first, self.known = self.graph(), {}
 
     def graph(self, extra: dict | None = None, scale: int = 1) -> Graph:
         return Graph((s, d, b, self.delay[s, d], self.cost[s, d] * scale + round(scale * (extra or {}).get((s, d), 0.0))) for (s, d), b in self.bw.items())
 
     def route(self, s: int, t: int, demand: int, bound: int, finder: str, graph: Graph | None = None) -> tuple | None:
-        """A path of least cost with room for the demand; ldp keeps the delay bound in the search, dijkstra checks it after."""
+        """A path with room for the demand that keeps the delay bound; ldp searches under the bound, dijkstra checks it after, kpaths
+        takes the first that will do of those known from the start."""
         if s == t:
             return (s,)
-        r = SimpleNamespace(src=s, dst=t, bw=demand, delay=bound if finder == "ldp" else 1 << 50, cost=1 << 50)
-        key, _ = layered(graph or self.graph(), r, "cost", 6, "kshort")
-        if key is None or key[2] > bound:
-            return None
-        return key[3]
+        if finder == "kpaths":
+            if (s, t) not in self.known:
+                r = SimpleNamespace(src=s, dst=t, bw=0, delay=1 << 50, cost=1 << 50)
+                found = zip(range(K_PATHS), next_shortest(self.first, r, "cost", len(self.cpu), False), strict=False)
+                self.known[s, t] = [(key[2], key[3]) for _, (key, _) in found]
+            fits = lambda path: all(self.bw[e] >= demand for e in zip(path, path[1:], strict=False))
+            return next((path for delay, path in self.known[s, t] if delay <= bound and fits(path)), None)
+        r = SimpleNamespace(src=s, dst=t, bw=demand, delay=bound, cost=1 << 50)
+        if finder == "dijkstra":
+            key, _ = least_metric(graph or self.graph(), r, "cost", len(self.cpu), 3)
+        else:
+            key, _ = layered(graph or self.graph(), r, "cost", len(self.cpu), "kshort")
+        return key and key[3]
 
     def take(self, placed: dict, nodes: dict, routes: dict, demands: dict) -> None:
         for pos, v in placed.items():
             self.cpu[v] -= nodes[pos]
-        for link, path in routes.items():
+        for link, path, share in flat(routes):
             for e in zip(path, path[1:], strict=False):
-                self.bw[e] -= demands[link]
+                self.bw[e] -= demands[link] * share
 
     def fits(self, routes: dict, demands: dict) -> bool:
         load: dict = {}
@@ -86,14 +102,19 @@ class Substrate:
         return all(self.bw.get(e, 0) >= x for e, x in load.items())
 
 
+def flat(routes: dict) -> list[tuple]:
+    """(link, path, share) of routes whose values are paths, or lists of (path, share)."""
+    return [(link, path, share) for link, found in routes.items() for path, share in (found if isinstance(found, list) else [(found, 1)])]
+
+
 def embedding_cost(sub: Substrate, placed: dict, nodes: dict, routes: dict, demands: dict, balanced: bool = False) -> float:
     """Bandwidth cost over all links of all paths plus CPU; balanced: each share divided by what is available."""
     total = 0.0
     for pos, v in placed.items():
         total += nodes[pos] / max(1, sub.cpu[v]) if balanced else nodes[pos]
-    for link, path in routes.items():
+    for link, path, share in flat(routes):
         for e in zip(path, path[1:], strict=False):
-            total += demands[link] * sub.cost[e] / max(1, sub.bw[e]) if balanced else demands[link] * sub.cost[e]
+            total += share * (demands[link] * sub.cost[e] / max(1, sub.bw[e]) if balanced else demands[link] * sub.cost[e])
     return total
 
 
@@ -139,6 +160,7 @@ def place_auction(sub: Substrate, nodes: dict) -> tuple[dict | None, int]:
 def route_all(sub: Substrate, placed: dict, vlinks: list[tuple], finder: str) -> dict | None:
     """Every virtual link in turn on what the former ones left (large demands first)."""
     rest = Substrate(sub.cpu, [(s, d, b, sub.delay[s, d], sub.cost[s, d]) for (s, d), b in sub.bw.items()])
+    rest.first, rest.known = sub.first, sub.known
     routes = {}
     for a, b, demand, bound in sorted(vlinks, key=lambda l: (-l[2], l[:2])):
         path = rest.route(placed[a], placed[b], demand, bound, finder)
@@ -150,9 +172,9 @@ def route_all(sub: Substrate, placed: dict, vlinks: list[tuple], finder: str) ->
     return routes
 
 
-def route_colgen(sub: Substrate, placed: dict, vlinks: list[tuple], finder: str, rounds: int = 8) -> dict | None:
+def route_colgen(sub: Substrate, placed: dict, vlinks: list[tuple], finder: str, split: bool = False) -> dict | None:
     """Column generation: a master program over known paths, and for every virtual link the path of least cost plus link
-    prices; stops when no path is cheaper than what its link pays.  The largest share of each link becomes its path."""
+    prices; stops when no path is cheaper than what its link pays.  The largest share of each link becomes its path; split: links keep all their shares."""
     pool: dict = {}
     base = sub.graph()
     for a, b, demand, bound in vlinks:
@@ -160,8 +182,8 @@ def route_colgen(sub: Substrate, placed: dict, vlinks: list[tuple], finder: str,
         if path is None:
             return None
         pool[a, b] = [path]
-    for _ in range(rounds):
-        shares, pay, price = _master(sub, vlinks, pool)
+    while True:
+        shares, pay, price, over = _master(sub, vlinks, pool)
         graph, more = sub.graph(price, 1000), False
         for a, b, demand, bound in vlinks:
             path = sub.route(placed[a], placed[b], demand, bound, finder, graph)
@@ -173,7 +195,8 @@ def route_colgen(sub: Substrate, placed: dict, vlinks: list[tuple], finder: str,
                 more = True
         if not more:
             break
-    shares, _, _ = _master(sub, vlinks, pool)
+    if split:
+        return None if over > 1e-6 else {(a, b): [(p, shares[a, b, p]) for p in pool[a, b] if shares[a, b, p] > 1e-9] for a, b, _, _ in vlinks}
     routes, demands = {}, {(a, b): d for a, b, d, _ in vlinks}
     for a, b, demand, _ in sorted(vlinks, key=lambda l: (-l[2], l[:2])):
         for path in sorted(pool[a, b], key=lambda p: (-shares[a, b, p], p)):
@@ -186,7 +209,7 @@ def route_colgen(sub: Substrate, placed: dict, vlinks: list[tuple], finder: str,
 
 
 def _master(sub: Substrate, vlinks: list[tuple], pool: dict):
-    """Shares of known paths, what each virtual link pays, and link prices.  Overload is allowed at a high price, so the
+    """Shares of known paths, what each virtual link pays, link prices, and the overload.  Overload is allowed at a high price, so the
     program always has a solution; prices come from the dual program."""
     columns = [(a, b, d, p) for a, b, d, _ in vlinks for p in pool[a, b]]
     used = sorted({e for *_, p in columns for e in zip(p, p[1:], strict=False)})
@@ -211,56 +234,143 @@ def _master(sub: Substrate, vlinks: list[tuple], pool: dict):
     y, _ = simplex([*[-1.0] * k, *[1.0] * k, *caps], [], rows)
     pay = {key: y[i] - y[k + i] for i, key in enumerate(keys)}
     price = {e: float(y[2 * k + i]) for i, e in enumerate(used)}
-    return {(a, b, p): float(x[j]) for j, (a, b, _, p) in enumerate(columns)}, pay, price
+    return {(a, b, p): float(x[j]) for j, (a, b, _, p) in enumerate(columns)}, pay, price, float(sum(x[n:]))
+
+
+def place_opt(sub: Substrate, nodes: dict, vlinks: list[tuple], finder: str) -> tuple | None:
+    """Placement and paths of least balanced cost, by branch and bound: virtual nodes are placed one by one, then their links routed
+    one by one over all feasible paths; what is left costs at least the cheapest rest, every link on its own."""
+    scale = 10**9
+    weight = {e: round(scale * sub.cost[e] / max(1, b)) for e, b in sub.bw.items()}
+    graph = Graph((s, d, b, sub.delay[s, d], weight[s, d]) for (s, d), b in sub.bw.items())
+    at_least = {demand: {v: graph.least(v, demand, 3, False) for v in sub.cpu} for demand in {w[2] for w in vlinks}}
+    order = sorted(nodes, key=lambda p: (-sum(p in w[:2] for w in vlinks), p))
+    cpu_cost = {(p, v): scale * nodes[p] / max(1, sub.cpu[v]) for p in order for v in sub.cpu}
+    cheapest = {p: min(cpu_cost[p, v] for v in sub.cpu) for p in order}
+    best = [float("inf"), None]
+    known: dict = {}
+
+    def options(s, t, demand, bound):
+        """Feasible paths of a pair, cheapest first, made as they are asked for."""
+        if (s, t, demand, bound) not in known:
+            r = SimpleNamespace(src=s, dst=t, bw=demand, delay=bound, cost=1 << 60)
+            known[s, t, demand, bound] = ([], next_shortest(graph, r, "cost", len(sub.cpu), True))
+        made, more = known[s, t, demand, bound]
+        for i in count():
+            if i == len(made):
+                found = next(more, None)
+                if found is None:
+                    return
+                made.append((found[0][0], found[0][3]))
+            yield made[i]
+
+    def floor(placed, link):
+        a, b, demand, _ = link
+        return demand * at_least[demand][placed[a]].get(placed[b], float("inf")) if a in placed and b in placed else 0.0
+
+    def route(placed, links, routes, load, spent):
+        if spent + sum(floor(placed, w) for w in links) >= best[0]:
+            return
+        if not links:
+            best[:] = [spent, (dict(placed), dict(routes))]
+            return
+        a, b, demand, bound = links[0]
+        rest = sum(floor(placed, w) for w in links[1:])
+        for unit, path in options(placed[a], placed[b], demand, bound):
+            if spent + demand * unit + rest >= best[0]:
+                return
+            steps = list(zip(path, path[1:], strict=False))
+            if all(load.get(e, 0) + demand <= sub.bw[e] for e in steps):
+                for e in steps:
+                    load[e] = load.get(e, 0) + demand
+                routes[a, b] = path
+                route(placed, links[1:], routes, load, spent + demand * unit)
+                del routes[a, b]
+                for e in steps:
+                    load[e] -= demand
+            if finder == "dijkstra":
+                return  # the cheapest path or none
+
+    def place(i, placed, spent):
+        if spent + sum(cheapest[p] for p in order[i:]) + sum(floor(placed, w) for w in vlinks) >= best[0]:
+            return
+        if i == len(order):
+            route(placed, sorted(vlinks, key=lambda w: (-w[2], w[:2])), {}, {}, spent)
+            return
+        p, tried = order[i], []
+        for v in sub.cpu:
+            if v not in placed.values() and sub.cpu[v] >= nodes[p]:
+                placed[p] = v
+                tried.append((spent + cpu_cost[p, v] + sum(floor(placed, w) for w in vlinks), v))
+                del placed[p]
+        for _, v in sorted(tried):
+            place(i + 1, {**placed, p: v}, spent + cpu_cost[p, v])
+
+    place(0, {}, 0.0)
+    return best[1]
 
 
 def embed_one(sub: Substrate, nodes: dict, vlinks: list[tuple], method: str, finder: str):
     """(placement, routes) or None."""
     if method == "opt":
-        best = None
-        demands = {(a, b): d for a, b, d, _ in vlinks}
-        for choice in permutations(sorted(sub.cpu), len(nodes)):
-            placed = dict(zip(sorted(nodes), choice, strict=True))
-            if any(sub.cpu[v] < nodes[p] for p, v in placed.items()):
-                continue
-            routes = route_all(sub, placed, vlinks, finder)
-            if routes is not None:
-                value = embedding_cost(sub, placed, nodes, routes, demands, True)
-                if best is None or value < best[0]:
-                    best = (value, placed, routes)
-        return best and best[1:]
+        return place_opt(sub, nodes, vlinks, finder)
     placed = place_auction(sub, nodes)[0] if method == "auction" else place_joint(sub, nodes)
     if placed is None:
         return None
-    routes = route_colgen(sub, placed, vlinks, finder) if method == "colgen" else route_all(sub, placed, vlinks, finder)
+    routes = route_colgen(sub, placed, vlinks, finder, method == "colgen_split") if method.startswith("colgen") else route_all(sub, placed, vlinks, finder)
     return None if routes is None else (placed, routes)
 
 
-def embed(substrate_nodes: DataFrame, links: DataFrame, nodes: DataFrame, vlinks: DataFrame, method: str = "joint", finder: str = "ldp") -> DataFrame:
-    """vn_id, accepted, cost, load (the balanced cost), paths, hops, cpu of every virtual network, in order of vn_id within its pool (one pool here)."""
+def embed_pool(sub: Substrate, requests, method: str, finder: str) -> list[tuple]:
+    """Virtual networks (vn_id, nodes, links) in order, each on what the former ones left."""
+    out = []
+    for r in requests:
+        own = {int(x["pos"]): int(x["cpu"]) for x in r.nodes}
+        wires = [(int(x["a"]), int(x["b"]), int(x["demand"]), int(x["delay_max"])) for x in r.links]
+        got = embed_one(sub, own, wires, method, finder)
+        if got is None:
+            out.append((int(r.vn_id), 0, None, None, 0, 0.0, 0))
+            continue
+        placed, routes = got
+        demands = {(a, b): d for a, b, d, _ in wires}
+        cost = embedding_cost(sub, placed, own, routes, demands)
+        load = embedding_cost(sub, placed, own, routes, demands, True)
+        sub.take(placed, own, routes, demands)
+        out.append((int(r.vn_id), 1, float(cost), float(load), len(flat(routes)), float(sum((len(p) - 1) * share for _, p, share in flat(routes))), sum(own.values())))
+    return out
+
+
+def embed_pools(substrate_nodes: DataFrame, links: DataFrame, nodes: DataFrame, pools: list[tuple]) -> DataFrame:
+    """RESULT of every pool, behind its setting, method and finder; used: summed link utilisation at the pool's end, wires: links of the substrate.
+
+    pools: (setting, virtual links, methods, finders); one job with a row group for each combination.  The substrate is collected: at most
+    SUBSTRATE links, or an error."""
+    spark = links.sparkSession
     cpu = {r.v: r.cpu for r in substrate_nodes.select("v", "cpu").collect()}
-    arcs = [tuple(r) for r in links.select("src", "dst", "bw", "delay", "cost").collect()]
-    packed = nodes.groupBy("vn_id").agg(F.collect_list(F.struct("pos", "cpu")).alias("nodes"))
-    packed = packed.join(vlinks.groupBy("vn_id").agg(F.collect_list(F.struct("a", "b", "demand", "delay_max")).alias("links")), "vn_id").withColumn("pool", F.lit(0))
+    arcs = [tuple(r) for r in links.select("src", "dst", "bw", "delay", "cost").limit(SUBSTRATE + 1).collect()]
+    if len(arcs) > SUBSTRATE:
+        raise ValueError(f"the substrate has more than {SUBSTRATE} links")
+    own = nodes.groupBy("vn_id").agg(F.collect_list(F.struct("pos", "cpu")).alias("nodes"))
+    every = None
+    for setting, wires, methods, finders in pools:
+        packed = own.join(wires.groupBy("vn_id").agg(F.collect_list(F.struct("a", "b", "demand", "delay_max")).alias("links")), "vn_id")
+        combos = spark.createDataFrame([(setting, m, f) for m in methods for f in finders], "setting string, method string, finder string")
+        one = packed.join(F.broadcast(combos), F.lit(True))
+        every = one if every is None else every.unionByName(one)
 
     def run(f: pd.DataFrame) -> pd.DataFrame:
-        sub, out = Substrate(cpu, arcs), []
-        for r in f.sort_values("vn_id").itertuples(index=False):
-            own = {int(x["pos"]): int(x["cpu"]) for x in r.nodes}
-            wires = [(int(x["a"]), int(x["b"]), int(x["demand"]), int(x["delay_max"])) for x in r.links]
-            got = embed_one(sub, own, wires, method, finder)
-            if got is None:
-                out.append((r.vn_id, 0, None, None, 0, 0, 0))
-                continue
-            placed, routes = got
-            demands = {(a, b): d for a, b, d, _ in wires}
-            cost = embedding_cost(sub, placed, own, routes, demands)
-            load = embedding_cost(sub, placed, own, routes, demands, True)
-            sub.take(placed, own, routes, demands)
-            out.append((r.vn_id, 1, cost, load, len(routes), sum(len(p) - 1 for p in routes.values()), sum(own.values())))
-        return pd.DataFrame(out, columns=["vn_id", "accepted", "cost", "load", "paths", "hops", "cpu"])
-
-    return packed.groupBy("pool").applyInPandas(run, RESULT)
+        label = [f[c].iloc[0] for c in ("setting", "method", "finder")]
+        sub = Substrate(cpu, arcs)
+        rows = embed_pool(sub, f.sort_values("vn_id").itertuples(index=False), *label[1:])
+        used = sum(1 - sub.bw[s, d] / b for s, d, b, _, _ in arcs if b)
+        return pd.DataFrame([(*label, *row, float(used), len(arcs)) for row in rows], columns=[c.split()[0] for c in POOL.split(", ")])
+
+    return every.groupBy("setting", "method", "finder").applyInPandas(run, POOL)
+
+
+def embed(substrate_nodes: DataFrame, links: DataFrame, nodes: DataFrame, vlinks: DataFrame, method: str = "joint", finder: str = "ldp") -> DataFrame:
+    """vn_id, accepted, cost, load (the balanced cost), paths, hops, cpu of every virtual network of one pool, in order of vn_id."""
+    return embed_pools(substrate_nodes, links, nodes, [("", vlinks, [method], [finder])]).select(*[c.split()[0] for c in RESULT.split(", ")])
 
 
 def auction_winners(substrate_nodes: DataFrame, links: DataFrame, nodes: DataFrame) -> DataFrame:

@@ -2,15 +2,18 @@
 
 from __future__ import annotations
 
+from itertools import count
+
 import numpy as np
 
 EPS = 1e-9
 
 
-def simplex(c, eq, le):
-    """Minimise c x with eq rows (a, b): a x = b, le rows: a x <= b, x >= 0.  (x, value), or None if infeasible.
+def simplex(c, eq, le, prices: bool = False):
+    """Minimise c x with eq rows (a, b): a x = b, le rows: a x <= b, x >= 0.  (x, value), or None if infeasible; prices: also
+    how much the value falls per unit of each le row's right side.
 
-    Two phases with Bland's rule, so it always ends; unbounded programs raise."""
+    Two phases; after many steps the entering column is chosen by number, so it always ends; unbounded programs raise."""
     n, rows = len(c), [*eq, *le]
     m, slack = len(rows), len(le)
     a = np.zeros((m, n + slack + m))
@@ -19,29 +22,35 @@ def simplex(c, eq, le):
         a[i, :n] = row
         if i >= len(eq):
             a[i, n + i - len(eq)] = 1.0
-    a[b < 0] *= -1
+    flipped = b < 0
+    a[flipped] *= -1
     b = np.abs(b)
     basis = list(range(n + slack, n + slack + m))
     for i in range(m):
         a[i, n + slack + i] = 1.0
     tab = np.hstack([a, b[:, None]])
 
+    def pivot(i, enter):
+        tab[i] /= tab[i, enter]
+        column = tab[:, enter].copy()
+        column[i] = 0.0
+        rows = np.flatnonzero(np.abs(column) > EPS)
+        tab[rows] -= column[rows, None] * tab[i]
+        basis[i] = enter
+
     def run(cost, allowed):
-        while True:
-            reduced = cost - cost[basis] @ tab[:, :-1]
-            enter = next((j for j in range(allowed) if reduced[j] < -EPS), None)
-            if enter is None:
+        # steepest first; by lowest number (which can't cycle) once the steps get many
+        for step in count():
+            reduced = (cost - cost[basis] @ tab[:, :-1])[:allowed]
+            enter = int(np.argmin(reduced)) if step < 20 * (m + n) else int(np.argmax(reduced < -EPS))
+            if reduced[enter] >= -EPS:
                 return
-            col = tab[:, enter]
-            ratios = [(tab[i, -1] / col[i], basis[i], i) for i in range(m) if col[i] > EPS]
-            if not ratios:
+            up = np.flatnonzero(tab[:, enter] > EPS)
+            if not len(up):
                 raise ValueError("unbounded")
-            i = min(ratios)[2]
-            tab[i] /= tab[i, enter]
-            for j in range(m):
-                if j != i and abs(tab[j, enter]) > EPS:
-                    tab[j] -= tab[j, enter] * tab[i]
-            basis[i] = enter
+            ratio = tab[up, -1] / tab[up, enter]
+            tied = up[ratio <= ratio.min() + 1e-12]
+            pivot(int(min(tied, key=lambda i: basis[i])), enter)
 
     total = n + slack + m
     phase = np.zeros(total)
@@ -53,16 +62,15 @@ def simplex(c, eq, le):
         if basis[i] >= n + slack:
             j = next((j for j in range(n + slack) if abs(tab[i, j]) > EPS), None)
             if j is not None:
-                tab[i] /= tab[i, j]
-                for r in range(m):
-                    if r != i:
-                        tab[r] -= tab[r, j] * tab[i]
-                basis[i] = j
+                pivot(i, j)
     cost = np.zeros(total)
     cost[:n] = c
     run(cost, n + slack)
     x = np.zeros(total)
     x[basis] = tab[:, -1]
+    if prices:
+        sign = np.where(flipped[len(eq):], -1.0, 1.0)
+        return x[:n], float(np.dot(c, x[:n])), (cost - cost[basis] @ tab[:, :-1])[n : n + slack] * sign
     return x[:n], float(np.dot(c, x[:n]))
 
 
@@ -91,64 +99,36 @@ def solve_binary(c, eq, le):
 def max_min(flows: list[list[list]], capacity: dict, demand: list[float] | None = None) -> list[list[float]]:
     """Max-min fair rates, level by level.  flows[i]: its paths, each a list of links; result: a rate for each path.
 
-    Every level raises the common rate of unfrozen flows as far as the links allow (one program), then freezes those flows that
-    cannot rise alone."""
+    Every level raises the common rate of unfrozen flows as far as the links allow (one program), then freezes those whose
+    own row has a price: they have just that rate in every solution of the level."""
     columns = [(i, p) for i, paths in enumerate(flows) for p in range(len(paths))]
     at = {c: j for j, c in enumerate(columns)}
-    n, frozen = len(columns), {}
-    uses = {}
+    n, frozen, uses = len(columns), {}, {}
     for (i, p), j in at.items():
         for e in flows[i][p]:
             uses.setdefault(e, []).append(j)
     caps = []
     for e, js in uses.items():
-        row = [0.0] * (n + 1)
-        for j in js:
-            row[j] += 1.0
+        row = np.zeros(n + 1)
+        np.add.at(row, js, 1.0)
         caps.append((row, float(capacity[e])))
+    own = np.zeros((len(flows), n + 1))
+    for (i, _), j in at.items():
+        own[i, j] = 1.0
+    limits = [(own[i], float(demand[i])) for i in range(len(flows)) if demand and flows[i]]
+    goal = np.zeros(n + 1)
+    goal[n] = -1.0
     x = np.zeros(n)
-
-    def rows(active):
-        eq = []
-        le = list(caps)
-        for i in range(len(flows)):
-            row = [0.0] * (n + 1)
-            for p in range(len(flows[i])):
-                row[at[i, p]] = 1.0
-            if i in frozen:
-                eq.append((row, frozen[i]))
-            elif flows[i]:
-                if active is None or i in active:
-                    le.append(([-v for v in row[:-1]] + [1.0], 0.0))
-                if demand:
-                    le.append((row, float(demand[i])))
-        return eq, le
-
-    while any(i not in frozen and flows[i] for i in range(len(flows))):
-        eq, le = rows(None)
-        got = simplex([0.0] * n + [-1.0], eq, le)
-        level, x = got[0][n], got[0][:n]
-        open_ = [i for i in range(len(flows)) if i not in frozen and flows[i]]
-        stuck = []
-        for i in open_:  # can flow i rise while the others keep the level?
-            base = []
-            for k in open_:
-                row = [0.0] * (n + 1)
-                for p in range(len(flows[k])):
-                    row[at[k, p]] = -1.0
-                base.append((row, -level))
-            goal = [0.0] * (n + 1)
-            for p in range(len(flows[i])):
-                goal[at[i, p]] = -1.0
-            eq2, le2 = rows(set())
-            more = simplex(goal, eq2, [*le2, *base])
-            if more is None or -more[1] <= level + 1e-6:
-                stuck.append(i)
+    while open_ := [i for i in range(len(flows)) if i not in frozen and flows[i]]:
+        # a hair of slack for frozen rates keeps the program feasible under rounding
+        fixed = [(-own[i], -rate * (1 - 1e-9)) for i, rate in frozen.items()]
+        rise = [(-own[i] - goal, 0.0) for i in open_]
+        full = [(own[i], rate) for i, rate in frozen.items()]
+        got = simplex(goal, [], [*rise, *caps, *limits, *fixed, *full], True)
+        level, x = float(got[0][n]), got[0][:n]
+        stuck = [i for i, price in zip(open_, got[2], strict=False) if price > 1e-7]
+        if demand:
+            stuck += [i for i in open_ if i not in stuck and level >= demand[i] - 1e-9]
         for i in stuck or open_:
             frozen[i] = level
-    out, eq, le = [], *rows(set())
-    final = simplex([0.0] * (n + 1), eq, le)
-    x = final[0][:n] if final else x
-    for i, paths in enumerate(flows):
-        out.append([float(x[at[i, p]]) for p in range(len(paths))])
-    return out
+    return [[float(x[at[i, p]]) for p in range(len(paths))] for i, paths in enumerate(flows)]

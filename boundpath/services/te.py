@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-from functools import partial
 from itertools import count
 
 from pyspark.sql import DataFrame
@@ -16,13 +15,13 @@ from boundpath.services.lp import max_min, simplex
 
 def _kernel(method: str):
     def find(links, requests):
-        return search(links, requests.withColumn("cost", F.lit(1 << 40)), method, "hops", None)
+        return search(links, requests.withColumn("cost", F.lit(1 << 40)), method, "hops")
 
     return find
 
 
 #: Path finders: kernels over a broadcast graph of checked size, and the DataFrame loops for larger ones.
-FINDERS = {"ldp": _kernel("dfs"), "ext_dijkstra": _kernel("least_delay"), "ldp_loop": partial(ldp_single, max_hops=None), "ext_dijkstra_loop": ext_dijkstra_bounded}
+FINDERS = {"ldp": _kernel("ldp_prefix"), "ext_dijkstra": _kernel("least_delay"), "ldp_loop": ldp_single, "ext_dijkstra_loop": ext_dijkstra_bounded}
 
 
 def flow_requests(flows: DataFrame) -> DataFrame:
@@ -66,15 +65,23 @@ def te_greedy(links: DataFrame, flows: DataFrame, finder: str = "ldp", max_round
     return rates, loads
 
 
-def te_lp(links: DataFrame, flows: DataFrame, k: int, bounded: bool, max_hops: int = 8) -> DataFrame:
+#: Flows and links of the largest exact program.
+LP_FLOWS, LP_LINKS = 200, 100_000
+
+
+def te_lp(links: DataFrame, flows: DataFrame, k: int, bounded: bool, max_hops: int | None = None) -> DataFrame:
     """Max-min fair rates over k given paths each: flow_id, rate.  bounded: paths keep the flow's delay bound.
 
     One exact program on the driver, for tens of flows; ``te_scale`` is the distributed approximation."""
     reqs = flow_requests(flows).withColumn("cost", F.lit(1 << 40))
     paths = k_shortest(links, reqs, k, "hops" if bounded else "cost", max_hops, bounded)
     paths = keep(paths.select("req_id", "rank", "hops", "path"))
-    caps = {(r.src, r.dst): r.bw for r in links.select("src", "dst", "bw").collect()}
-    held: dict[int, list] = {r.flow_id: [] for r in flows.select("flow_id").collect()}
+    known = links.select("src", "dst", "bw").limit(LP_LINKS + 1).collect()
+    asked = flows.select("flow_id").limit(LP_FLOWS + 1).collect()
+    if len(known) > LP_LINKS or len(asked) > LP_FLOWS:
+        raise ValueError(f"the program is for at most {LP_FLOWS} flows and {LP_LINKS} links: use te_scale")
+    caps = {(r.src, r.dst): r.bw for r in known}
+    held: dict[int, list] = {r.flow_id: [] for r in asked}
     for r in paths.orderBy("req_id", "rank").collect():
         if r.hops:
             held[r.req_id].append(list(zip(r.path, r.path[1:], strict=False)))
@@ -91,8 +98,8 @@ def te_arc_lp(links: DataFrame, flows: DataFrame) -> DataFrame:
     """The largest rate that all flows can have at once, split over any links: flow_id, rate, links (how many it uses).
 
     One variable for each flow and link, so it is for small graphs; flows without a path make the rate 0."""
-    arcs = [tuple(r) for r in links.select("src", "dst", "bw").collect()]
-    asks = sorted(tuple(r) for r in flows.select("flow_id", "src", "dst").collect())
+    arcs = [tuple(r) for r in links.select("src", "dst", "bw").limit(ARC_COLUMNS + 1).collect()]
+    asks = sorted(tuple(r) for r in flows.select("flow_id", "src", "dst").limit(ARC_COLUMNS + 1).collect())
     n = len(arcs) * len(asks)
     if n + 1 > ARC_COLUMNS:
         raise ValueError(f"the arc program has {n + 1} columns, more than {ARC_COLUMNS}: use paths")

@@ -68,12 +68,19 @@ def requests(severity: str = "low", count: str | None = None, vertices: str = "s
    CAST({bw} AS BIGINT) AS bw, CAST({delay} AS BIGINT) AS delay, CAST({cost} AS BIGINT) AS cost FROM (SELECT unnest(range({many})) AS r))"""
 
 
-def all_paths(net: str = "n1", hops: int = 8, stop_at_first: bool = False) -> str:
-    """walk: every loop-free path from a request's source under its bounds; done: those that reach the destination."""
+def all_paths(net: str = "n1", hops: int | None = None, dominance: bool = False) -> str:
+    """walk: every loop-free path from a request's source under its bounds (of at most ``hops`` links); done: those that reach the destination.
+
+    dominance: of the paths to one vertex by equally many links, those that another beats in delay and cost are left out, so that best
+    paths of any length can be listed."""
+    step = f"""SELECT w.req_id, l.dst AS v, w.dst, w.bw, w.dmax, w.cmax, w.hops + 1 AS hops, w.delay + l.delay AS delay, w.cost + l.cost AS cost, list_append(w.path, l.dst) AS path
+   FROM walk w JOIN {net} l ON l.src = w.v AND l.bw >= w.bw WHERE w.v <> w.dst{f' AND w.hops < {hops}' if hops else ''} AND NOT list_contains(w.path, l.dst)
+     AND w.delay + l.delay <= w.dmax AND w.cost + l.cost <= w.cmax"""
+    if dominance:
+        step = f"""SELECT req_id, v, dst, bw, dmax, cmax, hops, delay, cost, path FROM (SELECT *, min(cost) OVER (PARTITION BY req_id, v, delay) AS level,
+     min(cost) OVER (PARTITION BY req_id, v ORDER BY delay RANGE BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS less FROM ({step})) WHERE cost = level AND (less IS NULL OR less > cost)"""
     return f"""walk AS (SELECT req_id, src AS v, dst, bw, delay AS dmax, cost AS cmax, 0 AS hops, CAST(0 AS BIGINT) AS delay, CAST(0 AS BIGINT) AS cost, [src] AS path FROM req
-   UNION ALL SELECT w.req_id, l.dst, w.dst, w.bw, w.dmax, w.cmax, w.hops + 1, w.delay + l.delay, w.cost + l.cost, list_append(w.path, l.dst)
-   FROM walk w JOIN {net} l ON l.src = w.v AND l.bw >= w.bw WHERE w.v <> w.dst AND w.hops < {hops} AND NOT list_contains(w.path, l.dst)
-     AND w.delay + l.delay <= w.dmax AND w.cost + l.cost <= w.cmax),
+   UNION ALL {step}),
  done AS (SELECT * FROM walk WHERE v = dst)"""
 
 

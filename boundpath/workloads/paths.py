@@ -11,7 +11,6 @@ from boundpath.topology import networks as N
 from boundpath.topology import oracle as O
 
 QUERIES, ORACLES = {}, {}
-HOPS = {"hops": 8, "cost": 7}
 
 
 def register(name: str, sql: str | None = None):
@@ -34,8 +33,10 @@ def _ten(spark, d, severity):
     return N.requests(spark, d, severity, 10)
 
 
-def _oracle(severity, objective, extra="", net=None, netname="n1"):
-    return "WITH RECURSIVE " + (net or O.n1()) + ",\n " + O.requests(severity, "10") + ",\n " + O.all_paths(netname, HOPS[objective]) + extra + "\n" + O.best(objective)
+def _oracle(severity, objective, extra="", net=None, netname="n1", dominance=None):
+    """Best paths of any length; all paths are listed, with low bounds and for the undirected network those that dominance leaves."""
+    listed = O.all_paths(netname, None, severity == "low" if dominance is None else dominance)
+    return "WITH RECURSIVE " + (net or O.n1()) + ",\n " + O.requests(severity, "10") + ",\n " + listed + extra + "\n" + O.best(objective)
 
 
 def _levels(metric: str, bounded: bool, depth: int, exact_hops: bool, net: str = "n1", bw: bool = True, back: bool = False) -> str:
@@ -134,7 +135,7 @@ def arrivals(spark, d):
 # the layered search ----------------------------------------------------------------------------------------------------
 def _ldp(severity, objective, prune=("dom", "prefix"), **more):
     def run(spark, d):
-        q = ldp.PathQuery(objective=objective, prune=frozenset(prune), max_hops=HOPS[objective], **more)
+        q = ldp.PathQuery(objective=objective, prune=frozenset(prune), **more)
         return text(ldp.ldp_general(N.n1_links(spark, d), _ten(spark, d, severity), q).answers)
 
     return run
@@ -151,10 +152,10 @@ register("ldp_incumbents", _oracle("med", "cost"))(_ldp("med", "cost", ("prefix"
 register("ldp_bound", _oracle("med", "cost"))(_ldp("med", "cost", ("bound",)))
 
 
-@register("ldp_undirected", _oracle("med", "hops", net=O.n1() + ",\n und AS (SELECT src, dst, bw, delay, cost FROM n1 UNION ALL SELECT dst, src, bw, delay, cost FROM n1),\n un AS (SELECT src, dst, max(bw) AS bw, min(delay) AS delay, min(cost) AS cost FROM und GROUP BY src, dst)", netname="un").replace("hops < 8", "hops < 5"))
+@register("ldp_undirected", _oracle("med", "hops", net=O.n1() + ",\n und AS (SELECT src, dst, bw, delay, cost FROM n1 UNION ALL SELECT dst, src, bw, delay, cost FROM n1)", netname="und", dominance=True))
 def ldp_undirected(spark, d):
-    both = N.undirected(N.n1_links(spark, d)).groupBy("src", "dst").agg(F.min("link_id").alias("link_id"), F.max("bw").alias("bw"), F.min("delay").alias("delay"), F.min("cost").alias("cost"))
-    return text(ldp.ldp_general(both, _ten(spark, d, "med"), ldp.PathQuery(max_hops=5)).answers)
+    """Every link both ways; links between the same ends stay apart, each with its own bandwidth, delay and cost."""
+    return text(ldp.ldp_general(N.undirected(N.n1_links(spark, d)), _ten(spark, d, "med")).answers)
 
 
 _LOSS = "lossy AS (SELECT n1.*, CAST(ceil(-ln(1 - ((src * 7 + dst * 13) % 50) / 1000.0) * 1000000) AS BIGINT) AS loss FROM n1)"
@@ -167,41 +168,41 @@ def lossy(n1):
 
 
 def _three_sql(columns: str, loss: int) -> str:
-    walk = O.all_paths("lossy", 6).replace("cost AS cmax, 0 AS hops", f"cost AS cmax, CAST(0 AS BIGINT) AS loss, 0 AS hops").replace("w.cmax, w.hops + 1", "w.cmax, w.loss + l.loss, w.hops + 1").replace("AND w.cost + l.cost <= w.cmax", f"AND w.cost + l.cost <= w.cmax AND w.loss + l.loss <= {loss}")
+    walk = O.all_paths("lossy").replace("cost AS cmax, 0 AS hops", f"cost AS cmax, CAST(0 AS BIGINT) AS loss, 0 AS hops").replace("w.cmax, w.hops + 1 AS hops", "w.cmax, w.loss + l.loss AS loss, w.hops + 1 AS hops").replace("AND w.cost + l.cost <= w.cmax", f"AND w.cost + l.cost <= w.cmax AND w.loss + l.loss <= {loss}")
     return f"WITH RECURSIVE {O.n1()}, {_LOSS}, {O.requests('low', '10')}, {walk}\nSELECT q.req_id, CASE WHEN d.hops IS NULL THEN 'NONE' ELSE 'FOUND' END AS status, CAST(d.hops AS BIGINT) AS hops, {columns} array_to_string(d.path, '>') AS path FROM req q LEFT JOIN (SELECT *, row_number() OVER (PARTITION BY req_id ORDER BY hops, delay, cost, loss, path) AS r FROM done) d ON d.req_id = q.req_id AND d.r = 1"
 
 
 @register("ldp_three_bounds", _three_sql("d.delay, d.cost, d.loss,", 90000))
 def ldp_three_bounds(spark, d):
     reqs = _ten(spark, d, "low").withColumn("loss", F.lit(90000).cast("bigint"))
-    out = ldp.ldp_general(lossy(N.n1_links(spark, d)), reqs, ldp.PathQuery(metrics=("delay", "cost", "loss"), max_hops=6)).answers
+    out = ldp.ldp_general(lossy(N.n1_links(spark, d)), reqs, ldp.PathQuery(metrics=("delay", "cost", "loss"))).answers
     return text(out, "req_id", "status", "hops", "delay", "cost", "loss", "path")
 
 
 @register("ldp_loss", _three_sql("d.loss,", 60000))
 def ldp_loss(spark, d):
     reqs = _ten(spark, d, "low").withColumn("loss", F.lit(60000).cast("bigint"))
-    out = ldp.ldp_general(lossy(N.n1_links(spark, d)), reqs, ldp.PathQuery(metrics=("delay", "cost", "loss"), prune=frozenset({"prefix"}), max_hops=6)).answers
+    out = ldp.ldp_general(lossy(N.n1_links(spark, d)), reqs, ldp.PathQuery(metrics=("delay", "cost", "loss"), prune=frozenset({"prefix"}))).answers
     return text(out, "req_id", "status", "hops", "loss", "path")
 
 
-def _ranked_sql(severity, order, where="true", hops=7, done="done"):
+def _ranked_sql(severity, order, where="true", hops=None, done="done"):
     return f"WITH RECURSIVE {O.n1()}, {O.requests(severity, '10')}, {O.all_paths('n1', hops)}\nSELECT req_id, 'FOUND' AS status, CAST(hops AS BIGINT) AS hops, delay, cost, array_to_string(path, '>') AS path, CAST(r AS INTEGER) AS rank FROM (SELECT *, row_number() OVER (PARTITION BY req_id ORDER BY {order}) AS r FROM {done}) WHERE {where}"
 
 
 @register("ldp_k3", _ranked_sql("med", "cost, hops, delay, path", "r <= 3"))
 def ldp_k3(spark, d):
-    return text(ldp.ldp_k(N.n1_links(spark, d), _ten(spark, d, "med"), 3, max_hops=7), "req_id", "status", "hops", "delay", "cost", "path", "rank")
+    return text(ldp.ldp_k(N.n1_links(spark, d), _ten(spark, d, "med"), 3), "req_id", "status", "hops", "delay", "cost", "path", "rank")
 
 
-@register("ldp_all", _ranked_sql("med", "hops, delay, cost, path", hops=6))
+@register("ldp_all", _ranked_sql("med", "hops, delay, cost, path"))
 def ldp_all(spark, d):
-    return text(ldp.ldp_all(N.n1_links(spark, d), _ten(spark, d, "med"), 6), "req_id", "status", "hops", "delay", "cost", "path", "rank")
+    return text(ldp.ldp_all(N.n1_links(spark, d), _ten(spark, d, "med")), "req_id", "status", "hops", "delay", "cost", "path", "rank")
 
 
 @register("ldp_pareto", _ranked_sql("med", "hops, delay, cost, path", done="(SELECT * FROM done a WHERE NOT EXISTS (SELECT 1 FROM done b WHERE b.req_id = a.req_id AND b.delay <= a.delay AND b.cost <= a.cost AND (b.delay < a.delay OR b.cost < a.cost)))"))
 def ldp_pareto(spark, d):
-    return text(ldp.ldp_pareto(N.n1_links(spark, d), _ten(spark, d, "med"), 7), "req_id", "status", "hops", "delay", "cost", "path", "rank")
+    return text(ldp.ldp_pareto(N.n1_links(spark, d), _ten(spark, d, "med")), "req_id", "status", "hops", "delay", "cost", "path", "rank")
 
 
 @register("ldp_single", _first_hop("delay", "med"))
@@ -215,7 +216,7 @@ def ldp_single(spark, d):
     + " SELECT q.req_id, CASE WHEN b.d <= q.delay THEN 'FOUND' WHEN b.d IS NULL THEN 'UNREACHABLE' ELSE 'INFEASIBLE' END AS status FROM req q LEFT JOIN b30 b ON b.req_id = q.req_id AND b.v = q.dst",
 )
 def ldp_single_status(spark, d):
-    return single.ldp_single_status(N.n1_links(spark, d), _ten(spark, d, "tight"), 40)
+    return single.ldp_single_status(N.n1_links(spark, d), _ten(spark, d, "tight"), N.table(spark, d, "supplier").count())
 
 
 register("ldp_links", _first_hop(None, "med"))(lambda spark, d: single.ldp_links(N.n1_links(spark, d), _ten(spark, d, "med")).select("req_id", "status", "hops"))
@@ -230,46 +231,76 @@ register("ext_dijkstra_l", _least("l.cost", "med", "cost"))(lambda spark, d: exa
 register("ext_dijkstra_l1", _least("l.delay", "med", "delay", where="b.d <= q.delay"))(lambda spark, d: exact.ext_dijkstra_bounded(N.n1_links(spark, d), _ten(spark, d, "med")).select("req_id", "status", "delay"))
 register("iter_bf", _first_hop("delay", "med"))(lambda spark, d: exact.iter_bellman_ford(N.n1_links(spark, d), _ten(spark, d, "med")).select("req_id", "status", "hops", "delay"))
 register("ebfs", _oracle("med", "hops"))(lambda spark, d: text(exact.ebfs(N.n1_links(spark, d), _ten(spark, d, "med"))))
-register("ebfs_dom", _oracle("med", "cost"))(lambda spark, d: text(exact.ebfs(N.n1_links(spark, d), _ten(spark, d, "med"), "cost", 7, dominance=True)))
-register("ebfs_suffix", _oracle("med", "cost"))(lambda spark, d: text(exact.ebfs(N.n1_links(spark, d), _ten(spark, d, "med"), "cost", 7, dominance=True, suffix=True)))
+register("ebfs_dom", _oracle("med", "cost"))(lambda spark, d: text(exact.ebfs(N.n1_links(spark, d), _ten(spark, d, "med"), "cost", dominance=True)))
+register("ebfs_suffix", _oracle("med", "cost"))(lambda spark, d: text(exact.ebfs(N.n1_links(spark, d), _ten(spark, d, "med"), "cost", dominance=True, suffix=True)))
 
 
 @register("mixed_metric", _least("(l.delay + 50 * l.cost)", "med", "mixed"))
 def mixed_metric(spark, d):
-    found = exact.ldp_links_cost(N.n1_links(spark, d).withColumn("mixed", F.col("delay") + 50 * F.col("cost")), _ten(spark, d, "med"), "mixed")
-    return found.select("req_id", "status", "mixed")
+    """Least delay + 50 * cost; whether its path keeps the bounds is ``mixed_checked``."""
+    return exact.mixed_metric(N.n1_links(spark, d), _ten(spark, d, "med"), {"delay": 1, "cost": 50}).select("req_id", F.when(F.col("mixed").isNull(), "NONE").otherwise("FOUND").alias("status"), "mixed")
 
 
-register("lagrangian")(lambda spark, d: text(exact.lagrangian(N.n1_links(spark, d), _ten(spark, d, "med"), 3)))
+@register("mixed_checked")
+def mixed_checked(spark, d):
+    """The mixed metric's paths with their bounds checked: FOUND where they keep them."""
+    return text(exact.mixed_metric(N.n1_links(spark, d), _ten(spark, d, "med"), {"delay": 1, "cost": 50}))
+
+
+register("lagrangian")(lambda spark, d: text(exact.lagrangian(N.n1_links(spark, d), _ten(spark, d, "med"))))
 
 
 @register(
     "two_bound_dp",
-    "WITH RECURSIVE " + O.n1() + ",\n " + O.requests("tight", "10") + ",\n " + O.all_paths("n1", 12)
+    "WITH RECURSIVE " + O.n1() + ",\n " + O.requests("tight", "10") + ",\n " + O.all_paths("n1")
     + "\nSELECT q.req_id, CASE WHEN d.cost IS NULL THEN 'NONE' ELSE 'FOUND' END AS status, d.cost, d.delay FROM req q LEFT JOIN (SELECT *, row_number() OVER (PARTITION BY req_id ORDER BY cost, delay, path) AS r FROM done) d ON d.req_id = q.req_id AND d.r = 1",
 )
 def two_bound_dp(spark, d):
-    return exact.two_bound_dp(N.n1_links(spark, d), _ten(spark, d, "tight"), max_hops=12)
+    return exact.two_bound_dp(N.n1_links(spark, d), _ten(spark, d, "tight"))
 
 
 # counts ---------------------------------------------------------------------------------------------------------------
-@register("count_ebfs", "WITH RECURSIVE " + O.n1() + ", " + O.requests("med", "10") + ", " + O.all_paths("n1", 7) + " SELECT CAST(hops AS INTEGER) AS step, CAST(count(*) AS BIGINT) AS generated, CAST(count(*) FILTER (v = dst) AS BIGINT) AS completed FROM walk WHERE hops > 0 GROUP BY hops")
+@register("count_ebfs", "WITH RECURSIVE " + O.n1() + ", " + O.requests("med", "10") + ", " + O.all_paths("n1") + " SELECT CAST(hops AS INTEGER) AS step, CAST(count(*) AS BIGINT) AS generated, CAST(count(*) FILTER (v = dst) AS BIGINT) AS completed FROM walk WHERE hops > 0 GROUP BY hops")
 def count_ebfs(spark, d):
-    _, log = exact.ebfs(N.n1_links(spark, d), _ten(spark, d, "med"), "cost", 7, stats=True)
+    _, log = exact.ebfs(N.n1_links(spark, d), _ten(spark, d, "med"), "cost", stats=True)
     return spark.createDataFrame([(k, g, c) for k, g, _, c in log if g], "step int, generated bigint, completed bigint")
 
 
+COUNTED = 6
+
+
 def _count_ldp(prune):
     def run(spark, d):
-        q = ldp.PathQuery(objective="hops", prune=frozenset(prune), max_hops=6)
+        """What each step of each length up to six makes and keeps."""
+        q = ldp.PathQuery(objective="hops", prune=frozenset(prune), max_hops=COUNTED)
         log = ldp.ldp_general(N.n1_links(spark, d), _ten(spark, d, "med"), q, stats=True).stats
-        return spark.createDataFrame([tuple(map(int, r)) for r in log], "length int, step int, generated bigint, kept bigint")
+        return spark.createDataFrame([(n, k, made, kept + done) for n, k, made, kept, done in log], "length int, step int, generated bigint, kept bigint")
 
     return run
 
 
-register("count_ldp")(_count_ldp(("dom",)))
-register("count_ldp_prefix")(_count_ldp(("dom", "prefix")))
+def _count_sql(labels: bool) -> str:
+    """The same counts, a chain of tables for each length: what joins with the layer, and what dominance (and labels) keep of it."""
+    parts = ["cls AS (SELECT min(req_id) AS class_id, src, bw, delay, cost FROM req GROUP BY src, bw, delay, cost)", "y0 AS (SELECT class_id, src AS v, CAST(0 AS BIGINT) AS bd, CAST(0 AS BIGINT) AS bc FROM cls)"]
+    having = "HAVING min(bd + l.delay) <= any_value(c.delay) AND min(bc + l.cost) <= any_value(c.cost)" if labels else ""
+    for k in range(1, COUNTED + 1):
+        parts.append(f"y{k} AS MATERIALIZED (SELECT y.class_id, l.dst AS v, min(bd + l.delay) AS bd, min(bc + l.cost) AS bc FROM y{k - 1} y JOIN cls c USING (class_id) JOIN n1 l ON l.src = y.v AND l.bw >= c.bw AND l.dst <> c.src GROUP BY y.class_id, l.dst {having})")
+    known, rows = "SELECT req_id FROM req WHERE false", []
+    for n in range(1, COUNTED + 1):
+        parts.append(f"h{n}_{n} AS MATERIALIZED (SELECT req_id, class_id, r.bw, r.delay AS md, r.cost AS mc, dst AS v, [dst] AS path, CAST(0 AS BIGINT) AS d, CAST(0 AS BIGINT) AS c FROM req r JOIN cls USING (src, bw, delay, cost) WHERE src <> dst AND req_id NOT IN ({known}) AND (class_id, dst) IN (SELECT class_id, v FROM y{n}))")
+        for k in range(n, 0, -1):
+            parts.append(f"m{n}_{k} AS MATERIALIZED (SELECT req_id, h.class_id, h.bw, md, mc, l.src AS v, list_prepend(l.src, path) AS path, d + l.delay AS d, c + l.cost AS c, bd, bc FROM h{n}_{k} h JOIN n1 l ON l.dst = h.v AND l.bw >= h.bw JOIN y{k - 1} y ON y.class_id = h.class_id AND y.v = l.src WHERE NOT list_contains(path, l.src))")
+            kept = f"(SELECT * FROM m{n}_{k}{' WHERE d + bd <= md AND c + bc <= mc' if labels else ''})"
+            parts.append(f"h{n}_{k - 1} AS MATERIALIZED (SELECT req_id, class_id, bw, md, mc, v, path, d, c FROM (SELECT *, min(c) OVER (PARTITION BY req_id, v, d) AS level, min(c) OVER (PARTITION BY req_id, v ORDER BY d RANGE BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS less FROM {kept}) WHERE c = level AND (less IS NULL OR less > c))")
+            gone = "" if k == n else f" WHERE (SELECT count(*) FROM h{n}_{k}) > 0"
+            rows.append(f"SELECT {n} AS length, {k} AS step, (SELECT count(*) FROM m{n}_{k}) AS generated, (SELECT count(*) FROM h{n}_{k - 1}) AS kept{gone}")
+        rows.append(f"SELECT {n}, 0, 0, (SELECT count(*) FROM h{n}_0 WHERE d <= md AND c <= mc) WHERE (SELECT count(*) FROM h{n}_0) > 0")
+        known += f" UNION SELECT req_id FROM h{n}_0 WHERE d <= md AND c <= mc"
+    return f"WITH {O.n1()}, {O.requests('med', '10')}, " + ",\n ".join(parts) + "\n" + "\nUNION ALL ".join(rows)
+
+
+register("count_ldp", _count_sql(False))(_count_ldp(("dom",)))
+register("count_ldp_prefix", _count_sql(True))(_count_ldp(("dom", "prefix")))
 
 
 @register("bounds_table", "SELECT * FROM (VALUES ('links, hops','layered',100,400,'V+E*l',500.0),('links, hops','exhaustive',100,400,'V+E*l',500.0),('one bound, hops','layered',100,400,'V*E+E*l',40400.0),('one bound, hops','iterative relaxation',100,400,'V*E+E*l',40400.0),('several bounds','layered',100,400,'b^(V/2)*p+E*l',50.0),('several bounds','exhaustive',100,400,'b^V*p+E*l',100.0)) t(problem, method, v, e, formula, value)".replace("100,400", "CAST(100 AS BIGINT),CAST(400 AS BIGINT)").replace("'V+E*l',500.0", "'V+E*l',CAST(500 AS DOUBLE)").replace("40400.0", "CAST(40400 AS DOUBLE)").replace(",50.0", ",CAST(50 AS DOUBLE)").replace(",100.0)", ",CAST(100 AS DOUBLE))"))

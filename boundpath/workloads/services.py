@@ -30,7 +30,7 @@ def register(name, sql=None):
 # kernels ---------------------------------------------------------------------------------------------------------------
 def _kernel(method, severity, objective):
     def run(spark, d):
-        return P.text(kernels.search(N.n1_links(spark, d), N.requests(spark, d, severity, 10), method, objective, P.HOPS[objective]))
+        return P.text(kernels.search(N.n1_links(spark, d), N.requests(spark, d, severity, 10), method, objective))
 
     return run
 
@@ -44,7 +44,7 @@ for _name, _method, _obj in (("edfs", "edfs", "cost"), ("edfs_hops", "edfs", "ho
 def dfs_links(spark, d):
     """Depth first with link bounds alone."""
     free = N.requests(spark, d, "med", 10).withColumns({"delay": F.lit(1 << 40), "cost": F.lit(1 << 40)})
-    return kernels.search(N.n1_links(spark, d), free, "edfs", "hops", 16).select("req_id", "status", "hops")
+    return kernels.search(N.n1_links(spark, d), free, "edfs", "hops").select("req_id", "status", "hops")
 
 
 _FREE = P._ranked_sql("med", "cost, hops, delay, path", "r <= 3", 5).replace("AND w.delay + l.delay <= w.dmax AND w.cost + l.cost <= w.cmax", "")
@@ -64,18 +64,18 @@ def testbed_requests(spark):
     return r.select("req_id", (100 + F.col("req_id")).alias("src"), (100 + (F.col("req_id") + 2) % 5).alias("dst"), *[F.lit(v).cast("bigint").alias(c) for c, v in (("bw", 1), ("delay", 5656), ("cost", 50))])
 
 
-@register("arc_ip_small", f"WITH RECURSIVE {O.n4()}, {_TESTBED}, {O.all_paths('n4', 12)} SELECT q.req_id, CASE WHEN min(d.cost) IS NULL THEN 'NONE' ELSE 'FOUND' END AS status, min(d.cost) AS cost FROM req q LEFT JOIN done d USING (req_id) GROUP BY q.req_id")
+@register("arc_ip_small", f"WITH RECURSIVE {O.n4()}, {_TESTBED}, {O.all_paths('n4')} SELECT q.req_id, CASE WHEN min(d.cost) IS NULL THEN 'NONE' ELSE 'FOUND' END AS status, min(d.cost) AS cost FROM req q LEFT JOIN done d USING (req_id) GROUP BY q.req_id")
 def arc_ip_small(spark, d):
-    return kernels.search(N.n4_links(spark, d), testbed_requests(spark), "arc_ip", "cost", 12).select("req_id", "status", "cost")
+    return kernels.search(N.n4_links(spark, d), testbed_requests(spark), "arc_ip", "cost").select("req_id", "status", "cost")
 
 
 # fixed allocation and measures ----------------------------------------------------------------------------------------------
-_PATHS = f"WITH RECURSIVE {O.n1()},\n {O.requests('low', '10')},\n {O.all_paths()},\n ans AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY req_id ORDER BY hops, delay, cost, path) AS r FROM done) WHERE r = 1),\n hop AS (SELECT req_id, path[i] AS a, path[i + 1] AS b, i AS pos FROM ans, unnest(range(1, len(path))) t(i)),\n util AS (SELECT link_id, bw AS cap, CAST((SELECT count(*) FROM hop WHERE a = n1.src AND b = n1.dst) AS BIGINT) AS load FROM n1)\n"
+_PATHS = f"WITH RECURSIVE {O.n1()},\n {O.requests('low', '10')},\n {O.all_paths('n1', None, True)},\n ans AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY req_id ORDER BY hops, delay, cost, path) AS r FROM done) WHERE r = 1),\n hop AS (SELECT req_id, path[i] AS a, path[i + 1] AS b, i AS pos FROM ans, unnest(range(1, len(path))) t(i)),\n util AS (SELECT link_id, bw AS cap, CAST((SELECT count(*) FROM hop WHERE a = n1.src AND b = n1.dst) AS BIGINT) AS load FROM n1)\n"
 
 
 def fixed_answers(spark, d):
     """Fewest-hop answers of the low pool, by the layered kernel."""
-    return kernels.search(N.n1_links(spark, d), N.requests(spark, d, "low", 10), "dfs", "hops", 8)
+    return kernels.search(N.n1_links(spark, d), N.requests(spark, d, "low", 10), "ldp_prefix", "hops")
 
 
 def fixed_loads(spark, d):
@@ -108,9 +108,9 @@ def confidence(spark, d):
     return M.confidence95(fixed_answers(spark, d).filter("hops is not null"), "hops")
 
 
-@register("alloc_ratio", f"WITH RECURSIVE {O.n1()}, {O.requests('med', '10')}, {O.all_paths()} SELECT count(*) AS requested, count(*) FILTER (ok) AS accepted, round(avg(CASE WHEN ok THEN 1.0 ELSE 0.0 END), 6) AS ratio FROM (SELECT req_id IN (SELECT req_id FROM done) AS ok FROM req)")
+@register("alloc_ratio", f"WITH RECURSIVE {O.n1()}, {O.requests('med', '10')}, {O.all_paths('n1')} SELECT count(*) AS requested, count(*) FILTER (ok) AS accepted, round(avg(CASE WHEN ok THEN 1.0 ELSE 0.0 END), 6) AS ratio FROM (SELECT req_id IN (SELECT req_id FROM done) AS ok FROM req)")
 def alloc_ratio(spark, d):
-    found = kernels.search(N.n1_links(spark, d), N.requests(spark, d, "med", 10), "dfs", "hops", 8)
+    found = kernels.search(N.n1_links(spark, d), N.requests(spark, d, "med", 10), "ldp_prefix", "hops")
     return M.allocation_ratio(found.select("req_id", (F.col("status") == "FOUND").cast("int").alias("accepted")))
 
 
@@ -132,15 +132,24 @@ def alloc_first_commit(spark, d):
 
 
 # traffic engineering -----------------------------------------------------------------------------------------------------
-def flows(spark, d, count=50, severity=4.0):
-    """Pairs of customers of successive orders, mapped to suppliers; delay bound of ``severity`` stretches."""
-    n = N.table(spark, d, "supplier").count()
-    ids = spark.range(count).withColumnRenamed("id", "flow_id")
-    f = ids.select("flow_id", (F.col("flow_id") * 31 % n).alias("src"), ((F.col("flow_id") * 17 + 7) % n).alias("dst"), F.lit(int(severity * N.STRETCH)).cast("bigint").alias("delay"))
+#: Flows as SQL; fields: count, vertices, delay.
+FLOWS_SQL = """SELECT flow_id, src, dst, CAST({delay} AS BIGINT) AS delay FROM (SELECT row_number() OVER (ORDER BY o_orderkey) - 1 AS flow_id, o_custkey % n AS src, lead(o_custkey) OVER (ORDER BY o_orderkey) % n AS dst
+  FROM (SELECT o_orderkey, o_custkey FROM orders ORDER BY o_orderkey LIMIT {count} + 1), (SELECT least(count(*), 10000) AS n FROM {vertices})) WHERE src <> dst AND dst IS NOT NULL"""
+
+
+def flows(spark, d, count=50, severity=4.0, vertices="supplier"):
+    """Pairs of the customers of successive orders, the first ``count``, as vertices of a network (keys modulo their number; pairs of one vertex are left out);
+    delay bound of ``severity`` stretches."""
+    from pyspark.sql.window import Window
+
+    n = min(N.table(spark, d, vertices).count(), 10000)
+    first = N.table(spark, d, "orders").select("o_orderkey", "o_custkey").orderBy("o_orderkey").limit(count + 1)
+    order = Window.orderBy("o_orderkey")  # of count + 1 rows
+    f = first.select((F.row_number().over(order) - 1).cast("bigint").alias("flow_id"), (F.col("o_custkey") % n).alias("src"), (F.lead("o_custkey").over(order) % n).alias("dst"), F.lit(int(severity * N.STRETCH)).cast("bigint").alias("delay"))
     return f.filter("src != dst")
 
 
-_ROUND1 = P._first_hop("delay", "low").replace(O.requests("low", "10"), f"req AS (SELECT * FROM (SELECT r AS req_id, r * 31 % n AS src, (r * 17 + 7) % n AS dst, CAST(0 AS BIGINT) AS bw, CAST({4 * N.STRETCH} AS BIGINT) AS delay FROM (SELECT unnest(range(10)) AS r), (SELECT count(*) AS n FROM supplier)) WHERE src <> dst)")
+_ROUND1 = P._first_hop("delay", "low").replace(O.requests("low", "10"), f"req AS (SELECT flow_id AS req_id, src, dst, CAST(0 AS BIGINT) AS bw, delay FROM ({FLOWS_SQL.format(count=10, vertices='supplier', delay=4 * N.STRETCH)}))")
 
 
 @register("te_greedy_round1", _ROUND1)
@@ -149,14 +158,27 @@ def te_greedy_round1(spark, d):
     return T.FINDERS["ldp"](N.n1_links(spark, d), T.flow_requests(flows(spark, d, 10))).select("req_id", "status", "hops", "delay")
 
 
-@register("te_greedy")
-def te_greedy(spark, d):
-    return T.te_greedy(N.n1_links(spark, d), flows(spark, d, 10))[0]
+def _filled(finder):
+    def run(spark, d):
+        """Rates of ten flows filled greedily until none has a path, in memory; ``te_greedy_tables`` is the loop over tables."""
+        from boundpath.services import pools
+
+        fl = pools.as_pools([({"network": "n1", "degree": 4, "stretch": 4.0, "finder": finder}, flows(spark, d, 10))])
+        done = pools.greedy_pools({"n1": N.n1_links(spark, d)}, fl, {finder: {"ldp": "ldp_prefix", "ext_dijkstra": "least_delay"}[finder]})
+        return done.select("flow_id", "rate", F.round("hops", 6).alias("hops"), "paths")
+
+    return run
+
 
+register("te_greedy")(_filled("ldp"))
+register("te_greedy_dijkstra")(_filled("ext_dijkstra"))
 
-@register("te_greedy_dijkstra")
-def te_greedy_dijkstra(spark, d):
-    return T.te_greedy(N.n1_links(spark, d), flows(spark, d, 10), "ext_dijkstra")[0]
+
+@register("te_greedy_tables")
+def te_greedy_tables(spark, d):
+    """The same filling as a loop over tables, the testbed's flows."""
+    asks = testbed_requests(spark).select(F.col("req_id").alias("flow_id"), "src", "dst", "delay")
+    return T.te_greedy(N.n4_links(spark, d), asks)[0].select("flow_id", (F.col("rate") / 1000).alias("rate"))
 
 
 @register("te_lp_small")
@@ -212,30 +234,35 @@ def chain_links(spark, d):
     return E.chain_links(E.vn_nodes(spark, d), 0.25)
 
 
-def _embed(method, finder, degree=1, count=40, size=6, chain=None):
+def _embed(setting, wires, methods, finders, size=6, count=40):
     def run(spark, d):
         nodes = E.vn_nodes(spark, d, count, 6).filter(F.col("pos") < size)
-        wires = E.chain_links(nodes, chain) if chain else E.vn_links(nodes, degree)
-        return E.embed(N.n3_nodes(spark, d), N.n3_links(spark, d), nodes, wires, method, finder).withColumn("cost", F.round("cost", 6))
+        done = E.embed_pools(N.n3_nodes(spark, d), N.n3_links(spark, d), nodes, [(setting, wires(nodes), methods, finders)])
+        return done.drop("setting", "used", "wires").withColumns({c: F.round(c, 6) for c in ("cost", "load", "hops")})
 
     return run
 
 
 for _m in ("joint", "colgen", "auction"):
-    for _f in ("dijkstra", "ldp"):
-        register(f"embed_{_m}_{_f}")(_embed(_m, _f, 2))
-        register(f"chain_{_m}_{_f}")(_embed(_m, _f, chain=0.5))
+    register(f"embed_{_m}")(_embed("degree 2", lambda n: E.vn_links(n, 2), (_m,), ("dijkstra", "ldp")))
+    register(f"chain_{_m}")(_embed("stretch 1/2", lambda n: E.chain_links(n, 0.5), (_m,), ("dijkstra", "ldp")))
+register("embed_split")(_embed("degree 2", lambda n: E.vn_links(n, 2), ("colgen_split",), ("ldp",)))
+register("embed_kpaths")(_embed("degree 2", lambda n: E.vn_links(n, 2), ("auction",), ("kpaths",)))
+register("embed_opt")(_embed("mesh", lambda n: E.vn_links(n, 2), ("opt",), ("ldp",), 3, 10))
+
+
 @register("embed_gap")
 def embed_gap(spark, d):
-    """Balanced cost over that of the exact placement, on small requests."""
-    best, out = _embed("opt", "ldp", 1, 3, 2)(spark, d), None
+    """By how much of the optimum the balanced cost exceeds it: ten virtual networks of three nodes in a full mesh, each on the whole substrate."""
+    done = None
+    nodes = E.vn_nodes(spark, d, 10, 6).filter("pos < 3")
+    alone = [(str(i), E.vn_links(nodes, 2).filter(F.col("vn_id") == vn), ("opt", *("joint", "colgen", "auction")), ("ldp",)) for i, (vn,) in enumerate(nodes.select("vn_id").distinct().orderBy("vn_id").collect())]
+    every = E.embed_pools(N.n3_nodes(spark, d), N.n3_links(spark, d), nodes, alone)
+    best = every.filter("method = 'opt'")
     for m in ("joint", "colgen", "auction"):
-        one = M.optimality_gap(_embed(m, "ldp", 1, 3, 2)(spark, d), best).select(F.lit(m).alias("method"), "vn_id", "gap")
-        out = one if out is None else out.unionByName(one)
-    return out
-
-
-register("embed_opt")(_embed("opt", "ldp", 1, 3, 2))
+        one = M.optimality_gap(every.filter(F.col("method") == m), best).select(F.lit(m).alias("method"), "vn_id", "gap")
+        done = one if done is None else done.unionByName(one)
+    return done
 
 
 @register("embed_cost", f"WITH {_VN} SELECT vn_id, CAST(sum(cpu) AS BIGINT) AS cpu_cost FROM vn GROUP BY vn_id")

@@ -192,12 +192,12 @@ on_links("intersect_paths", "SELECT src, dst FROM n1 INTERSECT SELECT dst, src F
 on_links("except_paths", "SELECT bw FROM n1 EXCEPT ALL SELECT cost FROM n1")(lambda l: l.select("bw").exceptAll(l.select(F.col("cost").alias("bw"))))
 
 
-_BOTH = f"WITH RECURSIVE {O.n1()}, {O.requests('med', '10')}, {O.all_paths('n1', 7)}, short AS ({O.best('hops')}), cheap AS ({O.best('cost')}) SELECT req_id, path FROM short"
+_BOTH = f"WITH RECURSIVE {O.n1()}, {O.requests('med', '10')}, {O.all_paths('n1')}, short AS ({O.best('hops')}), cheap AS ({O.best('cost')}) SELECT req_id, path FROM short"
 
 
 def _found(spark, d, method, objective):
     links, reqs = N.n1_links(spark, d), N.requests(spark, d, "med", 10)
-    return search(links, reqs, method, objective, 7).select("req_id", F.array_join("path", ">").alias("path"))
+    return search(links, reqs, method, objective).select("req_id", F.array_join("path", ">").alias("path"))
 
 
 @register("paths_common", _BOTH + " INTERSECT SELECT req_id, path FROM cheap")
