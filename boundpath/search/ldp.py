@@ -37,6 +37,8 @@ PRUNINGS = frozenset({"dom", "prefix", "bound", "incumbents"})
 STRIDE = 3
 #: Layers of the first pass, in two jobs; destinations that are farther are left to the second pass.
 NEAR = 8
+#: Steps of the label search that one job takes.
+RELAX = 6
 
 
 @dataclass(frozen=True)
@@ -226,26 +228,30 @@ def first_arrivals(links: DataFrame, reqs: DataFrame, q: PathQuery) -> DataFrame
 def least_labels(links: DataFrame, reqs: DataFrame, metrics, bounded: bool = True) -> DataFrame:
     """(class_id, v, best_*): the least value of each metric over all walks from the class's source, of any number of links.
 
-    Layers are grown from vertices whose labels fell, until none does; bounded: vertices beyond a bound leave.  metrics may
-    be empty: all vertices that can be reached."""
+    bounded: vertices beyond a bound leave.  metrics may be empty: all vertices that can be reached.  A job takes RELAX steps in one plan without
+    branches, since a vertex counts as its own neighbour at no cost; when a job changes neither the number of labels nor their sums, none
+    can fall any more."""
     names = [f"best_{x}" for x in metrics]
     classes = small(keep(class_table(reqs, metrics)))
-    known = keep(first_layer(reqs, metrics).select("class_id", "v", *names).withColumn("fresh", F.lit(True)))
+    stay = links.select("dst").union(links.select("src")).distinct()
+    every = links.select("src", "dst", "bw", *metrics).unionByName(stay.select(F.col("dst").alias("src"), "dst", F.lit(1 << 62).alias("bw"), *[F.lit(0).cast("bigint").alias(x) for x in metrics]))
+    every = keep(every, "arcs")
+    limits = [f"(max_{x} is null or best_{x} <= max_{x})" for x in metrics] if bounded else []
+    known, before = first_layer(reqs, metrics).select("class_id", "v", *names), None
     while True:
-        grown, parts = known.filter("fresh").select("class_id", F.lit(0).alias("k"), "v", *names), []
-        for _ in range(STRIDE):
-            grown = grow_one(grown, links, classes, metrics, bounded)
-            parts.append(grown)
-        both = known.select("class_id", "v", *names, *[F.col(n).alias(f"old_{n}") for n in names], F.lit(True).alias("old"))
-        for part in parts:
-            both = both.unionByName(part.select("class_id", "v", *names, *[F.lit(None).cast("bigint").alias(f"old_{n}") for n in names], F.lit(False).alias("old")))
-        best = both.groupBy("class_id", "v").agg(*[F.min(n).alias(n) for n in names], *[F.min(f"old_{n}").alias(f"old_{n}") for n in names], F.max("old").alias("old"))
-        fell = ~F.col("old")
-        for n in names:
-            fell = fell | (F.col(n) < F.col(f"old_{n}"))
-        known, seen = keep_counted(best.select("class_id", "v", *names, fell.alias("fresh")), "labels", fresh=F.sum(F.col("fresh").cast("bigint")))
-        if not seen["fresh"]:
-            return known.select("class_id", "v", *names)
+        for _ in range(RELAX):
+            step = known.join(every, F.col("v") == F.col("src")).join(classes, "class_id").filter("bw >= bw_min")
+            ends = ["class_id", F.col("dst").alias("v")]
+            if metrics:
+                step = step.withColumns({f"best_{x}": F.col(f"best_{x}") + F.col(x) for x in metrics})
+                step = step.filter(" and ".join(limits)) if limits else step
+                known = step.groupBy(*ends).agg(*[F.min(n).alias(n) for n in names])
+            else:
+                known = step.select(*ends).distinct()
+        known, seen = keep_counted(known, "labels", **{n: F.sum(n) for n in names})
+        if seen == before:
+            return known
+        before = seen
 
 
 def all_lengths(links: DataFrame, reqs: DataFrame, q: PathQuery) -> tuple[DataFrame | None, DataFrame | None]:

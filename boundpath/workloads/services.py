@@ -121,7 +121,19 @@ def throughput_cdf(spark, d):
     return M.throughput_cdf(path_links(fixed_answers(spark, d)).join(n1, ["a", "b"]).groupBy("req_id").agg(F.min("bw").alias("rate")))
 
 
-@register("alloc_strict")
+def _alloc_sql(count=10):
+    """One request after the other, each on what the former ones left of every link: a table of rooms per request."""
+    parts = [O.n1(), O.requests("med", str(count)), "left0 AS (SELECT * FROM n1)"]
+    for i in range(count):
+        walk = O.all_paths(f"left{i}").replace("walk", f"walk{i}").replace("done", f"done{i}").replace("FROM req", f"FROM (SELECT * FROM req WHERE req_id = {i})")
+        parts.append(walk)
+        parts.append(f"best{i} AS MATERIALIZED (SELECT req_id, hops, path, bw AS need FROM done{i} ORDER BY hops, delay, cost, path LIMIT 1)")
+        parts.append(f"left{i + 1} AS MATERIALIZED (SELECT l.link_id, l.src, l.dst, l.bw - coalesce((SELECT max(need) FROM best{i} WHERE list_contains(list_zip(path[1:len(path) - 1], path[2:len(path)]), (l.src, l.dst))), 0) AS bw, l.delay, l.cost FROM left{i} l)")
+    rows = " UNION ALL ".join(f"SELECT {i} AS req_id, * FROM (SELECT count(*) AS accepted, max(hops) AS hops, max(array_to_string(path, '>')) AS path FROM best{i})" for i in range(count))
+    return "WITH RECURSIVE " + ",\n ".join(parts) + f"\nSELECT CAST(req_id AS BIGINT) AS req_id, CAST(accepted AS INTEGER) AS accepted, CAST(hops AS BIGINT) AS hops, path FROM ({rows})"
+
+
+@register("alloc_strict", _alloc_sql())
 def alloc_strict(spark, d):
     return A.allocate(N.n1_links(spark, d), N.requests(spark, d, "med", 10))[0].withColumn("path", F.array_join("path", ">"))
 
