@@ -222,3 +222,15 @@ def op7_near_duplicates(spark, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {"op7_near_duplicates": op7_near_duplicates}
+#: All pairs of documents that share a shingle, and the closure of their links: for small tables.
+ORACLES = {
+    "op7_near_duplicates": r"""
+WITH RECURSIVE parts AS (SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM documents),
+ shingle AS (SELECT DISTINCT doc_id, array_to_string(w[i:i + 3], ' ') AS s FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w) - 3, 1) + 1)) AS i FROM parts WHERE len(w) > 0)),
+ held AS (SELECT doc_id, count(*) AS n FROM shingle GROUP BY doc_id),
+ met AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS shared FROM shingle x JOIN shingle y ON x.s = y.s AND x.doc_id <> y.doc_id GROUP BY x.doc_id, y.doc_id),
+ link AS (SELECT a, b FROM met JOIN held p ON p.doc_id = a JOIN held q ON q.doc_id = b WHERE 100 * shared >= 80 * (p.n + q.n - shared)),
+ reach(a, b) AS (SELECT doc_id, doc_id FROM parts UNION SELECT r.a, l.b FROM reach r JOIN link l ON r.b = l.a),
+ least AS (SELECT a, min(b) AS component_id FROM reach GROUP BY a)
+SELECT doc_id, CAST(coalesce(n, 0) AS BIGINT) AS n_shingles, component_id, doc_id = component_id AS kept FROM parts LEFT JOIN held USING (doc_id) JOIN least ON a = doc_id"""
+}

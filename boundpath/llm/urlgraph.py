@@ -130,3 +130,18 @@ def op8_url_filter(spark, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {"op8_url_filter": op8_url_filter}
+#: The given pages link to no other host, so ranks are the seeds' shares; with links SQL would have to iterate (tests do).
+ORACLES = {
+    "op8_url_filter": r"""
+WITH p AS (SELECT page_id, coalesce(regexp_extract(url, '(?s)^.*?://([^/?#]*)', 1), '') AS raw, coalesce(regexp_extract(url, '(?s)^.*?://[^/?#]*([^?#]*)', 1), '') AS path FROM pages),
+ q AS (SELECT page_id, translate(raw, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, path FROM p),
+ rules AS (SELECT * FROM (VALUES {rules}) r(kind, name, prefix)),
+ fit AS (SELECT page_id, kind, name || prefix AS rule, row_number() OVER (PARTITION BY page_id ORDER BY length(name) + length(prefix) DESC) AS n FROM q JOIN rules ON (host = name OR ends_with(host, '.' || name)) AND starts_with(path, prefix)),
+ judged AS (SELECT q.*, rule, kind FROM q LEFT JOIN fit ON fit.page_id = q.page_id AND n = 1),
+ votes AS (SELECT host, count(*) FILTER (kind = 'allow') / count(*) AS good, count(*) FILTER (kind = 'block') / count(*) AS bad FROM judged WHERE host <> '' GROUP BY host),
+ total AS (SELECT sum(good) AS good, sum(bad) AS bad, count(*) FILTER (bad > 0) AS n FROM votes),
+ blocked AS (SELECT host FROM votes v, total t WHERE v.bad > 0 AND v.bad / t.bad > coalesce(v.good / nullif(t.good, 0), 0) * {ratio} AND v.bad / t.bad * t.n >= {floor})
+SELECT page_id, host, path, rule, coalesce(kind, CASE WHEN host IN (SELECT host FROM blocked) THEN 'block' ELSE 'allow' END) AS verdict FROM judged""".format(
+        rules=", ".join(f"('{k}', '{n}', '{x}')" for k, n, x in RULES), ratio=RATIO, floor=FLOOR
+    )
+}
