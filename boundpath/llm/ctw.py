@@ -29,10 +29,10 @@ from boundpath.llm.shared import materialise, read_table
 from boundpath.llm.textkernel import Words, segment_sum, words
 
 DEPTH = 5
-CHUNK = 400_000  # bytes of text at a time: a worker holds some twenty numbers for each
+CHUNK = 250_000  # bytes of text at a time: a worker holds some twenty numbers for each
 TOP = 3  # contexts shorter than this are held by the driver
 PART = 1 << 17  # byte strings of a task
-ENTRIES = 1 << 20  # prices that are broadcast; it decides how many are joined, not what they are
+ENTRIES = 1 << 18  # prices that are broadcast; it decides how many are joined, not what they are
 RARE_SHARE = 2.0**-21
 END_TOKEN = np.uint64(0x0DDC0FFEE0DDF00D)
 _COUNT_SCHEMA = "kind int, item bigint, n bigint"
@@ -62,7 +62,7 @@ def strings(w: Words, depth: int) -> tuple[np.ndarray, np.ndarray]:
 class _Tally:
     """Running counts of 64-bit items with bounded memory."""
 
-    def __init__(self, limit: int = 800_000):
+    def __init__(self, limit: int = 500_000):
         self.parts, self.size, self.limit = [], 0, limit
 
     def add(self, items: np.ndarray) -> None:
