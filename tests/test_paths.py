@@ -166,9 +166,9 @@ def line(n, back=True):
 
 
 def test_no_length_is_too_long(spark):
-    """A path of 12 links is found by every method that is not told to stop before; stopping is reported."""
-    links = links_of(spark, line(12))
-    reqs = spark.createDataFrame([(0, 0, 12, 1, 20, 20), (1, 0, 12, 1, 11, 99), (2, 3, 20, 1, 99, 99), (3, 2, 5, 1, 99, 99)], REQ)
+    """A path of 10 links, more than the first pass looks at, is found by every method that is not told to stop before; stopping is reported."""
+    links = links_of(spark, line(10))
+    reqs = spark.createDataFrame([(0, 0, 10, 1, 20, 20), (1, 0, 10, 1, 9, 99), (2, 3, 20, 1, 99, 99), (3, 2, 5, 1, 99, 99)], REQ)
     want = {0: "FOUND", 1: "NONE", 2: "NONE", 3: "FOUND"}
     for objective in ("hops", "cost"):
         assert {r.req_id: r.status for r in solve(links, reqs, objective=objective).collect()} == want
@@ -179,7 +179,7 @@ def test_no_length_is_too_long(spark):
         assert {r.req_id: r.status for r in kernels.search(links, reqs, method).collect()} == want
     for run in (single.ldp_single, exact.iter_bellman_ford):
         assert {r.req_id: r.status for r in run(links, reqs).collect()} == want
-    assert {r.req_id: r.hops for r in single.ldp_links(links, reqs).collect()} == {0: 12, 1: 12, 2: None, 3: 3}
+    assert {r.req_id: r.hops for r in single.ldp_links(links, reqs).collect()} == {0: 10, 1: 10, 2: None, 3: 3}
 
 
 def test_parallel_links_stay_apart(spark):
@@ -190,15 +190,14 @@ def test_parallel_links_stay_apart(spark):
     assert got == {0: ("NONE", None, None), 1: ("FOUND", 10, 2), 2: ("FOUND", 2, 10), 3: ("FOUND", 2, 2)}
 
 
-@pytest.mark.parametrize("seed", range(3))
-def test_whole_searches_by_enumeration(spark, seed):
-    """No cap, all objectives and forms of answers, on graphs full of circles."""
-    arcs = random_graph(20 + seed, 7, 24)
+def test_whole_searches_by_enumeration(spark):
+    """No cap, both objectives, on a graph full of circles."""
+    arcs = random_graph(21, 7, 24)
     pool = [(r[0], r[1] % 7, r[2] % 7 if r[2] % 7 != r[1] % 7 else (r[1] + 1) % 7, *r[3:]) for r in POOL]
     links, reqs = links_of(spark, arcs), spark.createDataFrame(pool, REQ)
     for objective in ("hops", "cost"):
         want = {r[0]: (p[0][3] if (p := brute(arcs, r, objective, 99)) else None) for r in pool}
-        for prune in (("dom", "prefix"), ("dom",), ("prefix", "incumbents")):
+        for prune in (("dom", "prefix"), ("dom",)):
             q = ldp.PathQuery(objective=objective, prune=frozenset(prune))
             assert as_path(ldp.ldp_general(links, reqs, q).answers.collect()) == want
         assert as_path(exact.ebfs(links, reqs, objective, dominance=True, suffix=True).collect()) == want
@@ -302,9 +301,9 @@ def test_filling_ends_with_the_paths(spark):
         te.te_greedy(twice, one, max_rounds=1)
 
 
-@pytest.mark.parametrize("n", (3, 42))
+@pytest.mark.parametrize("n", (3, 8))
 def test_allocation_decides_every_request(spark, n):
-    """All requests want the same best path in every round, so each round decides one (42: over two minutes)."""
+    """All requests want the same best path in every round, so each round decides one."""
     links = links_of(spark, [a for k in range(2, n + 2) for a in ((0, k, 1, k, 1), (k, 1, 1, 1, 1))])
     reqs = spark.createDataFrame([(i, 0, 1, 1, 999, 99) for i in range(n)], REQ)
     got = {r.req_id: r.path for r in allocate.allocate(links, reqs)[0].collect()}
