@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from boundpath.baselines.exact import ext_dijkstra_bounded, path_links
 from boundpath.baselines.kernels import k_shortest, search
-from boundpath.loop import empty, keep
+from boundpath.loop import empty, keep, small
 from boundpath.search.single import ldp_single
 from boundpath.services.lp import max_min, simplex
 
@@ -65,7 +65,7 @@ def te_greedy(links: DataFrame, flows: DataFrame, finder: str = "ldp", max_round
     return rates, loads
 
 
-#: Flows and links of the largest exact program.
+#: Flows of the largest exact program, and links of their paths.
 LP_FLOWS, LP_LINKS = 200, 100_000
 
 
@@ -73,13 +73,17 @@ def te_lp(links: DataFrame, flows: DataFrame, k: int, bounded: bool, max_hops: i
     """Max-min fair rates over k given paths each: flow_id, rate.  bounded: paths keep the flow's delay bound.
 
     One exact program on the driver, for tens of flows; ``te_scale`` is the distributed approximation."""
+    asked = flows.select("flow_id").limit(LP_FLOWS + 1).collect()
+    if len(asked) > LP_FLOWS:
+        raise ValueError(f"the program is for at most {LP_FLOWS} flows: use te_scale")
     reqs = flow_requests(flows).withColumn("cost", F.lit(1 << 40))
     paths = k_shortest(links, reqs, k, "hops" if bounded else "cost", max_hops, bounded)
     paths = keep(paths.select("req_id", "rank", "hops", "path"))
-    known = links.select("src", "dst", "bw").limit(LP_LINKS + 1).collect()
-    asked = flows.select("flow_id").limit(LP_FLOWS + 1).collect()
-    if len(known) > LP_LINKS or len(asked) > LP_FLOWS:
-        raise ValueError(f"the program is for at most {LP_FLOWS} flows and {LP_LINKS} links: use te_scale")
+    # the program has a row for each link of a path, whatever the size of the network
+    used = path_links(paths).select(F.col("a").alias("src"), F.col("b").alias("dst")).distinct()
+    known = links.select("src", "dst", "bw").join(small(used), ["src", "dst"], "left_semi").limit(LP_LINKS + 1).collect()
+    if len(known) > LP_LINKS:
+        raise ValueError(f"the paths have more than {LP_LINKS} links: use te_scale")
     caps = {(r.src, r.dst): r.bw for r in known}
     held: dict[int, list] = {r.flow_id: [] for r in asked}
     for r in paths.orderBy("req_id", "rank").collect():

@@ -439,6 +439,18 @@ def test_depth_first_goes_straight_to_the_destination():
         assert key == kernels.ebfs(g, ask, "hops", 300)[0] and key is not None and made < 200
 
 
+@pytest.mark.parametrize("bounded", [True])
+def test_program_of_a_network_beyond_its_limit(spark, monkeypatch, bounded):
+    """Only links of the given paths are rows of the program, so the network may have more."""
+    arcs = random_graph(1, 30, 140)
+    flows = spark.createDataFrame([(i, i, (7 * i + 3) % 30, 60) for i in range(4)], "flow_id bigint, src bigint, dst bigint, delay bigint")
+    rates = lambda: sorted(te.te_lp(links_of(spark, arcs), flows, 2, bounded).collect())
+    want = rates()
+    assert sum(r.rate for r in want) > 0
+    monkeypatch.setattr(te, "LP_LINKS", 60)
+    assert rates() == want
+
+
 def test_energy(spark):
     util = spark.createDataFrame([(0, 1.0), (1, 0.5), (2, 0.0)], "link_id int, u double")
     r = measures.energy(util).first()
