@@ -439,7 +439,7 @@ def test_depth_first_goes_straight_to_the_destination():
         assert key == kernels.ebfs(g, ask, "hops", 300)[0] and key is not None and made < 200
 
 
-@pytest.mark.parametrize("bounded", [True])
+@pytest.mark.parametrize("bounded", [True, False])
 def test_program_of_a_network_beyond_its_limit(spark, monkeypatch, bounded):
     """Only links of the given paths are rows of the program, so the network may have more."""
     arcs = random_graph(1, 30, 140)
