@@ -66,16 +66,20 @@ def hard_timeout(stream: DataFrame, seconds: int = 3600) -> DataFrame:
 
     def step(key, frames, state):
         opened, load, n = state.get if state.exists else (None, 0, 0)
-        rows = []
+        rows, parts = [], []
         for f in frames:
-            for ts, amount in f.sort_values(["ts", "event_id"])[["ts", "amount"]].itertuples(index=False):
-                us = int(pd.Timestamp(ts).value // 1000)
+            # a link's events of one trigger may come in several frames, in no order: the time order holds over all of them
+            parts.append(f.groupby("ts")["amount"].agg(["sum", "count"]))
+        if parts:
+            times = pd.concat(parts).groupby(level=0).sum().sort_index()
+            stamps = times.index.to_numpy().astype("datetime64[us]").astype("int64")
+            for us, amount, events in zip(stamps.tolist(), times["sum"].tolist(), times["count"].tolist(), strict=True):
                 if opened is not None and us - opened >= seconds * 1_000_000:
                     rows.append((key[0], opened, load, n))
                     opened, load, n = None, 0, 0
                 if opened is None:
                     opened = us
-                load, n = load + int(amount), n + 1
+                load, n = load + int(amount), n + int(events)
         if state.hasTimedOut:
             if opened is not None:
                 rows.append((key[0], opened, load, n))

@@ -451,6 +451,20 @@ def test_program_of_a_network_beyond_its_limit(spark, monkeypatch, bounded):
     assert rates() == want
 
 
+def test_hard_timeout_orders_a_link_over_its_frames(spark, tmp_path):
+    """A link with more events of one trigger than an Arrow frame takes, the latest first: an allocation every hour of 20-minute steps."""
+    rows = spark.range(60).select(F.col("id").alias("event_id"), F.expr("timestamp_ntz'2024-01-02 00:00:00' - make_interval(0, 0, 0, 0, 0, 20 * id)").alias("ts"), F.lit(5).cast("bigint").alias("user_id"), F.lit("view").alias("event_type"), F.lit(1.5).alias("value"), F.lit("{}").alias("props"))
+    rows.coalesce(1).write.parquet(f"{tmp_path}/events.parquet")
+    before = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "7")
+    try:
+        got = sorted(catalog.queries()["timeout_hard"](spark, str(tmp_path)).collect(), key=lambda r: r.opened)
+    finally:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", before)
+    # 20 hours of three events; the last allocation's hour ends after the watermark
+    assert [(r.link_id, r.load, r.n) for r in got] == [(5, 6, 3)] * 19 and {b.opened - a.opened for a, b in zip(got, got[1:])} == {3_600_000_000}
+
+
 def test_energy(spark):
     util = spark.createDataFrame([(0, 1.0), (1, 0.5), (2, 0.0)], "link_id int, u double")
     r = measures.energy(util).first()
