@@ -465,7 +465,7 @@ def test_hard_timeout_orders_a_link_over_its_frames(spark, tmp_path):
     assert [(r.link_id, r.load, r.n) for r in got] == [(5, 6, 3)] * 19 and {b.opened - a.opened for a, b in zip(got, got[1:])} == {3_600_000_000}
 
 
-@pytest.mark.parametrize("name", ["bounds_map"])
+@pytest.mark.parametrize("name", ["bounds_map", "bounds_table"])
 def test_bounds_come_from_a_table(spark, name):
     assert any("lineitem.parquet" in f for f in catalog.queries()[name](spark, SF).inputFiles())
 
