@@ -470,6 +470,29 @@ def test_bounds_come_from_a_table(spark, name):
     assert any("lineitem.parquet" in f for f in catalog.queries()[name](spark, SF).inputFiles())
 
 
+def test_searches_over_arrays_count_like_the_plain_ones(monkeypatch):
+    """Pools of a larger graph: the same copies, hops, searches and partial paths by arrays as by loops, which take too long on it."""
+    arcs = random_graph(5, 60, 400)
+    asks = [SimpleNamespace(req_id=i, src=i, dst=(7 * i + 3) % 60, bw=1 + i % 2, delay=20 + 3 * i, cost=10 + i) for i in range(20) if i != (7 * i + 3) % 60]
+    got = {}
+    for least in (10**9, 1):
+        monkeypatch.setattr(kernels, "FLAT_LINKS", least)
+        assert (kernels.Graph(arcs).flat() is None) == (least > 1)
+        got[least] = {m: [{k: x for k, x in row.items() if not k.endswith("_ms")} for row in pools.fill_pool(arcs, asks, m)] for m in ("ldp", "ldp_prefix", "ebfs", "ebfs_suffix")}
+        flows = [SimpleNamespace(flow_id=i, src=i, dst=(7 * i + 3) % 60, bw=1, delay=60, cost=1 << 40) for i in range(20) if i != (7 * i + 3) % 60]
+        got[least].update({("greedy", m): pools.greedy_pool(arcs, flows, m) for m in ("ldp_prefix", "least_delay")})
+    assert got[1] == got[10**9] and sum(r["copies"] for r in got[1]["ldp"]) > 20
+
+
+def test_pools_run_in_tasks_of_their_own(spark):
+    """Small tables of long pools: adaptive execution must not put all pools into one task."""
+    names = [("customers", s, x) for s in ("low", "med", "tight") for x in ("layered", "layered_prefix", "exhaustive", "exhaustive_suffix")]
+    asks = spark.createDataFrame([(*n, i, 0, 1, 1, 9, 9) for n in names for i in range(3)], "network string, severity string, solver string, " + REQ)
+    arcs = links_of(spark, [(0, 1, 5, 1, 1)])
+    done = pools.fill_pools({"customers": arcs}, asks, dict.fromkeys((n[2] for n in names), "ldp"))
+    assert done.select(F.spark_partition_id().alias("p")).distinct().count() > len(names) // 2
+
+
 def test_energy(spark):
     util = spark.createDataFrame([(0, 1.0), (1, 0.5), (2, 0.0)], "link_id int, u double")
     r = measures.energy(util).first()
