@@ -493,6 +493,14 @@ def test_pools_run_in_tasks_of_their_own(spark):
     assert done.select(F.spark_partition_id().alias("p")).distinct().count() > len(names) // 2
 
 
+def test_networks_of_all_degrees_are_ranked_once(spark):
+    from boundpath import loop
+
+    two, four = (set(map(tuple, networks.n1_links(spark, SF, g).collect())) for g in (2, 4))
+    assert two < four
+    assert [k for k in loop._tables if k[1:3] == ("n1-arcs", SF)] == [(spark.sparkContext.applicationId, "n1-arcs", SF, 8)]
+
+
 def test_energy(spark):
     util = spark.createDataFrame([(0, 1.0), (1, 0.5), (2, 0.0)], "link_id int, u double")
     r = measures.energy(util).first()
