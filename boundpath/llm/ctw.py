@@ -66,6 +66,8 @@ class _Tally:
         self.parts, self.size, self.limit = [], 0, limit
 
     def add(self, items: np.ndarray) -> None:
+        if not len(items):  # a chunk may have no text held out, or none to learn from
+            return
         distinct, n = np.unique(items, return_counts=True)
         self.parts.append((distinct, n))
         self.size += len(distinct)

@@ -302,6 +302,14 @@ def test_scores(spark):
     assert abs(sum(r.base_score for r in few) - sum(r.base_score for r in many)) < 1e-3
 
 
+def test_counts_of_a_side_that_is_empty():
+    """Several chunks without a text held out, or without one to learn from, count nothing on that side."""
+    for trains in (True, False):
+        batches = [pa.RecordBatch.from_arrays([pa.array(["a b", "c"]), pa.array([trains, trains])], names=["text", "train"])] * 2
+        kinds = {k for b in ctw._count(5)(batches) for k in b.column(0).to_pylist()}
+        assert kinds == ({0, 1} if trains else {2})
+
+
 def test_scores_use_every_context(spark):
     """Few broadcast prices and many small tasks change nothing: all contexts of the training texts count."""
     from pyspark.sql import functions as F
