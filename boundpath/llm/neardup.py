@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from boundpath.llm.components import connected_components
-from boundpath.llm.shared import drop_materialised, join_keyed, materialise, read_table
+from boundpath.llm.shared import drop_materialised, join_keyed, materialise, read_table, small
 from boundpath.llm.superminhash import band_keys, signatures
 from boundpath.llm.textkernel import distinct, mix, segment_sum, shingles, words
 
@@ -210,10 +210,11 @@ def near_duplicates(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100,
 
 def _texts(own: DataFrame, signed: DataFrame, wanted: DataFrame) -> DataFrame:
     """(doc_id, text) with the ids of classes, one row each.  wanted: (id, rkey); equal rows have one rkey."""
-    met = own.join(wanted.select("rkey", F.col("id").alias("class")), "rkey")
-    repeated = signed.groupBy("rkey").agg(F.count("*").alias("times")).filter("times > 1").select("rkey")
-    once = met.join(repeated, "rkey", "left_anti").select(F.col("class").alias("doc_id"), "text")
-    often = met.join(repeated, "rkey", "left_semi").groupBy(F.col("class").alias("doc_id")).agg(F.first("text").alias("text"))
+    repeated = signed.groupBy("rkey").agg(F.count("*").alias("times")).filter("times > 1").select("rkey", F.lit(True).alias("again"))
+    wanted = materialise(wanted.select("rkey", F.col("id").alias("class")).join(repeated, "rkey", "left"), "wanted")
+    met = own.join(small(wanted), "rkey")  # few classes go to the texts, so that these are not moved
+    once = met.filter("again is null").select(F.col("class").alias("doc_id"), "text")
+    often = met.filter("again").groupBy(F.col("class").alias("doc_id")).agg(F.first("text").alias("text"))
     return once.unionByName(often)
 
 

@@ -9,8 +9,9 @@ from pyspark.sql.window import Window
 from boundpath.loop import drop as drop_materialised
 from boundpath.loop import fresh_path, remove, shared_dir
 from boundpath.loop import keep as materialise
+from boundpath.loop import small
 
-__all__ = ["drop_materialised", "fresh_path", "materialise", "remove", "shared_dir"]
+__all__ = ["drop_materialised", "fresh_path", "materialise", "remove", "shared_dir", "small"]
 
 #: White space that separates words: a fixed value of the contracts (ASCII space and 0x09 to 0x0D).
 BLANKS = " \t\n\x0b\x0c\r"

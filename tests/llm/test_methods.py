@@ -635,6 +635,22 @@ def test_pipeline_brute_force(spark):
     assert corpus_pipeline.run(spark, SF).count() == len(out)
 
 
+def test_near_dedup_leaves_texts_in_place(spark):
+    """Where the ids that joins bring to the texts are few, no exchange holds a text of the documents, whatever their size."""
+    docs = read_table(spark, SF, "documents")
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    try:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+        stage = corpus_pipeline.near_dedup(spark, docs, SF)
+        own = docs.selectExpr("doc_id", "doc_id AS rkey", "text")
+        texts = neardup._texts(own, own.select("rkey"), own.selectExpr("doc_id AS id", "rkey"))
+        for df in (stage, texts):
+            assert "SortMergeJoin" not in df._jdf.queryExecution().executedPlan().toString()
+        assert texts.count() == docs.count()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+
+
 @pytest.mark.parametrize("name", sorted(registry.oracle_sql()))
 def test_oracles(spark, name):
     import duckdb
