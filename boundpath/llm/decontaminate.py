@@ -243,6 +243,10 @@ def _kernel(items, tag: str, k: int, threshold: float):
     return run
 
 
+#: Bytes of text that the sieve takes at once: rows with all their columns lie beside them in the worker.
+SIEVE_CHUNK = 500_000
+
+
 def _sieve(items, tag: str, k: int, threshold: float, text: int):
     """Whole rows of documents that repeat no item; column ``text`` holds the texts."""
 
@@ -250,7 +254,7 @@ def _sieve(items, tag: str, k: int, threshold: float, text: int):
         known = _built(items, tag, k)
         for batch in batches:
             clean = np.ones(batch.num_rows, bool)
-            for w in words(batch.column(text).cast(pa.string()), "alnum"):
+            for w in words(batch.column(text).cast(pa.string()), "alnum", SIEVE_CHUNK):
                 for d, *_ in scan(w, known, k, threshold):
                     clean[w.first + d] = False
             yield batch if clean.all() else batch.filter(pa.array(clean))

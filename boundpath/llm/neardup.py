@@ -32,6 +32,8 @@ from boundpath.llm.superminhash import band_keys, signatures
 from boundpath.llm.textkernel import distinct, mix, segment_sum, shingles, words
 
 PLACES, BAND_ROWS = 128, 4
+#: Bytes of text that a Python worker takes at once: its arrays take many times as much, beside those of the executor's other workers.
+CHUNK = 500_000
 #: Rows of one shingle that a task of the prefix join takes from each side.
 CELL = 1000
 
@@ -42,7 +44,7 @@ def _sign(k: int, places: int, rows: int):
     def run(batches):
         for batch in batches:
             ids, rkey, texts = batch.column(0), batch.column(1), batch.column(2)
-            for w in words(texts):
+            for w in words(texts, limit=CHUNK):
                 doc, _, hashed = shingles(w, k)
                 owner, element, count = distinct(doc, hashed, w.n_docs)
                 hi = segment_sum(mix(element, 11), count).view(np.int64)
@@ -69,7 +71,7 @@ def _sets(k: int):
     def run(batches):
         for batch in batches:
             ids = batch.column(0)
-            for w in words(batch.column(1)):
+            for w in words(batch.column(1), limit=CHUNK):
                 doc, _, hashed = shingles(w, k)
                 owner, element, _ = distinct(doc, hashed, w.n_docs)
                 yield pa.RecordBatch.from_arrays([ids.slice(w.first, w.n_docs).take(pa.array(owner)), pa.array(element.view(np.int64))], names=["doc_id", "shingle"])
@@ -90,7 +92,7 @@ def _verify(k: int, num: int, den: int):
                 new = [i for i, x in enumerate(ids) if x not in kept]
                 new = list({ids[i]: i for i in new}.values())
                 if new:
-                    for w in words(texts.take(pa.array(new))):
+                    for w in words(texts.take(pa.array(new)), limit=CHUNK):
                         doc, _, hashed = shingles(w, k)
                         _, element, count = distinct(doc, hashed, w.n_docs)
                         for i, part in enumerate(np.split(element, np.cumsum(count)[:-1])):

@@ -635,6 +635,18 @@ def test_pipeline_brute_force(spark):
     assert corpus_pipeline.run(spark, SF).count() == len(out)
 
 
+def test_signatures_in_small_chunks(monkeypatch):
+    """A worker never has more than half a megabyte of texts in its arrays, and chunks change nothing."""
+    texts = [" ".join(f"{i % 7}-{j}" for j in range(3000)) for i in range(100)]
+    size = max(map(len, texts))
+    batch = pa.RecordBatch.from_arrays([pa.array(range(100)), pa.array(range(100)), pa.array(texts)], names=["doc_id", "rkey", "text"])
+    many = list(neardup._sign(5, 128, 4)([batch]))
+    assert max(b.num_rows for b in many) * size <= 600_000
+    monkeypatch.setattr(neardup, "CHUNK", 1 << 30)
+    one = list(neardup._sign(5, 128, 4)([batch]))
+    assert len(one) == 1 and pa.Table.from_batches(many).to_pylist() == one[0].to_pylist()
+
+
 def test_near_dedup_leaves_texts_in_place(spark):
     """Where the ids that joins bring to the texts are few, no exchange holds a text of the documents, whatever their size."""
     docs = read_table(spark, SF, "documents")
