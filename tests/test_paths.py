@@ -8,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from boundpath import catalog
-from boundpath.baselines import exact, kernels
+from boundpath.baselines import exact, flat, kernels
 from boundpath.plans.plan import choose_method, explain_path, solve
 from boundpath.search import ldp, single
 from boundpath.services import allocate, embed, lp, pools, te
@@ -484,6 +484,50 @@ def test_searches_over_arrays_count_like_the_plain_ones(monkeypatch):
     assert got[1] == got[10**9] and sum(r["copies"] for r in got[1]["ldp"]) > 20
 
 
+def test_pools_in_parts_give_what_pools_in_order_give(spark, monkeypatch):
+    monkeypatch.setattr(pools, "PART", 3)
+    arcs = links_of(spark, random_graph(11, 12, 60))
+    ask = "id AS req_id, id % 12 AS src, (id * 5 + 1 + int(id % 12 = (id * 5 + 1) % 12)) % 12 AS dst, 1L AS bw, 12L AS delay, 14L AS cost"
+    kinds = {"layered_prefix": "ldp_prefix", "exhaustive": "ebfs", "cheapest": "least_cost"}
+    asks = pools.as_pools([({"network": "n", "severity": v, "solver": s}, spark.range(n).selectExpr(*ask.split(", "))) for v, n in (("low", 20), ("few", 2)) for s in kinds])
+    got = [sorted(pools.fill_pools({"n": arcs}, asks, kinds, scout=s).drop("map_ms", "allocate_ms").collect()) for s in (None, "layered_prefix")]
+    assert got[0] == got[1] and len(got[0]) == 66
+    took = {s: [r[4:7] for r in got[0] if r.severity == "low" and r.solver == s] for s in kinds}
+    assert took["exhaustive"] == took["layered_prefix"] != took["cheapest"]  # the last one is run again, in order
+
+
+@pytest.mark.parametrize("back", [False, True])
+def test_labels_are_mended_where_arcs_are_lost(back):
+    rng, arcs = random.Random(5), random_graph(3, 40, 200)
+    graphs = [kernels.Graph(arcs) for _ in range(2)]
+    a, b = (flat.Flat(g.out, g.into, g.vertices) for g in graphs)
+    for s, t, *_ in rng.sample(arcs, 120):
+        now = rng.choice([-1, 0, 9])
+        a.put(s, t, now), b.put(s, t, now)
+        b._labels.clear()
+        for weight in ("delay", "cost"):
+            for most in (flat.FAR, 9):
+                labels = [f.least(0, 1, getattr(f, weight), back, most).tolist() for f in (a, b)]
+                assert labels[0] == labels[1]
+
+
+def test_layers_at_the_fewest_links_are_the_whole_ones():
+    arcs = random_graph(8, 40, 120)
+    g = kernels.Graph(arcs)
+    f, seen = flat.Flat(g.out, g.into, g.vertices), 0
+    for src, dst in itertools.permutations(f.names[:12], 2):
+        r = SimpleNamespace(src=src, dst=dst, bw=1, delay=15, cost=15)
+        met = f.meet(f.at[src], f.at[dst], 1)
+        for prefix in (False, True):
+            got, whole = met and flat.near(f, r, met, 40, prefix), flat.layers(f, r, 40, prefix)
+            assert met or whole[-1][0][f.at[dst]] == flat.FAR
+            if got:
+                seen += 1
+                assert len(got) == len(whole) and [x[f.at[dst]] for x in got[-1]] == [x[f.at[dst]] for x in whole[-1]]
+                assert all((x == y)[y < flat.FAR].all() for have, want in zip(got, whole, strict=True) for y, x in zip(have, want, strict=True))
+    assert seen > 50
+
+
 def test_pools_run_in_tasks_of_their_own(spark):
     """Small tables of long pools: adaptive execution must not put all pools into one task."""
     names = [("customers", s, x) for s in ("low", "med", "tight") for x in ("layered", "layered_prefix", "exhaustive", "exhaustive_suffix")]
