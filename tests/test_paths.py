@@ -511,6 +511,21 @@ def test_labels_are_mended_where_arcs_are_lost(back):
                 assert labels[0] == labels[1]
 
 
+def test_searches_to_one_destination_share_its_labels(monkeypatch):
+    made = []
+    monkeypatch.setattr(flat.Flat, "least", lambda *a, least=flat.Flat.least: made.append(a[1]) or least(*a))
+    g = kernels.Graph(random_graph(8, 40, 300))
+    f = flat.Flat(g.out, g.into, g.vertices)
+    for src in f.names[1:9]:
+        r = SimpleNamespace(src=src, dst=f.names[0], bw=1, delay=60, cost=60)
+        key = kernels.least_metric(g, r, "hops", 40)[0]
+        got = flat.shortest(f, r, 2)
+        assert key[:3] == (got[1], got[0], got[2]) and key[3] == got[3]
+        g.remove(*got[3][:2])
+        f.put(*got[3][:2], -1)
+    assert made == [f.at[f.names[0]]]
+
+
 def test_layers_at_the_fewest_links_are_the_whole_ones():
     arcs = random_graph(8, 40, 120)
     g = kernels.Graph(arcs)
