@@ -552,6 +552,15 @@ def test_pools_run_in_tasks_of_their_own(spark):
     assert done.select(F.spark_partition_id().alias("p")).distinct().count() > len(names) // 2
 
 
+def test_networks_are_sent_as_columns(spark):
+    """Tasks of many networks get arrays, and make tuples of the arcs of their own."""
+    arcs = {n: sorted(random_graph(n, 9, 20)) for n in (1, 2)}
+    sent = pools.broadcast_networks({str(n): links_of(spark, a) for n, a in arcs.items()})
+    assert not any(isinstance(x, list) for x in sent.value.values())
+    assert {n: sorted(pools.arcs_of(sent, str(n))) for n in arcs} == arcs
+    assert all(type(x) is int for x in pools.arcs_of(sent, "1")[0])
+
+
 def test_networks_of_all_degrees_are_ranked_once(spark):
     from boundpath import loop
 
