@@ -439,6 +439,31 @@ def test_depth_first_goes_straight_to_the_destination():
         assert key == kernels.ebfs(g, ask, "hops", 300)[0] and key is not None and made < 200
 
 
+@pytest.mark.parametrize("objective", ["cost", "hops"])
+def test_next_paths_beyond_the_last(objective):
+    """All paths in order and none twice; where the destination is entered from the source only, the mesh behind the source isn't walked through."""
+    for seed in range(20):
+        arcs = random_graph(seed, 6, 16) + [(0, 1, 5, 3, 0)]
+        r = SimpleNamespace(req_id=0, src=seed % 6, dst=(seed + 2) % 6, bw=seed % 4, delay=1 << 40, cost=1 << 40)
+        want = brute(arcs, (0, r.src, r.dst, r.bw, r.delay, r.cost), objective)
+        got = [k for k, _ in kernels.next_shortest(kernels.Graph(arcs), r, objective, 6, False)]
+        assert [(k[1], k[2], k[0], k[3]) if objective == "cost" else k for k in got] == want
+
+    class Asked(dict):
+        times = 0
+
+        def get(self, *a):
+            self.times += 1
+            return super().get(*a)
+
+    mesh = [(a, b, 5, 1, 1) for a in range(8) for b in range(8) if a != b] + [(0, 9, 5, 1, 1)]
+    g = kernels.Graph(mesh)
+    g.out = Asked(g.out)
+    r = SimpleNamespace(req_id=0, src=0, dst=9, bw=1, delay=1 << 40, cost=1 << 40)
+    assert len([*kernels.next_shortest(g, r, objective, 9, False)]) == 1
+    assert g.out.times < 100
+
+
 @pytest.mark.parametrize("bounded", [True, False])
 def test_program_of_a_network_beyond_its_limit(spark, monkeypatch, bounded):
     """Only links of the given paths are rows of the program, so the network may have more."""
