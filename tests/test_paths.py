@@ -521,6 +521,22 @@ def test_pools_in_parts_give_what_pools_in_order_give(spark, monkeypatch):
     assert took["exhaustive"] == took["layered_prefix"] != took["cheapest"]  # the last one is run again, in order
 
 
+def test_other_solvers_start_while_the_scout_goes_on(spark, monkeypatch):
+    """Scouts tell the state after some requests; the rows are those of pools in order, whatever requests the others have."""
+    monkeypatch.setattr(pools, "PART", 2)
+    monkeypatch.setattr(pools, "STRETCH", 4)
+    monkeypatch.setattr(pools, "BEHIND_S", 0)
+    made, keep = [], pools.keep
+    monkeypatch.setattr(pools, "keep", lambda df, tag: made.append(tag) or keep(df, tag))
+    arcs = links_of(spark, random_graph(11, 12, 60))
+    ask = "id AS req_id, id % 12 AS src, (id * 5 + 1 + int(id % 12 = (id * 5 + 1) % 12)) % 12 AS dst, 1L AS bw, 12L AS delay, 14L AS cost"
+    kinds = {"layered_prefix": "ldp_prefix", "exhaustive": "ebfs", "more": "ebfs"}
+    asks = pools.as_pools([({"network": "n", "severity": "low", "solver": s}, spark.range(9 if s != "more" else 11).selectExpr(*ask.split(", "))) for s in kinds])
+    got = [sorted(pools.fill_pools({"n": arcs}, asks, kinds, scout=s).drop("map_ms", "allocate_ms").collect()) for s in (None, "layered_prefix")]
+    assert got[0] == got[1] and len(got[0]) == 29
+    assert sorted(made) == ["parts"] * 4 + ["scout"] * 3
+
+
 def test_a_part_starts_from_what_was_taken(monkeypatch):
     """The state before a request is made at once, not arc by arc, and is that of the pool in order."""
     arcs = random_graph(5, 30, 200)
