@@ -639,6 +639,25 @@ def test_networks_of_all_degrees_are_ranked_once(spark):
     assert [k for k in loop._tables if k[1:3] == ("n1-arcs", SF)] == [(spark.sparkContext.applicationId, "n1-arcs", SF, 8)]
 
 
+def test_the_scaling_comparison_has_all_customers(spark, tmp_path, monkeypatch):
+    """Customers beyond key 10,000 are in its network and among its requests; the ``n2_links`` query keeps the network its SQL defines."""
+    from boundpath.workloads import experiments
+
+    n = 10030
+    spark.range(n).selectExpr("id AS c_custkey", "int(id % 25) AS c_nationkey", "double(id % 97) AS c_acctbal").coalesce(1).write.parquet(f"{tmp_path}/customer.parquet")
+    spark.range(2).selectExpr("id AS s_suppkey", "0 AS s_nationkey", "1.5D AS s_acctbal").coalesce(1).write.parquet(f"{tmp_path}/supplier.parquet")
+    # one order and one line a customer, all at one supplier: every customer is followed by the next
+    spark.range(n).selectExpr("id AS o_orderkey", "id AS o_custkey").coalesce(1).write.parquet(f"{tmp_path}/orders.parquet")
+    lines = ("id AS l_orderkey", "1 AS l_linenumber", "id AS l_partkey", "0L AS l_suppkey", "2.0D AS l_quantity", "1.0D AS l_extendedprice", "timestamp_seconds(id) AS l_shipdate")
+    spark.range(n).selectExpr(*lines).coalesce(1).write.parquet(f"{tmp_path}/lineitem.parquet")
+    monkeypatch.setattr(pools, "fill_pools", lambda nets, asks, *_, **__: (nets["customers"].collect(), asks.filter("network = 'customers' AND solver = 'layered' AND severity = 'low'").collect()))
+    arcs, asks = experiments._scale(spark, str(tmp_path))
+    assert {(r.src, r.dst) for r in arcs} == {(i, i + 1) for i in range(n - 1)}
+    assert sorted((r.req_id, r.src, r.dst) for r in asks) == [(i, 37 * i % n, (53 * i + 11) % n) for i in range(n // 10)]
+    assert max(r.dst for r in asks) >= 10000
+    assert networks.n2_links(spark, str(tmp_path)).count() == 9999
+
+
 def test_energy(spark):
     util = spark.createDataFrame([(0, 1.0), (1, 0.5), (2, 0.0)], "link_id int, u double")
     r = measures.energy(util).first()
