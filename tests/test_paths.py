@@ -658,6 +658,35 @@ def test_the_scaling_comparison_has_all_customers(spark, tmp_path, monkeypatch):
     assert networks.n2_links(spark, str(tmp_path)).count() == 9999
 
 
+def test_likely_pairs_are_all_pairs_of_a_small_hash(spark):
+    """Many vertices: pairs are found by rests, not by asking all of them; few, or negative numbers: all are asked."""
+    nodes = spark.range(40000, 42500).selectExpr("id * 7 AS v", "id % 10 AS x", "id % 11 AS y")
+    u = (F.col("a.v") * 7919 + F.col("b.v") * 104729 + 31 * ((F.col("a.v") * F.col("b.v")) % 1009)) % 10007
+    for below in (1, 3):
+        likely, every = (networks._likely_pairs(nodes, n, below) for n in (10**6, 0))
+        got = [sorted(q.filter(u < below).select("a.v", "b.v").collect()) for q in (likely, every)]
+        assert got[0] == got[1] and len(got[0]) > 200
+        assert likely.count() < every.count() / 500
+        assert "NestedLoop" not in likely._jdf.queryExecution().toString()
+    few = networks._likely_pairs(nodes.filter("x = 1").selectExpr("v - 300000 AS v", "x", "y"), 10**6, 1)
+    assert few.count() == 250 * 249 // 2
+
+
+def test_hubs_are_searched_over_arrays(spark, monkeypatch):
+    """All arcs of a hub are looked at together, and filling one doesn't go over them; rows are those of the plain loops."""
+    hub = [(0, i, 2, 1, 1) for i in range(1, 300)] + [(i, 0, 3, 1, 1) for i in range(1, 300)] + [(i, i + 1, 1 + i % 3, 2, 1) for i in range(1, 299)]
+    arcs = hub + [a for a in random_graph(7, 300, 900) if 0 not in a[:2]]
+    asks = [SimpleNamespace(req_id=i, src=1 + 7 * i, dst=280 - 5 * i, bw=1 + i % 2, delay=20, cost=20) for i in range(20)]
+    monkeypatch.setattr(kernels, "FLAT_LINKS", 1)
+    got, plain = {}, kernels._back
+    for hub_from in (10**9, 256):
+        monkeypatch.setattr(kernels, "HUB", hub_from)
+        if hub_from == 256:
+            monkeypatch.setattr(kernels, "_back", None)
+        got[hub_from] = [{k: x for k, x in row.items() if not k.endswith("_ms")} for row in pools.fill_pool(arcs, asks, "ldp_prefix")]
+    assert plain and got[256] == got[10**9] and sum(r["paths"] for r in got[256]) > 40
+
+
 def test_energy(spark):
     util = spark.createDataFrame([(0, 1.0), (1, 0.5), (2, 0.0)], "link_id int, u double")
     r = measures.energy(util).first()
